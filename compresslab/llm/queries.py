@@ -1,8 +1,11 @@
 """Queries of the ten operators, by name; oracle SQL where DuckDB can say the same."""
 
-from . import bpe, shards, toxicity
+from . import bpe, language_id, shards, toxicity, url_graph, warc
 
 QUERIES = {
+    "op1_url_trust_graph": url_graph.query,
+    "op2_language_by_compression": language_id.query,
+    "op4_warc_reassembly": warc.query,
     "op8_bpe_chunked": bpe.query,
     "op9_toxicity_nb_ngrams": toxicity.query,
     "op10_shard_vector_packing": shards.query,

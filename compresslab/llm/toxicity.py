@@ -27,28 +27,9 @@ ORDERS = (3, 4, 5, 6)
 BITS = 21
 
 
-def _spaced(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Case-folded bytes in which any run of separators is one blank; every text starts and ends with one."""
-    low = W.fold_case(raw)
-    letter = W._WORD[raw] & ~W._DIGIT[raw]
-    low = np.where(letter, low, np.uint8(32))
-    n = len(offsets) - 1
-    lengths = np.diff(offsets)
-    placed = np.full(len(raw) + 2 * n, 32, dtype=np.uint8)
-    shift = np.repeat(np.arange(n) * 2 + 1, lengths)
-    placed[np.arange(len(raw)) + shift] = low
-    bounds = offsets + 2 * np.arange(n + 1)
-    keep = np.ones(len(placed), dtype=bool)
-    if len(placed) > 1:
-        keep[1:] = (placed[1:] != 32) | (placed[:-1] != 32)
-        keep[bounds[:-1][bounds[:-1] < len(placed)]] = True
-    kept = np.concatenate([[0], np.cumsum(keep)])
-    return placed[keep], kept[bounds]
-
-
 def gram_ids(raw: np.ndarray, offsets: np.ndarray, wanted: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
     """(row, feature) of every distinct n-gram of each text; wanted: only features where it is true."""
-    seq, bounds = _spaced(raw, offsets)
+    seq, bounds = W.spaced(raw, offsets)
     row = np.repeat(np.arange(len(bounds) - 1), np.diff(bounds))
     out = []
     rolling = np.zeros(len(seq), dtype=np.uint64)

@@ -119,3 +119,22 @@ def shingle_hashes(words: Words, k: int = 5) -> tuple[np.ndarray, np.ndarray]:
         order = np.argsort(docs, kind="stable")
         docs, hashes = docs[order], hashes[order]
     return docs, hashes
+
+
+def spaced(raw: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Case-folded bytes in which any run of separators is one blank; every text starts and ends with one."""
+    low = fold_case(raw)
+    letter = _WORD[raw] & ~_DIGIT[raw]
+    low = np.where(letter, low, np.uint8(32))
+    n = len(offsets) - 1
+    lengths = np.diff(offsets)
+    placed = np.full(len(raw) + 2 * n, 32, dtype=np.uint8)
+    shift = np.repeat(np.arange(n) * 2 + 1, lengths)
+    placed[np.arange(len(raw)) + shift] = low
+    bounds = offsets + 2 * np.arange(n + 1)
+    keep = np.ones(len(placed), dtype=bool)
+    if len(placed) > 1:
+        keep[1:] = (placed[1:] != 32) | (placed[:-1] != 32)
+        keep[bounds[:-1][bounds[:-1] < len(placed)]] = True
+    kept = np.concatenate([[0], np.cumsum(keep)])
+    return placed[keep], kept[bounds]
