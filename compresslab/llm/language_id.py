@@ -2,8 +2,8 @@
 
 For every language of the training rows a raw-content zstandard dictionary is built from a bounded,
 hash-chosen sample of its texts. A whole text, folded to lower case with runs of other characters as
-one blank, is compressed piece by piece with each dictionary; the smallest sum of sizes wins, ties go
-to the language that sorts first. The margin is the relative distance to the second; `rejected` marks
+one blank, is compressed piece by piece with each dictionary; the smallest sum of sizes wins. Equal
+sums (very short texts) go to the language whose dictionary holds the text's words more often, then to the one that sorts first. The margin is the relative distance to the second; `rejected` marks
 a margin below min_margin.
 
 Null texts and texts without a letter are `und` with score 0, as is every text if nothing was learned.
@@ -21,10 +21,10 @@ from pyspark.sql import functions as F
 from . import common as C
 from . import words as W
 
-DICTIONARY, PIECE, LEVEL = 128 << 10, 2048, 3
+DICTIONARY, PIECE, LEVEL = 256 << 10, 1024, 6
 
 
-def learn(docs: DataFrame, sample: int = 300, taken: int = 4000, size: int = DICTIONARY) -> dict[str, bytes]:
+def learn(docs: DataFrame, sample: int = 600, taken: int = 1000, size: int = DICTIONARY) -> dict[str, bytes]:
     """Dictionaries by language, from about `sample` rows of each language and `taken` characters of each of these.
 
     The sample's bound is (languages x sample x taken) characters, whatever the table's size.
@@ -52,7 +52,7 @@ class Judge:
     def __init__(self, dictionaries: dict[str, bytes], piece: int = PIECE):
         import zstandard
 
-        self.names, self.piece, self.tools = sorted(dictionaries), piece, []
+        self.names, self.piece, self.tools, self.data = sorted(dictionaries), piece, [], dictionaries
         for name in self.names:
             d = zstandard.ZstdCompressionDict(dictionaries[name], dict_type=zstandard.DICT_TYPE_RAWCONTENT)
             d.precompute_compress(level=LEVEL)
@@ -62,6 +62,10 @@ class Judge:
         pieces = [data[i : i + self.piece] for i in range(0, len(data), self.piece)]
         return [sum(len(tool.compress(p)) for p in pieces) for tool in self.tools]
 
+    def word_counts(self, data: bytes, tied) -> dict:
+        found = [b" " + w + b" " for w in set(data.split())]
+        return {i: sum(np.log1p(self.data[self.names[i]].count(w)) for w in found) for i in tied}
+
     def predict(self, column: pa.Array, min_margin: float):
         """Lists lang_pred, score, rejected."""
         lettered = pc.fill_null(pc.match_substring_regex(column, r"\pL"), False).to_pylist()
@@ -75,6 +79,10 @@ class Judge:
                 continue
             sizes = self.sizes(data)
             order = np.argsort(sizes, kind="stable")
+            tied = [i for i in order if sizes[i] == sizes[order[0]]]
+            if len(tied) > 1:
+                seen = self.word_counts(data, tied)
+                order = [*sorted(tied, key=lambda i: (-seen[i], i)), *order[len(tied) :]]
             best = sizes[order[0]]
             second = sizes[order[1]] if len(order) > 1 else 2 * best + 1
             lang.append(self.names[order[0]])

@@ -109,12 +109,12 @@ def shingle_hashes(words: Words, k: int = 5) -> tuple[np.ndarray, np.ndarray]:
     docs, hashes = words.doc[valid], mix(total[valid])
     short = np.flatnonzero((counts > 0) & (counts < k))
     if len(short):
+        coefficients = np.array([pow(0xD6E8FEB86659FD93, i + 1, 1 << 64) for i in range(k)], dtype=np.uint64)
         extra = np.zeros(len(short), dtype=np.uint64)
         for j, d in enumerate(short):
             h = words.hash[words.first[d] : words.first[d + 1]]
-            for i, x in enumerate(h):
-                extra[j : j + 1] += x * np.uint64(pow(0xD6E8FEB86659FD93, i + 1, 1 << 64))
-            extra[j : j + 1] += np.uint64(len(h))
+            extra[j] = (h * coefficients[: len(h)]).sum(dtype=np.uint64)
+        extra += counts[short].astype(np.uint64)
         docs, hashes = np.concatenate([docs, short]), np.concatenate([hashes, mix(extra)])
         order = np.argsort(docs, kind="stable")
         docs, hashes = docs[order], hashes[order]
