@@ -1,6 +1,6 @@
 """Queries of the ten operators, by name; oracle SQL where DuckDB can say the same."""
 
-from . import bpe, decontaminate, language_id, near_copies, onebit_search, shards, toxicity, url_graph, warc
+from . import bpe, decontaminate, language_id, near_copies, onebit_search, secrets, shards, toxicity, url_graph, warc
 
 QUERIES = {
     "op1_url_trust_graph": url_graph.query,
@@ -8,6 +8,7 @@ QUERIES = {
     "op3_one_bit_codes": onebit_search.query,
     "op4_warc_reassembly": warc.query,
     "op5_template_decontamination": decontaminate.query,
+    "op6_secret_forest": secrets.query,
     "op7_weighted_minhash": near_copies.query,
     "op8_bpe_chunked": bpe.query,
     "op9_toxicity_nb_ngrams": toxicity.query,

@@ -157,7 +157,7 @@ def fit(spark: SparkSession, docs: DataFrame, labels: DataFrame, positives: int
             model = train(pa.array([], pa.large_string()), np.zeros(0))
         yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(model)], pa.binary())], names=["model"])
 
-    rows = sample.coalesce(1).mapInArrow(run, C.schema(model=C.BINARY)).collect()
+    rows = C.materialize(sample, "toxic-sample").coalesce(1).mapInArrow(run, C.schema(model=C.BINARY)).collect()
     return pickle.loads(rows[0][0]) if rows else train(pa.array([], pa.large_string()), np.zeros(0))
 
 
