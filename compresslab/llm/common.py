@@ -85,7 +85,7 @@ def keep_rows(mask_of: Callable[[pa.RecordBatch], pa.Array]) -> Callable[[Iterat
     return run
 
 
-def small_batches(batch: pa.RecordBatch, text: str, limit: int = 4 << 20) -> Iterator[pa.RecordBatch]:
+def small_batches(batch: pa.RecordBatch, text: str, limit: int = 512 << 10) -> Iterator[pa.RecordBatch]:
     """Cut a batch so that a piece holds about `limit` bytes of text at most (or one row)."""
     if batch.num_rows == 0:
         return

@@ -55,7 +55,7 @@ def gram_ids(raw: np.ndarray, offsets: np.ndarray, wanted: np.ndarray | None = N
 
 
 def _pieces(batch: pa.RecordBatch):
-    for piece in C.small_batches(batch, "text", 2 << 20):
+    for piece in C.small_batches(batch, "text"):
         yield piece, *C.text_bytes(piece.column("text"))
 
 
