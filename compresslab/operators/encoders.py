@@ -1,21 +1,26 @@
 """Deterministic text encoders with the contract of embedding models: text in, a fixed number of floats out.
 
-Tokens are hashed (first 8 hex digits of md5) to a slot and a sign; counts are summed by document and slot in the
-JVM, then packed to dense arrays in Arrow. Variants stand for models of different dimension and training:
+Tokens are hashed (first 8 hex digits of md5) to a slot and a sign, and their counts summed by slot; a text stands in
+one row, so encoding is narrow. Variants stand for models of different dimension and training:
 weights that fall with the position make prefixes carry most of a vector, an offset moves every coordinate off zero,
 and odd powers give heavy tails.
 """
 
 from __future__ import annotations
 
+import hashlib
+from collections import Counter
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+import regex
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .runs import words
+from ..functions import vectors as V
+
+_LETTERS = regex.compile(r"\p{L}+")
 
 
 @dataclass(frozen=True)
@@ -42,46 +47,64 @@ ENCODERS = (
 )
 
 
-def tokens(text: Column, unit: str) -> Column:
-    if unit == "word":
-        return words(text)
-    low = F.lower(text)
-    return F.when(F.length(text) >= 3, F.transform(F.sequence(F.lit(1), F.greatest(F.length(low) - 2, F.lit(1))), lambda i: F.substring(low, i, F.lit(3)))).otherwise(F.array())
+def tokens(text: str, unit: str) -> list[str]:
+    """Words (runs of letters) or runs of three characters, in lower case."""
+    low = text.lower()
+    return _LETTERS.findall(low) if unit == "word" else [low[i : i + 3] for i in range(len(low) - 2)]
+
+
+def _slots(encoder: HashedEncoder, memory: dict[str, tuple[int, int]], text: str | None) -> dict[int, int]:
+    """Signed counts by slot; tokens met before come from a bounded memory."""
+    out: dict[int, int] = {}
+    for token, n in Counter(tokens(text or "", encoder.unit)).items():
+        place = memory.get(token)
+        if place is None:
+            h = int(hashlib.md5(token.encode()).hexdigest()[:8], 16)
+            place = (h % encoder.dims, 1 if h // encoder.dims % 2 == 0 else -1)
+            if len(memory) < 500_000:
+                memory[token] = place
+        out[place[0]] = out.get(place[0], 0) + place[1] * n
+    return out
 
 
 def sparse(items: DataFrame, encoder: HashedEncoder, id_col: str = "item_id") -> DataFrame:
-    """id, slot, n: signed counts of the tokens of a text by slot."""
-    counted = items.select(id_col, F.explode(tokens(F.col("text"), encoder.unit)).alias("token")).groupBy(id_col, "token").agg(F.count("*").alias("n"))
-    h = F.conv(F.substring(F.md5("token"), 1, 8), 16, 10).cast("long")
-    sign = F.when(F.floor(h / encoder.dims) % 2 == 0, 1).otherwise(-1)
-    return counted.groupBy(id_col, (h % encoder.dims).cast("int").alias("slot")).agg(F.sum(sign * F.col("n")).alias("n"))
+    """id, slot, n: signed counts of the tokens of a text by slot; narrow, as a text stands in one row."""
+
+    def run(batches):
+        memory: dict = {}
+        for b in batches:
+            ids, slots, counts = [], [], []
+            for i, text in zip(b.column(0).to_pylist(), b.column(1).to_pylist()):
+                for slot, n in _slots(encoder, memory, text).items():
+                    ids.append(i)
+                    slots.append(slot)
+                    counts.append(n)
+            yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(slots, pa.int32()), pa.array(counts, pa.int64())], names=[id_col, "slot", "n"])
+
+    return items.select(id_col, "text").mapInArrow(run, f"{id_col} long, slot int, n long")
 
 
 def dense(items: DataFrame, encoder: HashedEncoder, id_col: str = "item_id") -> DataFrame:
     """id, vec (array<double>) of every text; a text without tokens has the offset in every dimension."""
-    grouped = sparse(items, encoder, id_col).groupBy(id_col).agg(F.collect_list("slot").alias("slots"), F.collect_list("n").alias("counts"))
-    all_items = items.select(id_col).join(grouped, id_col, "left")
     e = encoder
 
     def run(batches):
+        memory: dict = {}
         weight = 1 / (1 + e.decay * np.arange(e.dims))
         if e.break_at:
             weight[e.break_at :] = 0.25
         for b in batches:
-            if not b.num_rows:
-                continue
-            x = np.zeros((b.num_rows, e.dims))
-            for i, (slots, counts) in enumerate(zip(b.column(1).to_pylist(), b.column(2).to_pylist())):
-                if slots:
-                    x[i, slots] = counts
-            if e.cubed:
-                x = x * np.abs(x)
-            x = x * weight + e.offset
-            from ..functions import vectors as V
-
-            yield pa.RecordBatch.from_arrays([b.column(0), V.lists(x)], names=[id_col, "vec"])
-
-    return all_items.mapInArrow(run, f"{id_col} long, vec array<double>")
+            for at in range(0, b.num_rows, 1024):
+                part = b.slice(at, 1024)
+                x = np.zeros((part.num_rows, e.dims))
+                for i, text in enumerate(part.column(1).to_pylist()):
+                    found = _slots(e, memory, text)
+                    x[i, list(found)] = list(found.values())
+                if e.cubed:
+                    x = x * np.abs(x)
+                yield pa.RecordBatch.from_arrays([part.column(0), V.lists(x * weight + e.offset)], names=[id_col, "vec"])
+
+    return items.select(id_col, "text").mapInArrow(run, f"{id_col} long, vec array<double>")
 
 
 def given(df: DataFrame) -> DataFrame:

@@ -13,7 +13,7 @@ CONSTANT = 60
 def effectiveness(runs: DataFrame, qrels: DataFrame, k: int = 10) -> DataFrame:
     """run_id, ndcg: mean NDCG@k of runs(run_id, query_id, item_id, rank)."""
     scored = metrics.evaluate(runs, qrels, (k,), ("run_id",)).where("metric = 'ndcg'")
-    return scored.groupBy("run_id").agg(F.round(F.avg("value"), 9).alias("ndcg"))
+    return scored.groupBy("run_id").agg(F.round(F.avg("value"), 12).alias("ndcg"))
 
 
 def pruning(worth: DataFrame, drop: float = 0.2) -> DataFrame:
