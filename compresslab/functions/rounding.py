@@ -64,7 +64,7 @@ def pack_floats(x: np.ndarray, form: str) -> np.ndarray:
     mantissa, exponent = np.frexp(np.abs(x))
     width = f.bits - 1 - f.mantissa
     bias = 1 - f.least_exponent
-    normal = exponent - 1 >= f.least_exponent
+    normal = (exponent - 1 >= f.least_exponent) & (x != 0)
     finite = np.isfinite(x)
     with np.errstate(invalid="ignore"):
         fraction = np.where(normal, (mantissa * 2 - 1) * (1 << f.mantissa), np.ldexp(np.abs(x), f.mantissa - f.least_exponent))
