@@ -23,6 +23,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from . import common as C
 
@@ -166,7 +167,7 @@ def encode(docs: DataFrame, ranks: dict[bytes, int] | None = None, pattern: str
     shared = spark.sparkContext.broadcast((ranks, pattern))
     out = C.schema(doc_id=C.LONG, n_tokens=C.LONG, ids_sha256=C.STRING, decoded_sha256=C.STRING)
     if keep_ids:
-        out = out.add("ids", "array<int>")
+        out = out.add("ids", T.ArrayType(T.IntegerType()))
     rows = docs.select("doc_id", "text")
     long_text = F.coalesce(F.length("text"), F.lit(0)) > spread_chars
     short = rows.where(~long_text).mapInArrow(_encode_rows(shared, chunk, overlap, keep_ids), out)
