@@ -1,6 +1,6 @@
 """Queries of the ten operators, by name; oracle SQL where DuckDB can say the same."""
 
-from . import bpe, decontaminate, language_id, near_copies, onebit_search, secrets, shards, toxicity, url_graph, warc
+from . import bpe, decontaminate, language_id, near_copies, onebit_search, oracles, secrets, shards, toxicity, url_graph, warc
 
 QUERIES = {
     "op1_url_trust_graph": url_graph.query,
@@ -15,4 +15,4 @@ QUERIES = {
     "op10_shard_vector_packing": shards.query,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {"op1_url_trust_graph": oracles.url_sql(), "op4_warc_reassembly": oracles.WARC}
