@@ -433,7 +433,7 @@ def nested_training_contrast(spark, sf_dir):
 
 
 DOMAIN_ENCODER = encoders.HashedEncoder("hash256", 256, "word", decay=1 / 64)
-DOMAIN_CODECS = [codecs.identity(), codecs.percentile_bins(8), codecs.percentile_bins(4), codecs.percentile_bins(2), codecs.binary("zero"), codecs.binary("median"), codecs.truncate(128), codecs.truncate(64), codecs.truncate(32), codecs.truncate(16), codecs.truncate(8), codecs.compose(codecs.truncate(128), codecs.percentile_bins(4)), codecs.compose(codecs.truncate(128), codecs.percentile_bins(2)), codecs.compose(codecs.truncate(64), codecs.percentile_bins(4))]
+DOMAIN_CODECS = [codecs.identity(), *(codecs.equal_width(b, scoring="centred") for b in (8, 4, 2)), *(codecs.compose(codecs.truncate(128), codecs.equal_width(b, scoring="centred")) for b in (8, 4, 2)), codecs.percentile_bins(8), codecs.percentile_bins(4), codecs.percentile_bins(2), codecs.binary("zero"), codecs.binary("median"), codecs.truncate(128), codecs.truncate(64), codecs.truncate(32), codecs.truncate(16), codecs.truncate(8), codecs.compose(codecs.truncate(128), codecs.percentile_bins(4)), codecs.compose(codecs.truncate(128), codecs.percentile_bins(2)), codecs.compose(codecs.truncate(64), codecs.percentile_bins(4))]
 _STRIP = "trim(regexp_replace(regexp_replace(html, '<(script|style)[^>]*>[^<]*</(script|style)>', ' ', 'g'), '<[^>]*>', ' ', 'g'))"
 _DOMAINS = f"""domains AS (SELECT 'documents_' || lang AS dataset, doc_id AS id, text FROM documents WHERE lang IN ('en', 'de', 'fr', 'es') UNION ALL SELECT 'pages', page_id, {_STRIP} FROM pages
  UNION ALL SELECT 'conversations', conv_id * 1000 + turn, text FROM conversations)"""
