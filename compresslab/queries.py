@@ -39,6 +39,13 @@ def _planted(spark, sf_dir, weighted=False):
     return e, search.collect_queries(corpus.planted_queries(e, weighted)), corpus.planted_qrels(e)
 
 
+def _spread(e: DataFrame) -> DataFrame:
+    """A small table dealt to all cores: its one file would make one task, and each row meets many codecs."""
+    if e.count() > 200_000:
+        return e
+    return e.repartition(e.sparkSession.sparkContext.defaultParallelism, "vec_id")
+
+
 def _items(e: DataFrame) -> DataFrame:
     return e.select(F.col("vec_id").alias("item_id"), F.col("embedding").alias("vec"))
 
@@ -184,7 +191,7 @@ def calibration_sketch(spark, sf_dir):
 
 def _grid(spark, sf_dir, wanted, **more):
     e, q, rel = _planted(spark, sf_dir)
-    return harness.grid(e, q, rel, DIMS, wanted, **more)
+    return harness.grid(_spread(e), q, rel, DIMS, wanted, **more)
 
 
 def _wide(df, *keys):
@@ -216,7 +223,7 @@ def grid_recall_by_ratio(spark, sf_dir):
     """The flagship: 91 cells in one scan of the vectors."""
     e, q, rel = _planted(spark, sf_dir)
     n = e.count()
-    found = _wide(harness.grid(e, q, rel, DIMS, _GRID), "variant", "ratio")
+    found = _wide(harness.grid(_spread(e), q, rel, DIMS, _GRID), "variant", "ratio")
     size = {c: b for c, _, b in metrics.index_bytes(n, DIMS, _GRID)}
     return found.select(F.col("variant").alias("codec"), "ratio", "recall_100", "ndcg_10", F.element_at(F.create_map(*(F.lit(x) for kv in size.items() for x in kv)), F.col("variant")).cast("long").alias("bytes"))
 

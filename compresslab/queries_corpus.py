@@ -10,7 +10,7 @@ from .functions import rounding as R
 from .functions import udfs
 from .operators import analysis, calibrate, codecs, corpus, encoders, metrics, relational, runs, search, significance
 from .plans import grids, harness
-from .queries import DIMS, ORACLES, QUERIES, _planted, _vectors, _wide, query
+from .queries import DIMS, ORACLES, QUERIES, _planted, _spread, _vectors, _wide, query
 from .sources.scratch import scratch_path
 from .sources.tables import table
 from .streaming import events as ev
@@ -45,7 +45,7 @@ def _sizes(e: DataFrame) -> tuple[list[int], int]:
 
 def _pool(spark, sf_dir):
     e, q, rel = _planted(spark, sf_dir)
-    run = search.topk_fused(q, e, harness.calibrated(e, POOL), 100).drop("tier").withColumnRenamed("variant", "run_id")
+    run = search.topk_fused(q, _spread(e), harness.calibrated(e, POOL), 100).drop("tier").withColumnRenamed("variant", "run_id")
     return e, q, rel, run
 
 
@@ -108,7 +108,7 @@ def ladder_audit(spark, sf_dir):
 
 
 def _tiered(e: DataFrame, tiers: DataFrame) -> DataFrame:
-    return e.join(tiers.select(F.col("item_id").alias("vec_id"), "tier"), "vec_id")
+    return _spread(e).join(tiers.select(F.col("item_id").alias("vec_id"), "tier"), "vec_id")
 
 
 def _tiered_sql(ladder: str = "ladder", k: int = 100, name: str = "trun") -> str:
@@ -250,7 +250,7 @@ _EQUAL_VALUES = f"v AS (SELECT variant, ratio, value FROM ({O.grid_sql(_EQUAL)})
 
 def _equal_values(spark, sf_dir):
     e, q, rel = _planted(spark, sf_dir)
-    return harness.grid(e, q, rel, DIMS, _EQUAL).where("metric = 'recall' AND k = 100").select("variant", "ratio", "value")
+    return harness.grid(_spread(e), q, rel, DIMS, _EQUAL).where("metric = 'recall' AND k = 100").select("variant", "ratio", "value")
 
 
 @query("choice_gap", f"""WITH {_EQUAL_VALUES} SELECT ratio, (list(variant ORDER BY value DESC, variant))[1] AS best, (list(variant ORDER BY value, variant))[1] AS worst, round(max(value) - min(value), 6) AS gap FROM v GROUP BY ratio""")
