@@ -298,6 +298,19 @@ def pq(m: int, width: int, symmetric: bool = True) -> Codec:
     return Pq(f"pq_{m}x{width}" + ("" if symmetric else "_raw_query"), m, width, symmetric)
 
 
+def fit_lsh(df: DataFrame, codec: Lsh, id_col: str = "vec_id", vec_col: str = "embedding", method: str = "exact") -> Calibration:
+    """Medians of every projection, for thresholds="median": each bit then splits the vectors in half."""
+    from .calibrate import quantiles
+
+    def run(batches):
+        for b in batches:
+            if b.num_rows:
+                yield pa.RecordBatch.from_arrays([b.column(0), V.lists(V.matrix(b.column(1)) @ _frame(codec, V.matrix(b.column(1)).shape[1]).T)], names=[id_col, "projected"])
+
+    projected = df.select(id_col, vec_col).mapInArrow(run, f"{id_col} long, projected array<double>")
+    return Calibration(codebook=quantiles(projected, (0.5,), "projected", method).at(0.5))
+
+
 def lloyd(points: np.ndarray, centres: np.ndarray, rounds: int) -> np.ndarray:
     """k-means in squared distance; an empty centre is put on the point farthest from its own."""
     for _ in range(rounds):

@@ -275,6 +275,15 @@ def lsh_recall(spark, sf_dir):
     return _wide(_grid(spark, sf_dir, grids.lsh(DIMS)), "variant", "ratio").withColumnRenamed("variant", "codec")
 
 
+@query("lsh_median_recall")
+def lsh_median_recall(spark, sf_dir):
+    """LSH with a median threshold for every bit, at 32x."""
+    e, q, rel = _planted(spark, sf_dir)
+    codec = codecs.lsh(64, thresholds="median")
+    values = harness.evaluate(q, e, rel, [(codec, codecs.fit_lsh(e, codec))])
+    return _wide(metrics.summary(values, ("variant",)), "variant").withColumnRenamed("variant", "codec")
+
+
 _PQ_BOOK = "book AS (SELECT pos // 8 AS sub, vec_id AS code, pos % 8 AS p, v FROM x WHERE vec_id < 16)"
 _PQ_ASSIGN = """far AS (SELECT x.vec_id, b.sub, b.code, round(sum((x.v - b.v) * (x.v - b.v)), 12) AS d FROM x JOIN book b ON x.pos // 8 = b.sub AND x.pos % 8 = b.p GROUP BY ALL),
 near AS (SELECT vec_id, sub, code FROM (SELECT *, row_number() OVER (PARTITION BY vec_id, sub ORDER BY d, code) AS r FROM far) WHERE r = 1)"""

@@ -85,6 +85,14 @@ def test_lsh_disagreement_is_the_angle():
         assert abs((code[0] != code[1]).mean() - degrees / 180) < 0.02
 
 
+def test_lsh_medians_split_in_half(spark):
+    x = X[:400] + 3.0
+    df = spark.createDataFrame([(i, [float(v) for v in r]) for i, r in enumerate(x)], "vec_id long, embedding array<double>")
+    codec = codecs.lsh(16, thresholds="median")
+    assert abs(codec.encode(x, codecs.fit_lsh(df, codec)).mean(axis=0) - 0.5).max() < 0.01
+    assert abs(codecs.lsh(16).encode(x, calibrate.Calibration()).mean(axis=0) - 0.5).max() > 0.3
+
+
 def test_pq_finds_clusters(spark):
     g = np.random.default_rng(2)
     centres = np.array([[0.0, 0.0, 5.0, 5.0], [9.0, 9.0, -5.0, -5.0]])
