@@ -89,7 +89,7 @@ def boundaries(text: str, pattern, chunk: int = CHUNK, overlap: int = OVERLAP) -
 class Codec:
     """Encoder and decoder of one vocabulary; pieces met before come from a bounded memory."""
 
-    def __init__(self, ranks: dict[bytes, int], pattern: str, remember: int = 200_000):
+    def __init__(self, ranks: dict[bytes, int], pattern: str, remember: int = 20_000):
         import regex
         import tiktoken
 
@@ -143,7 +143,7 @@ def _encode_rows(shared, chunk, overlap, keep_ids):
     def run(batches):
         codec = _codec(shared)
         for batch in batches:
-            for piece in C.small_batches(batch, "text", 2 << 20):
+            for piece in C.small_batches(batch, "text", 1 << 20):
                 found = [codec.encode(t or "", chunk, overlap) for t in piece.column("text").to_pylist()]
                 yield _result(piece.column("doc_id").cast(pa.int64()), found, codec, keep_ids)
 
@@ -185,7 +185,7 @@ def encode(docs: DataFrame, ranks: dict[bytes, int] | None = None, pattern: str
     def find(batches):
         codec = _codec(shared)
         for b in batches:
-            for piece in C.small_batches(b, "text", 2 << 20):
+            for piece in C.small_batches(b, "text", 1 << 20):
                 ends = [[k * room + e for e in chunk_ends(t, 0, len(t), codec.pattern)] for t, k in zip(piece.column("text").to_pylist(), piece.column("k").to_pylist())]
                 yield pa.RecordBatch.from_pydict({"doc_id": piece.column("doc_id"), "at": piece.column("at"), "n": piece.column("n"), "k": piece.column("k"), "text": piece.column("text"), "ends": pa.array(ends, pa.list_(pa.int64()))})
 

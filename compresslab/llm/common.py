@@ -14,8 +14,19 @@ from pyspark.sql import types as T
 from compresslab.sources.shipping import ship
 
 
+ARROW_ROWS = 2000
+
+
+def small_arrow(spark: SparkSession) -> None:
+    """Whole texts cross to Python in batches of at most ARROW_ROWS rows, so that JVM buffers and workers stay small."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(name)) <= ARROW_ROWS:
+        spark.conf.set(name, str(ARROW_ROWS))
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     ship(spark)
+    small_arrow(spark)
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 

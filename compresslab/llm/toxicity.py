@@ -24,7 +24,7 @@ from . import common as C
 from . import words as W
 
 ORDERS = (3, 4, 5, 6)
-BITS = 21
+BITS = 20
 
 
 def gram_ids(raw: np.ndarray, offsets: np.ndarray, wanted: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
@@ -68,22 +68,24 @@ def train(texts: pa.Array, labels: np.ndarray, keep: int = 20_000, l2: float = 1
     if labels.sum() == len(labels):
         return empty | {"bias": 50.0}
     batch = pa.RecordBatch.from_arrays([texts, pa.array(np.arange(len(labels)))], names=["text", "at"])
-    counts = np.zeros((2, 1 << BITS), dtype=np.float64)
+    counts = np.zeros((2, 1 << BITS), dtype=np.int32)
     for piece, raw, offsets in _pieces(batch):
         row, feature = gram_ids(raw, offsets)
         toxic = labels[piece.column("at").to_numpy()][row] > 0
-        counts[1] += np.bincount(feature[toxic], minlength=1 << BITS)
-        counts[0] += np.bincount(feature[~toxic], minlength=1 << BITS)
+        counts[1] += np.bincount(feature[toxic], minlength=1 << BITS).astype(np.int32)
+        counts[0] += np.bincount(feature[~toxic], minlength=1 << BITS).astype(np.int32)
     n1, n0 = labels.sum(), len(labels) - labels.sum()
-    share1, share0 = (counts[1] + alpha) / (n1 + 2 * alpha), (counts[0] + alpha) / (n0 + 2 * alpha)
-    ratio = np.log(share1) - np.log(share0)
-    # the features kept are those that tell most: signed root of the likelihood-ratio statistic
-    expected1 = (counts[0] + counts[1]) * n1 / (n1 + n0)
-    expected0 = (counts[0] + counts[1]) - expected1
+    seen = np.flatnonzero(counts[0] + counts[1] >= 3)
+    c0, c1 = counts[0][seen].astype(float), counts[1][seen].astype(float)
+    del counts
+    ratio = np.log((c1 + alpha) / (n1 + 2 * alpha)) - np.log((c0 + alpha) / (n0 + 2 * alpha))
+    # the features kept are those that tell most, by the likelihood-ratio statistic
+    expected1 = (c0 + c1) * n1 / (n1 + n0)
+    expected0 = (c0 + c1) - expected1
     with np.errstate(divide="ignore", invalid="ignore"):
-        gain = np.nan_to_num(counts[1] * np.log(counts[1] / expected1)) + np.nan_to_num(counts[0] * np.log(counts[0] / expected0))
-    gain[counts.sum(axis=0) < 3] = 0
-    index = np.sort(np.argsort(-gain, kind="stable")[: min(keep, int((gain > 2.0).sum()))])
+        gain = np.nan_to_num(c1 * np.log(c1 / expected1)) + np.nan_to_num(c0 * np.log(c0 / expected0))
+    best = np.sort(np.argsort(-gain, kind="stable")[: min(keep, int((gain > 2.0).sum()))])
+    index, scaled = seen[best], ratio[best]
     if len(index) == 0:
         return empty | {"bias": float(math.log(n1 / n0))}
     wanted = np.zeros(1 << BITS, dtype=bool)
@@ -96,7 +98,6 @@ def train(texts: pa.Array, labels: np.ndarray, keep: int = 20_000, l2: float = 1
         rows.append(piece.column("at").to_numpy()[row])
         cols.append(place[feature])
     rows, cols = np.concatenate(rows), np.concatenate(cols)
-    scaled = ratio[index]
     size = len(labels)
     # logistic regression on x = ratio * presence, by accelerated gradient steps with a bound on the curvature
     weight, bias = np.zeros(len(index)), float(math.log(n1 / n0))
@@ -118,7 +119,7 @@ def train(texts: pa.Array, labels: np.ndarray, keep: int = 20_000, l2: float = 1
 
 def score_texts(column: pa.Array, model: dict) -> np.ndarray:
     """Scores in [0, 1] of whole texts."""
-    table = np.zeros(1 << BITS, dtype=np.float64)
+    table = np.zeros(1 << BITS, dtype=np.float32)
     table[model["index"]] = model["weight"]
     wanted = table != 0
     batch = pa.RecordBatch.from_arrays([column], names=["text"])
