@@ -324,6 +324,47 @@ def test_near_copies_of_a_hot_family(spark):
     assert all(got[i] == (0, 100) for i in range(100)) and all(got[i] == (i, 1) for i in range(100, 130))
 
 
+@pytest.mark.parametrize("seed", (54, 118))
+def test_near_copies_whose_samples_differ(spark, seed):
+    """A pair of 0.802 beside the pivots of its buckets, of whose samples far fewer than 0.8 agree."""
+    rng = random.Random(seed)
+
+    def changed(base, n):
+        out = base[:]
+        for i in rng.sample(range(len(out)), n):
+            out[i] = words(rng, 1)
+        return out
+
+    core = words(rng, 148).split()
+    texts = []
+    for _ in range(12):
+        more = words(rng, 16)
+        texts += [" ".join([*core, *more.split(), f"end{k}"]) for k in range(6)]
+    for _ in range(10):
+        near = changed(core, 1)
+        texts += [" ".join(near), " ".join(changed(near, 2))]
+    got = [r[1] for r in rows(near_copies.classes(docs(spark, texts)), "doc_id", "class_id")]
+    assert got == brute_classes(texts)
+
+
+def test_sums_never_reject_a_pair():
+    rng = random.Random(8)
+    for n in (1, 12, 200, 9000):
+        base = words(rng, n).split()
+        texts = [" ".join(base)]
+        for share in (0.005, 0.01, 0.02, 0.03, 0.05):
+            texts.append(" ".join(words(rng, 1) if rng.random() < share else w for w in base))
+        row, shingle, count = near_copies.counted_shingles(pa.array(texts))
+        weight = near_copies.Idf(50, shingle[:3], np.array([3, 10, 40])[: len(shingle[:3])]).weights(shingle, count)
+        cut = np.searchsorted(row, np.arange(len(texts) + 1))
+        _, sums, whole = near_copies.group_sums(row, shingle, weight)
+        for i in range(len(texts)):
+            for j in range(i):
+                like = near_copies.similarity(*((shingle[cut[k] : cut[k + 1]], weight[cut[k] : cut[k + 1]]) for k in (i, j)))
+                if like > 0:
+                    assert np.abs(sums[i].astype(int) - sums[j]).sum() <= near_copies.most_unlike(whole[i] + whole[j], like)
+
+
 def test_near_copies_awkward(spark):
     d = awkward(spark)
     assert rows(near_copies.classes(d), "doc_id", "class_id") == [(0, 0), (1, 1), (2, 2), (3, 3), (4, 4), (4, 4), (5, 4), (6, 6)]
