@@ -214,7 +214,10 @@ def candidates(raw: np.ndarray, offsets: np.ndarray) -> list[tuple[int, int, int
     edge = np.zeros(len(raw) + 2, dtype=np.int8)
     edge[1:-1] = _RUN[raw]
     change = np.diff(edge)
-    begin, end = np.flatnonzero(change == 1), np.flatnonzero(change == -1)
+    # a run that goes on in the next text is cut between them
+    ends = np.unique(offsets[(offsets > 0) & (offsets < len(raw))])
+    ends = ends[(edge[ends] == 1) & (edge[ends + 1] == 1)]
+    begin, end = (np.sort(np.concatenate([np.flatnonzero(change == step), ends])) for step in (1, -1))
     long = end - begin >= 16
     begin, end = begin[long], end[long]
     digits, letters = (np.concatenate([[0], np.cumsum(t[raw])]) for t in (W._DIGIT, _ALPHA))
@@ -223,36 +226,33 @@ def candidates(raw: np.ndarray, offsets: np.ndarray) -> list[tuple[int, int, int
     data = raw.tobytes()
     found: dict[int, list[tuple[int, int, int, str]]] = {}
 
+    def row_of(b):
+        return int(np.searchsorted(offsets, b, side="right") - 1)
+
     def add(b, e, kind):
-        row = int(np.searchsorted(offsets, b, side="right") - 1)
-        if e <= offsets[row + 1]:
-            found.setdefault(row, []).append((b, e, {"block": 0, "assigned": 1, "token": 2}[kind], kind))
+        found.setdefault(row_of(b), []).append((b, e, {"block": 0, "assigned": 1, "token": 2}[kind], kind))
 
-    if b"PRIVATE KEY-----" in data:
-        for m in _PEM.finditer(data):
+    # every match is bound to its own text: nothing depends on the texts beside it
+    for row in sorted({row_of(m.start()) for m in re.finditer(b"PRIVATE KEY-----", data)}):
+        for m in _PEM.finditer(data, int(offsets[row]), int(offsets[row + 1])):
             add(m.start(), m.end(), "block")
     for at in np.flatnonzero(_SET[raw]).tolist():
-        head = data[max(0, at - 40) : at]
+        row = row_of(at)
+        low, high = int(offsets[row]), int(offsets[row + 1])
+        head = data[max(low, at - 40) : at]
         if _KEYWORD.search(head):
             skip = at + 1
-            while skip < len(data) and data[skip : skip + 1] in (b">", b" ", b"="):
+            while skip < high and data[skip : skip + 1] in (b">", b" ", b"="):
                 skip += 1
-            if m := _VALUE.match(data, skip):
+            if m := _VALUE.match(data, skip, high):
                 add(*m.span(1), "assigned")
-    # a run may straddle two texts
     for b, e in zip(begin.tolist(), end.tolist()):
-        row = int(np.searchsorted(offsets, b, side="right") - 1)
-        while e > offsets[row + 1]:
-            if offsets[row + 1] - b >= 16:
-                add(b, int(offsets[row + 1]), "token")
-            b, row = int(offsets[row + 1]), row + 1
+        while b < e and data[b : b + 1] in (b"=", b"-", b"_", b"/"):  # marks before a value
+            b += 1
+        while e > b and data[e - 1 : e] in (b"-", b"_", b"/"):
+            e -= 1
         if e - b >= 16:
-            while b < e and data[b : b + 1] in (b"=", b"-", b"_", b"/"):  # marks before a value
-                b += 1
-            while e > b and data[e - 1 : e] in (b"-", b"_", b"/"):
-                e -= 1
-            if e - b >= 16:
-                add(b, e, "token")
+            add(b, e, "token")
     out = []
     for row in sorted(found):
         last = -1

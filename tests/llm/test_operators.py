@@ -266,6 +266,17 @@ def test_forest_holds_out():
     assert ((model[0].predict(x) >= 0.5) == y).mean() > 0.95
 
 
+def test_secrets_do_not_depend_on_the_texts_beside():
+    body = "MIIEabcdefghijk1234567890\n" * 3
+    begin, end = "-----BEGIN RSA PRIVATE KEY-----\n", "-----END RSA PRIVATE KEY-----"
+    texts = ["password: Hunter2!x", "Next words", begin + "cut off", begin + body + end, "my password:", "harmless words", "abcdefghijklmnopqrst", "1 and", "token-", "=x9", "", "api_key = Zq81!kLm"]
+    model = secrets.train()
+    together = secrets.judge(pa.array(texts, pa.large_string()), model)
+    alone = [(i, *f[1:]) for i, t in enumerate(texts) for f in secrets.judge(pa.array([t], pa.large_string()), model)]
+    assert together == alone
+    assert {(f[0], f[3], f[4]) for f in together} == {(0, "assigned", "Hunter2!x"), (3, "block", texts[3]), (11, "assigned", "Zq81!kLm")}
+
+
 def test_secrets_awkward(spark):
     d = awkward(spark)
     assert secrets.scan(d).count() == 0 and secrets.redact(d).count() == 8 and secrets.redact(d).columns == d.columns
