@@ -40,9 +40,9 @@ SECRET_WORDS = "secret token password passwd pwd apikey api_key api-key access_k
 OTHER_WORDS = "commit sha sha1 sha256 md5 checksum digest hash etag revision blob uuid guid integrity session build version image file path url http https href src id isbn"
 PLACEHOLDERS = "your example sample test dummy placeholder changeme change_me xxxx insert replace redacted todo fake foo none null my_ here"
 _KEYWORD = re.compile(rb"(?i)(?:secret|token|passw(?:or)?d|passwd|pwd|api[_-]?key|access[_-]?key|private[_-]?key|auth|credentials?|passphrase|bearer)[\w-]{0,16}[\"']?\s*$")
-_VALUE = re.compile(rb"[\"'`]?([^\s\"'`,;<>(){}\[\]]{6,256})")
+_STOP = W._lookup(lambda b: b in b" \t\n\r\f\v\"'`,;<>(){}[]")  # a value ends before these
 _KNOWN = re.compile(r"^(?:AKIA[0-9A-Z]{16}$|gh[pousr]_[A-Za-z0-9]{20,}|xox[abprs]-|sk_live_|AIza[\w-]{30,}|eyJ[\w-]{10,}|glpat-)")
-_PEM = re.compile(rb"-----BEGIN [A-Z ]*PRIVATE KEY-----.{16,8192}?-----END [A-Z ]*PRIVATE KEY-----", re.S)
+_PEM = re.compile(rb"-----(BEGIN|END) [A-Z ]*PRIVATE KEY-----")
 
 
 def dictionary(path: str | None = None) -> frozenset[str]:
@@ -82,7 +82,7 @@ _SECRET, _OTHER, _PLACE = (tuple(x.split()) for x in (SECRET_WORDS, OTHER_WORDS,
 
 def features(value: str, before: str, after: str, known: frozenset[str]) -> list[float]:
     n = len(value)
-    kinds = [_kind(c) for c in value[:512]]
+    kinds = [_kind(c) for c in value]
     m = len(kinds)
     counts = Counter(value)
     entropy = -sum(c / n * math.log2(c / n) for c in counts.values())
@@ -234,8 +234,14 @@ def candidates(raw: np.ndarray, offsets: np.ndarray) -> list[tuple[int, int, int
 
     # every match is bound to its own text: nothing depends on the texts beside it
     for row in sorted({row_of(m.start()) for m in re.finditer(b"PRIVATE KEY-----", data)}):
+        opened = None
         for m in _PEM.finditer(data, int(offsets[row]), int(offsets[row + 1])):
-            add(m.start(), m.end(), "block")
+            if m[1] == b"BEGIN":
+                opened = m
+            elif opened and m.start() - opened.end() >= 16:
+                add(opened.start(), m.end(), "block")
+                opened = None
+    stops = np.flatnonzero(_STOP[raw])
     for at in np.flatnonzero(_SET[raw]).tolist():
         row = row_of(at)
         low, high = int(offsets[row]), int(offsets[row + 1])
@@ -244,8 +250,12 @@ def candidates(raw: np.ndarray, offsets: np.ndarray) -> list[tuple[int, int, int
             skip = at + 1
             while skip < high and data[skip : skip + 1] in (b">", b" ", b"="):
                 skip += 1
-            if m := _VALUE.match(data, skip, high):
-                add(*m.span(1), "assigned")
+            if skip < high and data[skip : skip + 1] in (b'"', b"'", b"`"):
+                skip += 1
+            stop = np.searchsorted(stops, skip)
+            stop = min(high, int(stops[stop])) if stop < len(stops) else high
+            if stop - skip >= 6:
+                add(skip, stop, "assigned")
     for b, e in zip(begin.tolist(), end.tolist()):
         while b < e and data[b : b + 1] in (b"=", b"-", b"_", b"/"):  # marks before a value
             b += 1
@@ -283,7 +293,7 @@ def judge(column: pa.Array, model: tuple[Forest, frozenset[str]]):
         before = data[max(low, b - 2 * CONTEXT) : b].decode("utf-8", "ignore")
         after = data[e : min(int(offsets[row + 1]), e + 2 * CONTEXT)].decode("utf-8", "ignore")
         rows.append((row, chars, chars + len(value), kind, value))
-        x.append(features(value[:4096], before, after, known))
+        x.append(features(value[:4096] if kind == "block" else value, before, after, known))  # a block needs no judgement
     score = forest.predict(np.array(x))
     return [(*r, 1.0 if r[3] == "block" else float(s)) for r, s in zip(rows, score)]
 

@@ -277,6 +277,18 @@ def test_secrets_do_not_depend_on_the_texts_beside():
     assert {(f[0], f[3], f[4]) for f in together} == {(0, "assigned", "Hunter2!x"), (3, "block", texts[3]), (11, "assigned", "Zq81!kLm")}
 
 
+def test_long_secrets_are_whole(spark):
+    rng = random.Random(12)
+    long = lambda n: "".join(rng.choice("abcdefghijkmnopqrstuvwxyzABCDEFGHJKLMNPQRSTUVWXYZ23456789") for _ in range(n))
+    token, key, huge = "eyJ" + ".".join(long(300) for _ in range(3)), long(700), long(9000)
+    block = "-----BEGIN PRIVATE KEY-----\n" + "\n".join(long(64) for _ in range(200)) + "\n-----END PRIVATE KEY-----"
+    texts = [f"token: {token} end", f'api_key = "{key}" end', f"password: {huge}", f"so {block} end"]
+    model = secrets.train()
+    assert [f[3:5] for f in secrets.judge(pa.array(texts), model)] == [("assigned", token), ("assigned", key), ("assigned", huge), ("block", block)]
+    clean = rows(secrets.redact(docs(spark, texts), model), "doc_id", "text")
+    assert clean == [(0, "token: [SECRET] end"), (1, 'api_key = "[SECRET]" end'), (2, "password: [SECRET]"), (3, "so [SECRET] end")]
+
+
 def test_secrets_awkward(spark):
     d = awkward(spark)
     assert secrets.scan(d).count() == 0 and secrets.redact(d).count() == 8 and secrets.redact(d).columns == d.columns
