@@ -227,6 +227,107 @@ def test_templates(spark):
     assert kept.columns == d.columns and rows(kept, "doc_id") == [(4,), (5,), (6,), (7,), (9,)]
 
 
+def plain_words(text):
+    """(word, kind) of a text by one regular expression: the rules of Tokens in plain Python."""
+    import regex
+
+    out = []
+    for m in regex.finditer(r"\d+(?:[.,]\d+)+(?![\w])|(?:[A-Za-z0-9]|[^\x00-\x7f])+", text):
+        word = m[0]
+        before = text[: m.start()].rstrip(" \t\r\x0b\x0c")[-1:]
+        if word[0] in "0123456789":
+            kind = 1
+        elif out and out[-1][1] == 1 and word.lower() in decontaminate.UNITS:
+            kind = 2
+        elif word[0].isupper() and any("a" <= c <= "z" for c in word):
+            kind = 4 if before == "" or before in "\n.!?:;|\"'([{*-#>" else 3
+        else:
+            kind = 0
+        out.append((word.lower(), kind))
+    return out
+
+
+def plain_windows(text):
+    """{(family, shape): (place, slot values)} of a text, by tuples instead of hashes."""
+    words_of = plain_words(text)
+    size = min(8, len(words_of))
+    out = {}
+    for i in range(len(words_of) - size + 1 if size >= 5 else 0):
+        part = words_of[i : i + size]
+        counts = [sum(k in kinds for _, k in part) for kinds in decontaminate.FAMILIES]
+        for f, kinds in enumerate(decontaminate.FAMILIES):
+            if f and not (counts[f] > counts[f - 1] and 2 * counts[f] <= size):
+                continue
+            shape = tuple(({4: 3}.get(k, k), next((j for j in range(1, n + 1) if part[n - j] == (w, k) or (part[n - j][0] == w and part[n - j][1])), 0)) if k in kinds else w for n, (w, k) in enumerate(part))
+            out.setdefault((f, size, shape), []).append((i, [w for w, k in part if k in kinds], bool(f) or not any(k for _, k in part)))
+    return out
+
+
+def plain_find(texts, items):
+    found = set()
+    for d, text in enumerate(texts):
+        have = plain_windows(text or "")
+        for item, t in items:
+            own = {k: v[0] for k, v in plain_windows(t or "").items()}
+            if not own:
+                continue
+            size = next(iter(own))[1]
+            hit = {k: own[k] for k in own if k in have}
+            plain = sorted({p for (f, _, _), (p, _, _) in hit.items() if f == 0})
+            every = {p for (f, _, _), (p, _, _) in own.items() if f == 0}
+            can = {p for p, _, c in own.values() if c}
+            run = best = 0
+            for n, p in enumerate(plain):
+                run = run + 1 if n and plain[n - 1] == p - 1 else 1
+                best = max(best, run)
+            votes = {}
+            for k, (_, slots, _) in hit.items():
+                if k[0]:
+                    for values in {tuple(v) for _, v, _ in have[k]}:
+                        for a, b in zip(slots, values):
+                            votes.setdefault(a, {}).setdefault(b, 0)
+                            votes[a][b] += 1
+            total = sum(sum(v.values()) for v in votes.values())
+            agree = sum(max(v.values()) for v in votes.values()) / total if total else 1.0
+            places = {p for p, _, _ in hit.values()}
+            if len(plain) >= 0.5 * len(every):
+                found.add((d, item, "verbatim"))
+            elif plain and best + size - 1 >= 13:
+                found.add((d, item, "quoted"))
+            elif len(places) >= 0.5 * len(can) and len(places) >= min(2, len(can)) and agree >= 0.5:
+                found.add((d, item, "reparameterised"))
+    return found
+
+
+def test_templates_are_brute_force(spark, sf):
+    """All documents and items of the smallest tables, and generated questions with other numbers, units and names."""
+    import pandas as pd
+
+    rng = random.Random(17)
+    items = [(int(i), t) for i, t in pd.read_parquet(f"{sf}/benchmark.parquet")[["item_id", "text"]].itertuples(index=False)]
+    texts = pd.read_parquet(f"{sf}/documents.parquet").text.tolist()
+    for n in range(30):
+        name, other = rng.sample(["Maria", "Peter", "Omar", "Anna", "Lena"], 2)
+        make = lambda a, b, x, y, u: f"{a} has {x} apples and {y} {u} of flour for the cake that {b} wants to bake. How many apples does {a} have when {b} takes {x} of them away?"
+        items.append((1000 + n, words(rng, rng.randint(3, 12)) + ". " + make(name, other, n, n + 3, "kg")))
+        texts.append(words(rng, 20) + ". " + items[-1][1].split(". ")[0] + ". " + make(*rng.sample(["Ida", "Kofi", "Ravi"], 2), n + 40, n + 50, "lb"))
+        texts.append(words(rng, 20) + " " + " ".join(items[-1][1].split()[2 : 2 + rng.randint(4, 18)]) + " " + words(rng, 9))
+    bench = spark.createDataFrame(items, BENCH)
+    got = {(r["doc_id"], r["item_id"], r["kind"]) for r in decontaminate.find(docs(spark, texts), bench).collect()}
+    assert got == plain_find(texts, items)
+    assert {k for _, _, k in got} == {"verbatim", "quoted", "reparameterised"}
+
+
+def test_templates_of_repeated_items_and_opening_names(spark):
+    rng = random.Random(18)
+    first, second = words(rng, 20), words(rng, 20)
+    question = "{} has 12 apples. {} gives her 5. How many does {} have"
+    bench = spark.createDataFrame([(1, first), (1, second), (2, question.format("Maria", "Peter", "Maria"))], BENCH)
+    texts = [second, first, question.format("Anna", "Omar", "Anna").replace("12", "31"), "Anna has 12 pears. Omar gives her 5. " + words(rng, 20), words(rng, 4) + " " + " ".join(second.split()[3:18])]
+    got = {(r["doc_id"], r["item_id"]): r["kind"] for r in decontaminate.find(docs(spark, texts), bench).collect()}
+    assert got == {(0, 1): "verbatim", (1, 1): "verbatim", (2, 2): "reparameterised", (4, 1): "verbatim"}
+
+
 def test_templates_empty(spark):
     bench = spark.createDataFrame([], BENCH)
     assert decontaminate.find(awkward(spark), bench).count() == 0
@@ -407,10 +508,20 @@ def test_samples_agree_as_often_as_texts_are_alike():
     weight = near_copies.Idf(1, np.zeros(0), np.zeros(0)).weights(shingle, count)
     cut = np.searchsorted(row, [0, 1, 2])
     v = [(shingle[cut[i] : cut[i + 1]], weight[cut[i] : cut[i + 1]]) for i in (0, 1)]
-    _, _, sketch = near_copies.band_keys(row, shingle, weight)
-    unlike = np.bitwise_count(sketch[0] ^ sketch[1]).sum()
-    estimate = 1 - 2 * unlike / (near_copies.SAMPLES * near_copies.SKETCH)
-    assert abs(estimate - near_copies.similarity(*v)) < 0.2
+    _, sample = near_copies.samples(row, shingle, weight)
+    assert abs((sample[:, 0] == sample[:, 1]).mean() - near_copies.similarity(*v)) < 0.15
+
+
+def test_keep_one_goes_by_id_and_text(spark):
+    """A doc_id that stands for several texts loses only those with a class mate; an exact repeated row stays once."""
+    rng = random.Random(31)
+    a, unique, one, two = (words(rng, 60) for _ in range(4))
+    near = a + " tail"
+    kept = lambda data: sorted((r["doc_id"], r["text"]) for r in near_copies.keep_one(spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in data], DOCS)).collect())
+    assert kept([(1, a), (5, a), (5, unique)]) == sorted([(1, a), (5, unique)])
+    assert kept([(5, one), (5, two)]) == sorted([(5, one), (5, two)])
+    assert kept([(5, one), (5, one), (7, near), (2, a), (2, a)]) == sorted([(2, a), (5, one)])
+    assert len(kept([(3, a), (3, near)])) == 1
 
 
 # ---------------------------------------------------------------- 8
