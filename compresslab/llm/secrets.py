@@ -8,12 +8,15 @@ neighbouring words. The forest removes false positives: checksums, commit ids, p
 The dictionary is a public tokenizer's word list, whose path is a parameter; labelled findings may be given as rows
 (value, before, after, label), else the forest learns from generated ones, which are the same in every run.
 
-Offsets are characters. Null and empty texts have no candidates. Repeated rows are scanned each. Empty tables give no
+Candidates never overlap: a block goes before an assigned value, and a run loses what these cover. What is found in a text
+depends on this text alone, and no value has an upper bound of length. Offsets are characters. Null and empty texts have
+no candidates. Repeated rows are scanned each. Empty tables give no
 rows. Extra columns are not read by scan and left as they are by redact.
 """
 
 from __future__ import annotations
 
+import bisect
 import json
 import math
 import random
@@ -265,14 +268,32 @@ def candidates(raw: np.ndarray, offsets: np.ndarray) -> list[tuple[int, int, int
             add(b, e, "token")
     out = []
     for row in sorted(found):
-        last = -1
-        for b, e, _, kind in sorted(found[row], key=lambda s: (s[0], s[2], -s[1])):
-            if b >= last:
-                out.append((row, b, e, kind))
-                last = e
+        cover: list[tuple[int, int, str]] = []  # sorted, apart from each other
+
+        def over(b, e, cover=cover):
+            i = bisect.bisect_left(cover, (b,))
+            i -= i > 0 and cover[i - 1][1] > b
+            while i < len(cover) and cover[i][0] < e:
+                yield cover[i]
+                i += 1
+
+        # whole blocks first, then assigned values; a run loses what these cover and stays if it is long enough then
+        runs = []
+        for b, e, rank, kind in sorted(found[row], key=lambda s: (s[2], s[0], -s[1])):
+            if rank < 2:
+                if next(over(b, e), None) is None:
+                    bisect.insort(cover, (b, e, kind))
+            else:
+                edges = [b, *(x for k in over(b, e) for x in k[:2]), e]
+                runs += [(lo, hi, kind) for lo, hi in zip(edges[::2], edges[1::2]) if hi - lo >= 16 and (len(edges) == 2 or _mixed(data[lo:hi]))]
+        out += [(row, *k) for k in sorted(cover + runs)]
     return out
 
 
+def _mixed(run: bytes) -> bool:
+    return any(_ALPHA[c] for c in run) and any(W._DIGIT[c] for c in run)
+
+
 def judge(column: pa.Array, model: tuple[Forest, frozenset[str]]):
     """(row, begin, end in characters, kind, value, score) of every candidate of a column of texts."""
     forest, known = model
@@ -293,7 +314,7 @@ def judge(column: pa.Array, model: tuple[Forest, frozenset[str]]):
         before = data[max(low, b - 2 * CONTEXT) : b].decode("utf-8", "ignore")
         after = data[e : min(int(offsets[row + 1]), e + 2 * CONTEXT)].decode("utf-8", "ignore")
         rows.append((row, chars, chars + len(value), kind, value))
-        x.append(features(value[:4096] if kind == "block" else value, before, after, known))  # a block needs no judgement
+        x.append(features(value, before, after, known))
     score = forest.predict(np.array(x))
     return [(*r, 1.0 if r[3] == "block" else float(s)) for r, s in zip(rows, score)]
 
