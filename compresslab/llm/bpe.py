@@ -1,17 +1,19 @@
 """Byte-level BPE by overlapping chunks: pre-tokenise chunks, stitch them, encode the pieces, decode.
 
-A long text is cut into chunks that overlap. Every chunk is pre-tokenised by itself, starting at its
-own first character, so its first boundaries may be wrong; but the pattern scans from left to right
-and looks ahead by one character only, so from the first boundary that it shares with the chunk
-before it, both scans agree for ever. The stitch takes the earlier chunk's boundaries up to that
-place and the later chunk's from there on. A match that reaches into the last characters of a chunk
-is not trusted, as the chunk's end may have cut it. Where an overlap holds no shared boundary (one
-match longer than the overlap), the scan goes on from the last trusted boundary over twice the room.
-
-Texts of up to spread_chars characters are chunked inside one task. Longer ones become chunk rows that
-all executors pre-tokenise in parallel; the boundaries, not the texts, are then gathered per document.
-
-Null and empty texts give no ids (n_tokens 0, hashes of nothing). Repeated rows are encoded each.
+Every text is cut into chunks that overlap (a text of up to one chunk is a single one). Every chunk is pre-tokenised by
+itself, starting at its own first character, so its first boundaries may be wrong; but the pattern scans from left to
+right and looks ahead by one character only, so from the first boundary that it shares with the chunk before it, both
+scans agree for ever. The stitch takes the earlier chunk's boundaries up to that place and the later chunk's from there
+on. A match that reaches into the last characters of a chunk is not trusted, as the chunk's end may have cut it. Where an
+overlap holds no shared boundary (one match longer than the overlap), the scan goes on from the last trusted boundary
+over twice the room. The pieces between boundaries are then encoded one by one.
+
+Texts of up to spread_chars characters are chunked inside one task. Longer ones become chunk rows that all executors
+pre-tokenise in parallel. Their chunks are then put together per document, text and boundaries, in one task: a document's
+hash of ids needs all of them in order, so a task must hold the longest document.
+
+Null and empty texts give no ids (n_tokens 0, hashes of nothing). Repeated rows are encoded each. An empty table gives no
+rows. Extra columns are not read.
 """
 
 from __future__ import annotations
@@ -28,7 +30,7 @@ from pyspark.sql import types as T
 from . import common as C
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
-CHUNK, OVERLAP, SPREAD = 1 << 16, 1 << 10, 1 << 22
+CHUNK, OVERLAP, SPREAD = 1 << 12, 1 << 8, 1 << 22
 
 
 def load_ranks(path: str) -> dict[bytes, int]:
@@ -89,12 +91,13 @@ def boundaries(text: str, pattern, chunk: int = CHUNK, overlap: int = OVERLAP) -
 class Codec:
     """Encoder and decoder of one vocabulary; pieces met before come from a bounded memory."""
 
-    def __init__(self, ranks: dict[bytes, int], pattern: str, remember: int = 20_000):
+    def __init__(self, ranks: dict[bytes, int], pattern: str, remember: int = 50_000):
         import regex
         import tiktoken
 
         self.pattern = regex.compile(pattern)
-        self.core = tiktoken.Encoding("chunked", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
+        # the library merges the bytes of one piece; its own pattern takes whatever it is given as one match
+        self.merges = tiktoken.Encoding("pieces", pat_str=r"(?s:.+)", mergeable_ranks=ranks, special_tokens={})
         self.bytes_of = {v: k for k, v in ranks.items()}
         self.seen: dict[str, list[int]] = {}
         self.remember = remember
@@ -102,21 +105,19 @@ class Codec:
     def piece(self, piece: str) -> list[int]:
         ids = self.seen.get(piece)
         if ids is None:
-            raw = piece.encode("utf-8")
-            ids = self.core._encode_single_piece(raw)
-            if len(self.seen) < self.remember and len(raw) <= 64:
+            ids = self.merges.encode_ordinary(piece)
+            if len(self.seen) < self.remember and len(piece) <= 32:
                 self.seen[piece] = ids
         return ids
 
     def encode(self, text: str, chunk: int = CHUNK, overlap: int = OVERLAP) -> list[int]:
-        if len(text) <= chunk:  # a single chunk: nothing to stitch
-            return self.core.encode_ordinary(text)
         return self.encode_at(text, boundaries(text, self.pattern, chunk, overlap))
 
     def encode_at(self, text: str, ends: list[int]) -> list[int]:
-        ids, start = [], 0
+        ids, start, seen = [], 0, self.seen
         for end in ends:
-            ids += self.piece(text[start:end])
+            piece = text[start:end]
+            ids += seen.get(piece) or self.piece(piece)
             start = end
         return ids
 
