@@ -1,21 +1,26 @@
 """Nearest neighbours by inner product from randomly rotated one-bit codes, with reranking by error bounds.
 
-A unit vector o, padded with zeros to `bits` dimensions, is rotated by a fixed random rotation and kept as the
-signs of its coordinates. With x the sign vector over sqrt(bits) and c = <x, o>, the inner product <o, q> of a
-rotated query q is estimated by <x, q> / c, and the estimate's error is below
-spread * sqrt(1 - c^2) / c / sqrt(bits - 1) * |q| with high probability. Per vector, the packed bits, the norm and
-c are all that the scan reads. Per query, the best estimates are computed exactly first, which gives a value that the
-k-th best cannot be below; only vectors whose upper bound reaches it are computed exactly as well. Scores are inner
-products of the original vectors in double precision.
-
-Rows are dealt by a hash of their id into blocks of a bounded size, and so are the queries; every block of rows meets
-every block of queries once, in a task of its own. In a block equal vectors share a code, and of their ids only the
-k + 1 smallest are kept, which changes no result since ties go to the smaller id; so a vector that a third of all
-rows share costs no more than another.
-
-Vectors that are null, of norm zero, or hold nulls or non-finite values take no part, and nor do rows without an id;
-vectors are compared with those of their own length only. Rows that repeat an id count once: the smallest vector of
-them is kept. A query never finds its own id. Fewer than k candidates: all of them. Empty tables give no rows.
+A unit vector o, padded with zeros to `bits` dimensions, is rotated by a fixed random rotation and kept as the signs of
+its coordinates. With x the sign vector over sqrt(bits) and c = <x, o>, the inner product <o, q> of a rotated unit query q
+is estimated by <x, q> / c, and the estimate's error is below spread * sqrt(1 - c^2) / c / sqrt(bits - 1) with high
+probability.
+
+index() writes one row for every distinct vector: the packed bits, the norm and c, and beside them the vector and the
+k + 1 smallest ids that hold it (ties go to the smaller id, so more are never needed, and a vector that a third of all
+rows share costs no more than another). search() then goes in three steps. (1) Only codes, norms and c move: blocks of
+them meet blocks of queries, and a block keeps for a query the vectors whose upper bound reaches the block's own k + 1
+highest lower bounds. (2) These lower bounds, merged over blocks, give a floor that the k-th best cannot be below, and
+candidates under it go. (3) The vectors that are a candidate of some query of a query block, and no others, are sent to
+that block's pairs and multiplied in double precision. Signs are unpacked a slice at a time for a matrix product, as numpy
+has no faster use of packed bits; what the code saves is the traffic of vectors, not these products.
+
+Norms are taken relative to the largest component, so no finite vector overflows; a vector whose norm is beyond the
+largest double is always reranked. Scores are sums in the order of dimensions in double precision.
+
+Vectors that are null, empty, zero, or hold nulls or non-finite values take no part, and nor do rows without an id;
+vectors are compared with those of their own length only. Rows that repeat an id count once: the smallest vector of them
+is kept. A query never finds its own id. Fewer than k candidates: all of them. Empty tables give no rows. Extra columns are
+not read. The work is rows times queries: random vectors have no cells that would spare any of it.
 """
 
 from __future__ import annotations
@@ -29,150 +34,205 @@ from pyspark.sql import functions as F
 
 from . import common as C
 
-BITS, SPREAD, BLOCK = 256, 3.0, 1 << 15
+BITS, SPREAD, BLOCK, QUERIES = 256, 3.0, 1 << 17, 1 << 13
+SLACK = 1e-5  # rounding of estimates, as a share of the norm
 
 
 def rotation(bits: int, seed: int = 20240501) -> np.ndarray:
     """A random orthogonal matrix, the same in every process."""
     g = np.random.Generator(np.random.Philox(seed)).standard_normal((bits, bits))
     q, r = np.linalg.qr(g)
-    return (q * np.sign(np.diag(r))).astype(np.float32)
+    return q * np.sign(np.diag(r))
 
 
 def code_bits(dims: int, least: int = BITS) -> int:
     return max(least, -(-dims // 64) * 64)
 
 
-class Codes:
-    """Packed bits and the two correction scalars of the rows of a matrix."""
+def unit(vectors: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """(vectors of norm 1, norms); the norm alone may be infinite."""
+    top = np.abs(vectors).max(axis=1, initial=0.0)
+    scaled = vectors / top[:, None]
+    length = np.sqrt((scaled * scaled).sum(axis=1))
+    with np.errstate(over="ignore"):
+        return scaled / length[:, None], top * length
 
-    def __init__(self, vectors: np.ndarray, turn: np.ndarray):
-        dims, bits = vectors.shape[1], len(turn)
-        norm = np.linalg.norm(vectors, axis=1)
-        rotated = (vectors / norm[:, None]).astype(np.float32) @ turn[:dims]
-        self.bits, self.norm = bits, norm.astype(np.float32)
-        self.packed = np.packbits(rotated > 0, axis=1)
-        self.along = np.abs(rotated).sum(axis=1) / np.float32(np.sqrt(bits))
 
-    def signs(self, at: slice) -> np.ndarray:
-        return np.unpackbits(self.packed[at], axis=1).astype(np.float32) * 2 - 1
+def encode(vectors: np.ndarray, turn: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(packed bits, norms, c) of the rows of a matrix."""
+    own, norm = unit(vectors)
+    rotated = own @ turn[: vectors.shape[1]]
+    return np.packbits(rotated > 0, axis=1), norm, np.abs(rotated).sum(axis=1) / np.sqrt(len(turn))
 
-    def estimate(self, queries: np.ndarray, turn: np.ndarray, spread: float = SPREAD) -> tuple[np.ndarray, np.ndarray]:
-        """(estimates, error bounds per unit of query norm): queries x rows, and rows."""
-        turned = queries.astype(np.float32) @ turn[: queries.shape[1]]
-        scale = self.norm / (self.along * np.float32(np.sqrt(self.bits)))
-        out = np.empty((len(queries), len(self.packed)), dtype=np.float32)
-        for at in range(0, len(self.packed), 8192):
-            part = slice(at, at + 8192)
-            out[:, part] = turned @ self.signs(part).T
-        out *= scale
-        error = spread * self.norm * np.sqrt(np.maximum(0, 1 - self.along**2)) / self.along / np.sqrt(self.bits - 1)
-        return out, error.astype(np.float32)
+
+def bounds(packed: np.ndarray, norm: np.ndarray, along: np.ndarray, queries: np.ndarray, turn: np.ndarray, spread: float = SPREAD) -> tuple[np.ndarray, np.ndarray]:
+    """(lower, upper) bounds of the inner products with unit queries: queries x rows."""
+    bits = len(turn)
+    turned = (unit(queries)[0] @ turn[: queries.shape[1]]).astype(np.float32)
+    estimate = np.empty((len(queries), len(packed)))
+    for at in range(0, len(packed), 8192):
+        part = slice(at, at + 8192)
+        estimate[:, part] = turned @ (np.unpackbits(packed[part], axis=1).astype(np.float32) * 2 - 1).T
+    with np.errstate(over="ignore", invalid="ignore"):
+        estimate *= norm / (along * np.sqrt(bits))
+        error = norm * (spread * np.sqrt(np.maximum(0, 1 - along**2)) / along / np.sqrt(bits - 1) + SLACK)
+        lower, upper = estimate - error, estimate + error
+    vast = ~np.isfinite(error)
+    lower[:, vast], upper[:, vast] = -np.inf, np.inf
+    return lower, upper
 
 
 def exact(queries: np.ndarray, qi: np.ndarray, vectors: np.ndarray, vi: np.ndarray) -> np.ndarray:
-    """Inner products of pairs in double precision; equal vectors get equal values."""
-    out = np.empty(len(qi))
-    for at in range(0, len(qi), 1 << 16):
-        p = slice(at, at + (1 << 16))
-        out[p] = (queries[qi[p]].astype(np.float64) * vectors[vi[p]].astype(np.float64)).sum(axis=1)
+    """Inner products of pairs in double precision, summed in the order of dimensions."""
+    out = np.zeros(len(qi))
+    with np.errstate(over="ignore", invalid="ignore"):
+        for at in range(0, len(qi), 1 << 15):
+            p = slice(at, at + (1 << 15))
+            parts = queries[qi[p]] * vectors[vi[p]]
+            total = np.zeros(len(parts))
+            for j in range(parts.shape[1]):
+                total += parts[:, j]
+            out[p] = total
     return out
 
 
-def distinct(ids: np.ndarray, vectors: np.ndarray, keep: int):
-    """Distinct vectors, and of each its `keep` smallest ids: (vectors, owner, ids) with ids sorted by owner."""
-    order = np.argsort(ids, kind="stable")
-    ids, vectors = ids[order], np.ascontiguousarray(vectors[order])
-    _, first, owner = np.unique(vectors.view(np.dtype((np.void, vectors.dtype.itemsize * vectors.shape[1]))).ravel(), return_index=True, return_inverse=True)
-    by = np.argsort(owner, kind="stable")  # ids stay ascending within an owner
-    owner, ids = owner[by], ids[by]
-    begin = np.searchsorted(owner, np.arange(len(first)))
-    near = np.arange(len(owner)) - begin[owner] < keep
-    return vectors[first], owner[near], ids[near]
-
-
-def search_block(ids, vectors, query_ids, queries, k: int, bits: int = BITS, spread: float = SPREAD):
-    """(query_id, vec_id, score) of each query's k best in one block of rows."""
-    unique, owner, names = distinct(ids, vectors, k + 1)
-    begin = np.searchsorted(owner, np.arange(len(unique) + 1))
-    turn = rotation(code_bits(vectors.shape[1], bits))
-    codes = Codes(unique, turn)
-    found = []
-    for at in range(0, len(queries), 256):
-        q, qids = queries[at : at + 256], query_ids[at : at + 256]
-        estimate, error = codes.estimate(q, turn, spread)
-        bound = error[None, :] * np.linalg.norm(q, axis=1).astype(np.float32)[:, None]
-        n = len(unique)
-        if n > 2 * (k + 1):
-            # k + 1 exact values bound the k-th best from below, even if one is the query itself
-            likely = np.argpartition(-estimate, k + 1, axis=1)[:, : k + 1]
-            qi = np.repeat(np.arange(len(q)), k + 1)
-            floor = exact(q, qi, unique, likely.ravel()).reshape(len(q), -1).min(axis=1)
-            qi, vi = np.nonzero(estimate + bound >= (floor - 1e-6 * np.abs(floor))[:, None])
-        else:
-            qi, vi = np.divmod(np.arange(len(q) * n), n)
-        score = exact(q, qi, unique, vi)
-        # back to ids: every vector stands for its kept ids
-        times = begin[vi + 1] - begin[vi]
-        row = np.repeat(np.arange(len(vi)), times)
-        step = np.arange(len(row)) - np.repeat(np.cumsum(times) - times, times)
-        name = names[begin[vi[row]] + step]
-        qi, score = qi[row], score[row]
-        other = name != qids[qi]
-        qi, score, name = qi[other], score[other], name[other]
-        by = np.lexsort((name, -score, qi))
-        qi, score, name = qi[by], score[by], name[by]
-        place = np.arange(len(qi)) - np.searchsorted(qi, qi)
-        top = place < k
-        found.append((qids[qi[top]], name[top], score[top]))
-    return [np.concatenate(x) for x in zip(*found)] if found else [np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)]
-
-
 def sound(vec: Column) -> Column:
     """True for vectors that take part."""
     finite = F.forall(vec, lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v) != float("inf")))
     return F.coalesce(vec.isNotNull() & (F.size(vec) > 0) & finite & F.exists(vec, lambda v: v != 0), F.lit(False))
 
 
-def _columns(table: pa.Table) -> tuple[np.ndarray, np.ndarray]:
-    ids = table.column("vec_id").to_numpy()
-    vectors = table.column("embedding").combine_chunks()
-    if isinstance(vectors, pa.ChunkedArray):
-        vectors = pa.concat_arrays(vectors.chunks)
-    vectors = vectors.flatten().to_numpy(zero_copy_only=False).reshape(len(ids), -1)
-    # rows that repeat an id: the smallest vector stays
-    if len(np.unique(ids)) < len(ids):
-        order = np.lexsort((*vectors.T[::-1], ids))
-        ids, vectors = ids[order], vectors[order]
-        first = np.concatenate([[True], ids[1:] != ids[:-1]])
-        ids, vectors = ids[first], vectors[first]
-    return ids, vectors
+def _matrix(column: pa.ChunkedArray) -> np.ndarray:
+    values = pa.concat_arrays(column.chunks) if isinstance(column, pa.ChunkedArray) else column
+    return values.flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(len(values), -1)
 
 
-def search(vectors: DataFrame, queries: DataFrame, k: int = 20, bits: int = BITS, spread: float = SPREAD, block: int = BLOCK, slices: int = 8) -> DataFrame:
-    """query_id, rank, vec_id, score: each query's k nearest among vectors(vec_id, embedding).
+def _bytes(column: pa.ChunkedArray) -> np.ndarray:
+    raw = pa.concat_arrays(column.chunks) if isinstance(column, pa.ChunkedArray) else column
+    return np.frombuffer(b"".join(raw.to_pylist()), np.uint8).reshape(len(raw), -1)
+
+
+def _lists(values: np.ndarray, sizes: np.ndarray, kind: pa.DataType) -> pa.Array:
+    offsets = np.zeros(len(sizes) + 1, dtype=np.int32)
+    np.cumsum(sizes, out=offsets[1:])
+    return pa.ListArray.from_arrays(pa.array(offsets), pa.array(values, kind))
+
 
-    Blocks hold about `block` rows each; at least `slices` blocks are made, so small tables use all cores too.
+def _renewed(df: DataFrame) -> DataFrame:
+    """df under column identities of its own, for a cogroup with a table that it comes from."""
+    return df.select(*(F.col(c).alias(c) for c in df.columns))
+
+
+def sound_rows(vectors: DataFrame) -> DataFrame:
+    """vec_id, vec (array<double>), dims of the vectors that take part, one row an id."""
+    rows = vectors.select("vec_id", F.col("embedding").cast("array<double>").alias("vec")).where(F.col("vec_id").isNotNull() & sound(F.col("vec")))
+    return rows.groupBy("vec_id").agg(F.min("vec").alias("vec")).withColumn("dims", F.size("vec"))
+
+
+def index(vectors: DataFrame, k: int = 20, bits: int = BITS, block: int = BLOCK, slices: int = 8) -> DataFrame:
+    """rep, dims, rb, packed, norm, along, vec, ids of every distinct vector, as a written table.
+
+    rep is the smallest id that holds the vector, ids the k + 1 smallest, rb the block of about `block` rows (at least
+    `slices` blocks, so that small tables use all cores).
     """
-    good = vectors.select("vec_id", "embedding").where(F.col("vec_id").isNotNull() & sound(F.col("embedding")))
-    asked = queries.select("vec_id", "embedding").where(F.col("vec_id").isNotNull() & sound(F.col("embedding")))
-    rows, many = good.count(), asked.count()
-    row_blocks = max(slices, -(-rows // block)) if rows > 4096 else 1
-    query_blocks = max(1, -(-many // block))
-    deal = lambda n, seed: F.pmod(F.xxhash64(F.col("vec_id"), F.lit(seed)), F.lit(n)).cast("int")
-    every = lambda n: F.explode(F.sequence(F.lit(0), F.lit(n - 1)))
-    left = good.select("vec_id", "embedding", F.size("embedding").alias("dims"), deal(row_blocks, 1).alias("rb"), every(query_blocks).alias("qb"))
-    right = asked.select("vec_id", "embedding", F.size("embedding").alias("dims"), every(row_blocks).alias("rb"), deal(query_blocks, 2).alias("qb"))
-
-    def meet(left_table: pa.Table, right_table: pa.Table) -> pa.Table:
-        names = ["query_id", "vec_id", "score"]
-        if left_table.num_rows == 0 or right_table.num_rows == 0:
-            return pa.table([pa.array([], pa.int64()), pa.array([], pa.int64()), pa.array([], pa.float64())], names=names)
-        found = search_block(*_columns(left_table), *_columns(right_table), k, bits, spread)
-        return pa.table([pa.array(found[0], pa.int64()), pa.array(found[1], pa.int64()), pa.array(found[2], pa.float64())], names=names)
+    rows = C.materialize(sound_rows(vectors), "onebit-rows")
+    blocks = max(slices, -(-rows.count() // block))
+    place = F.row_number().over(Window.partitionBy("vec").orderBy("vec_id"))
+    # the group limit keeps k + 1 ids of a vector in every task before anything is shuffled
+    few = rows.withColumn("place", place).where(F.col("place") <= k + 1)
+    distinct = few.groupBy("vec", "dims").agg(F.sort_array(F.collect_list("vec_id")).alias("ids")).withColumn("rep", F.col("ids")[0])
+    dealt = distinct.select("rep", "dims", F.pmod(F.xxhash64("rep"), F.lit(blocks)).cast("int").alias("rb"), "vec", "ids")
+
+    def code(batches):
+        turns: dict[int, np.ndarray] = {}
+        for b in batches:
+            dims = b.column("dims").to_numpy()
+            packed, norm, along = [b""] * len(dims), np.zeros(len(dims)), np.zeros(len(dims))
+            for d in np.unique(dims).tolist():
+                at = np.flatnonzero(dims == d)
+                turn = turns.setdefault(d, rotation(code_bits(d, bits)))
+                own, norm[at], along[at] = encode(_matrix(b.column("vec").take(pa.array(at))), turn)
+                for i, p in zip(at.tolist(), own):
+                    packed[i] = p.tobytes()
+            yield pa.RecordBatch.from_arrays([*(b.column(c) for c in ("rep", "dims", "rb")), pa.array(packed, pa.binary()), pa.array(norm), pa.array(along), b.column("vec"), b.column("ids")], names=["rep", "dims", "rb", "packed", "norm", "along", "vec", "ids"])
+
+    return C.materialize(dealt.mapInArrow(code, "rep long, dims int, rb int, packed binary, norm double, along double, vec array<double>, ids array<long>"), "onebit-index")
+
 
+def search(vectors: DataFrame, queries: DataFrame, k: int = 20, bits: int = BITS, spread: float = SPREAD, block: int = BLOCK, slices: int = 8) -> DataFrame:
+    """query_id, rank, vec_id, score: each query's k nearest among vectors(vec_id, embedding)."""
+    table = index(vectors, k, bits, block, slices)
+    asked = sound_rows(queries).withColumnRenamed("vec_id", "query_id")
+    asked = C.materialize(asked, "onebit-queries")
+    query_blocks = max(1, -(-asked.count() // QUERIES))
+    asked = asked.withColumn("qb", F.pmod(F.xxhash64("query_id"), F.lit(query_blocks)).cast("int"))
+    places = table.select("dims", "rb").distinct()  # one row a block
     keys = ["dims", "rb", "qb"]
-    near = left.groupBy(*keys).cogroup(right.groupBy(*keys)).applyInArrow(meet, "query_id long, vec_id long, score double")
+    codes = table.select("rep", "dims", "rb", F.explode(F.sequence(F.lit(0), F.lit(query_blocks - 1))).alias("qb"), "packed", "norm", "along")
+    meeting = asked.join(F.broadcast(places) if query_blocks * slices < 1 << 16 else places, "dims")
+
+    def scan(left: pa.Table, right: pa.Table) -> pa.Table:
+        out = []
+        if left.num_rows and right.num_rows:
+            reps, norm, along, packed = left.column("rep").to_numpy(), left.column("norm").to_numpy(), left.column("along").to_numpy(), _bytes(left.column("packed"))
+            ids, q = right.column("query_id").to_numpy(), _matrix(right.column("vec"))
+            turn, n = rotation(code_bits(q.shape[1], bits)), len(reps)
+            for at in range(0, len(q), 64):
+                lower, upper = bounds(packed, norm, along, q[at : at + 64], turn, spread)
+                # k + 1 of them, as one may be the query itself
+                best = -np.sort(-np.partition(lower, max(0, n - k - 1), axis=1)[:, -(k + 1) :], axis=1)
+                floor = best[:, -1] if n > k else np.full(len(best), -np.inf)
+                qi, vi = np.nonzero(upper >= floor[:, None])
+                many = np.bincount(qi, minlength=len(best))
+                out.append((ids[at : at + 64], _lists(reps[vi], many, pa.int64()), _lists(upper[qi, vi], many, pa.float64()), _lists(best.ravel(), np.full(len(best), best.shape[1]), pa.float64())))
+        names = ["query_id", "reps", "uppers", "lowers"]
+        kinds = (pa.int64(), pa.list_(pa.int64()), pa.list_(pa.float64()), pa.list_(pa.float64()))
+        columns = [pa.concat_arrays([pa.array(x, t) if isinstance(x, np.ndarray) else x for x in c]) for c, t in zip(zip(*out), kinds)] if out else [pa.array([], t) for t in kinds]
+        side = {c: pa.array(np.full(len(columns[0]), right.column(c)[0].as_py() if right.num_rows else 0, np.int32)) for c in keys}
+        return pa.table([*columns, *side.values()], names=[*names, *keys])
+
+    scanned = codes.groupBy(*keys).cogroup(_renewed(meeting).groupBy(*keys)).applyInArrow(scan, "query_id long, reps array<long>, uppers array<double>, lowers array<double>, dims int, rb int, qb int")
+    scanned = C.materialize(scanned, "onebit-scanned")
+    order = Window.partitionBy("query_id").orderBy(F.desc("low"))
+    floors = scanned.select("query_id", F.explode("lowers").alias("low")).withColumn("place", F.row_number().over(order)).where(F.col("place") == k + 1).select("query_id", F.col("low").alias("floor"))
+    pairs = (
+        scanned.join(floors, "query_id", "left").select("query_id", *keys, F.explode(F.arrays_zip("reps", "uppers")).alias("p"), F.coalesce("floor", F.lit(float("-inf"))).alias("floor"))
+        .where(F.col("p.uppers") >= F.col("floor")).select("query_id", *keys, F.col("p.reps").alias("rep"))
+    )
+    wanted = C.materialize(pairs.groupBy("query_id", *keys).agg(F.collect_list("rep").alias("reps")), "onebit-pairs")  # at most a block of rows
+    needed = wanted.select("dims", "rb", "qb", F.explode("reps").alias("rep")).distinct()
+    sent = needed.join(table.select("rep", "dims", "rb", "vec", "ids"), ["rep", "dims", "rb"])
+    requests = wanted.join(asked.select("query_id", "vec"), "query_id")
+
+    def rerank(left: pa.Table, right: pa.Table) -> pa.Table:
+        found = [[np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)]]
+        if left.num_rows and right.num_rows:
+            reps, v = left.column("rep").to_numpy(), _matrix(left.column("vec"))
+            by = np.argsort(reps)
+            reps, v = reps[by], v[by]
+            owners = left.column("ids").to_pylist()
+            owners = [owners[i] for i in by.tolist()]
+            begin = np.concatenate([[0], np.cumsum([len(o) for o in owners])])
+            names = np.array([i for o in owners for i in o], dtype=np.int64)
+            ids, q, lists = right.column("query_id").to_numpy(), _matrix(right.column("vec")), right.column("reps").to_pylist()
+            for i, own in enumerate(lists):
+                vi = np.searchsorted(reps, np.array(own, dtype=np.int64))
+                score = exact(q, np.full(len(vi), i), v, vi)
+                score[np.isnan(score)] = -np.inf
+                if len(vi) > 4 * (k + 1):  # distinct vectors: the k + 1 best scores hold the k best ids
+                    top = score >= np.partition(score, len(score) - k - 1)[len(score) - k - 1]
+                    vi, score = vi[top], score[top]
+                # back to ids: every vector stands for its kept ids
+                times = begin[vi + 1] - begin[vi]
+                row = np.repeat(np.arange(len(vi)), times)
+                name = names[begin[vi[row]] + np.arange(len(row)) - np.repeat(np.cumsum(times) - times, times)]
+                score, other = score[row], name != ids[i]
+                name, score = name[other], score[other]
+                best = np.lexsort((name, -score))[:k]
+                found.append([np.full(len(best), ids[i]), name[best], score[best]])
+        return pa.table([pa.array(np.concatenate(c)) for c in zip(*found)], names=["query_id", "vec_id", "score"])
+
+    near = sent.groupBy(*keys).cogroup(_renewed(requests).groupBy(*keys)).applyInArrow(rerank, "query_id long, vec_id long, score double")
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return near.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
@@ -181,8 +241,7 @@ def brute_force(ids: np.ndarray, vectors: np.ndarray, query_ids, k: int) -> Iter
     """The answer that search must give, on small inputs."""
     place = {int(i): n for n, i in enumerate(ids)}
     for q in query_ids:
-        v = vectors[place[int(q)]].astype(np.float64)
-        score = (vectors.astype(np.float64) * v).sum(axis=1)
+        score = exact(vectors.astype(np.float64), np.full(len(ids), place[int(q)]), vectors.astype(np.float64), np.arange(len(ids)))
         order = [i for i in np.lexsort((ids, -score)) if ids[i] != q][:k]
         for r, i in enumerate(order, 1):
             yield int(q), r, int(ids[i]), float(score[i])

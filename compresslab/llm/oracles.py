@@ -1,4 +1,4 @@
-"""DuckDB SQL for the operators that SQL can state: URL judgments and the pages of WARC archives."""
+"""DuckDB SQL for the operators that SQL can state: URL judgments, neighbours and the pages of WARC archives."""
 
 from __future__ import annotations
 
@@ -36,3 +36,9 @@ g AS (SELECT *, list_transform(range(8), lambda i: ('0x' || substr(hex, i::INT *
 SELECT page_id, strlen(html)::BIGINT AS payload_bytes,
  list_aggregate(list_transform(parts, lambda n: 'ABCDEFGHIJKLMNOPQRSTUVWXYZ234567'[n // 32768 + 1] || 'ABCDEFGHIJKLMNOPQRSTUVWXYZ234567'[(n // 1024) % 32 + 1] || 'ABCDEFGHIJKLMNOPQRSTUVWXYZ234567'[(n // 32) % 32 + 1] || 'ABCDEFGHIJKLMNOPQRSTUVWXYZ234567'[n % 32 + 1]), 'string_agg', '') AS payload_digest,
  CASE WHEN page_id = first THEN 'response' ELSE 'revisit' END AS record_type, CASE WHEN page_id = first THEN NULL ELSE first END AS refers_to FROM g"""
+
+
+# sums in the order of dimensions, as doubles; a query never meets itself
+SEARCH = """WITH e AS (SELECT vec_id, min(embedding::DOUBLE[]) AS v FROM embeddings WHERE vec_id IS NOT NULL AND len(embedding) > 0 AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0 AND len(list_filter(embedding, lambda x: x <> 0)) > 0 GROUP BY vec_id),
+s AS (SELECT q.vec_id AS query_id, c.vec_id, list_reduce(list_transform(list_zip(q.v, c.v), lambda p: p[1] * p[2]), lambda a, b: a + b) AS score FROM e q JOIN e c ON q.vec_id % 20 = 0 AND q.vec_id <> c.vec_id AND len(q.v) = len(c.v))
+SELECT query_id, rank::INT AS rank, vec_id, score FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS rank FROM s) WHERE rank <= 20"""

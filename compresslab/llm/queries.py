@@ -15,4 +15,4 @@ QUERIES = {
     "op10_shard_vector_packing": shards.query,
 }
 
-ORACLES: dict[str, str] = {"op1_url_trust_graph": oracles.url_sql(), "op4_warc_reassembly": oracles.WARC}
+ORACLES: dict[str, str] = {"op1_url_trust_graph": oracles.url_sql(), "op3_one_bit_codes": oracles.SEARCH, "op4_warc_reassembly": oracles.WARC}

@@ -6,8 +6,8 @@ import random
 import numpy as np
 import pyarrow as pa
 
-from compresslab.llm import bpe, secrets, toxicity
-from tests.llm.test_operators import DOCS, brute_classes, words
+from compresslab.llm import secrets, toxicity
+from tests.llm.test_operators import DOCS, brute_classes, plain_codec, words
 
 
 def test_pipeline_is_its_stages(spark, tmp_path):
@@ -29,14 +29,14 @@ def test_pipeline_is_its_stages(spark, tmp_path):
     classes = brute_classes([texts[i] for i in left])
     left = [left[k] for k in sorted(set(classes))]
     left = [i for i in left if item not in (texts[i] or "")]
-    codec, forest = bpe.Codec(*bpe.default_vocabulary()), secrets.train()
+    plain, forest = plain_codec(), secrets.train()
     assert sorted(got) == left
     for i in left:
         t = texts[i] or ""
         for _, b, e, _, _, s in reversed(secrets.judge(pa.array([t]), forest)):
             if s >= 0.5:
                 t = t[:b] + "[SECRET]" + t[e:]
-        ids = codec.core.encode_ordinary(t)
+        ids = plain.encode_ordinary(t)
         assert (got[i]["n_tokens"], got[i]["ids_sha256"]) == (len(ids), hashlib.sha256(np.array(ids, "<u4").tobytes()).hexdigest())
         assert got[i]["decoded_sha256"] == hashlib.sha256(t.encode()).hexdigest()
 
