@@ -1,13 +1,15 @@
 """Toxicity: a linear classifier on character n-grams scaled by naive Bayes log-count ratios.
 
-Every text becomes the set of its character n-grams (byte runs of a folded text, each word set off
-by one blank on either side, so a run that starts with a blank is tied to a word's start). Feature j
-is binary and scaled by r_j, the log of the ratio of its smoothed share among toxic and among clean
-training texts; a logistic regression with an L2 penalty is fitted on the scaled features.
-
-Null, empty and letterless texts have no features and get the score of the intercept. Repeated rows
-are scored alike. An empty training table gives a model that scores everything 0. Labels of one
-doc_id that disagree count as toxic. Extra columns are never read.
+Every text becomes the set of its character n-grams (runs of characters of a folded text, each word set off by one blank on
+either side, so a run that starts with a blank is tied to a word's start), hashed to 2^BITS features. Feature j is binary
+and scaled by r_j, the log of the ratio of its smoothed share among toxic and among clean training texts. A logistic
+regression is fitted on the scaled features, with the mean loss plus l2 / (2 n) times the squared weights as its objective
+(n training texts). At most `keep` features, those that tell most by the likelihood-ratio statistic, have a weight.
+
+Null, empty and letterless texts have no features and get the score of the intercept. Repeated rows are scored alike, very
+long ones whole. An empty training table gives a model that scores everything 0. Labels of one doc_id that disagree count as
+toxic; rows with a null doc_id are never learned from, are scored, and held_out is null for them. Extra columns are never
+read.
 """
 
 from __future__ import annotations
@@ -30,6 +32,9 @@ BITS = 20
 def gram_ids(raw: np.ndarray, offsets: np.ndarray, wanted: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
     """(row, feature) of every distinct n-gram of each text; wanted: only features where it is true."""
     seq, bounds = W.spaced(raw, offsets)
+    # from the bytes of UTF-8 to characters; a text starts and ends with a blank, so none is cut
+    starts = np.concatenate([[0], np.cumsum((seq & 0xC0) != 0x80)])
+    seq, bounds = np.frombuffer(seq.tobytes().decode("utf-8", "replace").encode("utf-32-le"), np.uint32), starts[bounds]
     row = np.repeat(np.arange(len(bounds) - 1), np.diff(bounds))
     out = []
     rolling = np.zeros(len(seq), dtype=np.uint64)
@@ -59,7 +64,7 @@ def _pieces(batch: pa.RecordBatch):
         yield piece, *C.text_bytes(piece.column("text"))
 
 
-def train(texts: pa.Array, labels: np.ndarray, keep: int = 20_000, l2: float = 1.0, steps: int = 120, alpha: float = 1.0) -> dict:
+def train(texts: pa.Array, labels: np.ndarray, keep: int = 20_000, l2: float = 2.0, steps: int = 400, alpha: float = 1.0) -> dict:
     """Fit the model on texts held in memory (a bounded sample). Deterministic."""
     labels = np.asarray(labels, dtype=np.float64)
     empty = {"index": np.zeros(0, np.int64), "weight": np.zeros(0, np.float32), "bias": -50.0}
@@ -105,11 +110,18 @@ def train(texts: pa.Array, labels: np.ndarray, keep: int = 20_000, l2: float = 1
     unit = scaled / norm
     ahead, ahead_bias, t = weight.copy(), bias, 1.0
     rate = 4.0
+    # x is divided by `norm`, so weights are larger by it and their penalty smaller by its square
+    penalty = l2 / size / norm**2
+    # sums go over runs: rows come sorted by text, and once more by feature
+    texts_with, first_of = np.unique(rows, return_index=True)
+    order = np.argsort(cols, kind="stable")
+    by_feature, first_by = rows[order], np.searchsorted(cols[order], np.arange(len(index)))
+    del order
     for _ in range(steps):
-        z = np.bincount(rows, weights=(unit * ahead)[cols], minlength=size) + ahead_bias
-        p = 1 / (1 + np.exp(-np.clip(z, -40, 40)))
-        err = p - labels
-        grad = unit * np.bincount(cols, weights=err[rows], minlength=len(index)) / size + l2 * 1e-6 * ahead
+        z = np.zeros(size)
+        z[texts_with] = np.add.reduceat((unit * ahead)[cols], first_of)
+        err = 1 / (1 + np.exp(-np.clip(z + ahead_bias, -40, 40))) - labels
+        grad = unit * np.add.reduceat(err[by_feature], first_by) / size + penalty * ahead
         new_weight, new_bias = ahead - rate * size / max(n1, 1) * grad, ahead_bias - rate * err.mean()
         t2 = (1 + math.sqrt(1 + 4 * t * t)) / 2
         ahead, ahead_bias = new_weight + (t - 1) / t2 * (new_weight - weight), new_bias + (t - 1) / t2 * (new_bias - bias)
