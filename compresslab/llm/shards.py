@@ -1,26 +1,29 @@
 """Vector bin packing: shards balanced in bytes, tokens and rows at once.
 
-Rows with equal texts form a group. Groups are hashed to a fixed number of cells, each with a vector
-(bytes, tokens, rows); a group that alone would fill a sizeable part of a shard (a bounded number of
-them, as their sizes sum to the whole) leaves its cell and is cut into pieces by a hash of doc_id, each
-a cell of its own. Only these cells, whose number does not grow with the data, come to the driver.
-There they are placed, largest first, in the shard where the dot product of the cell's vector with
-the residual capacity is highest, among the shards that still have room for it.
+Rows with equal texts form a group with a vector (bytes, tokens, rows); tokens are runs of characters that are not
+blanks. Groups are dealt by a hash into blocks of about `block` groups, and every block is packed by itself, in parallel,
+with a fair share of each shard as its capacity: largest first, a group goes to the shard where the dot product of its
+vector with the residual capacity is highest, among the shards that still have room for it. Blocks are near equal in
+every dimension and each is balanced, so shards are too, and no task and no driver sees all groups. A group that alone
+would fill more than 1/parts of a shard's share of a block is cut into pieces by a hash of its rows, so one text that
+very many rows hold is spread.
 
-A row's slot is the first slot of its cell plus its rank in the cell, so no window spans a shard. Null
-texts have no bytes and no tokens. Rows that are equal in everything get distinct slots. Rows with a
-null doc_id sort first. An empty table gives no rows.
+Slots: a shard's slots are dealt to blocks in order, within a block to its pieces, within a piece to rows by doc_id, so
+no window spans a shard. Null texts have no bytes and no tokens. Rows that are equal in everything get distinct slots.
+Rows with a null doc_id sort first. Very long texts are only measured, by built-in functions. An empty table gives no rows;
+extra columns are not read.
 """
 
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import common as C
 
-CELLS, PARTS = 8192, 16
+BLOCK, PARTS, SMALL = 1 << 16, 16, 2_000_000
 
 
 def place(sizes: np.ndarray, shards: int) -> np.ndarray:
@@ -29,19 +32,20 @@ def place(sizes: np.ndarray, shards: int) -> np.ndarray:
     unit = sizes / np.where(total > 0, total / shards, 1)  # a shard's fair share is 1 in every dimension
     residual = np.ones((shards, sizes.shape[1]))
     out = np.zeros(len(sizes), dtype=np.int32)
-    for i in np.lexsort((np.arange(len(sizes)), -unit.max(axis=1))):
-        fits = (residual >= unit[i] - 1e-12).all(axis=1)
-        gain = residual @ unit[i]
+    for i in np.lexsort((np.arange(len(sizes)), -unit.max(axis=1))).tolist():
+        own = unit[i]
+        left = residual - own
+        room = left.min(axis=1)
+        fits = room >= -1e-12
         # where no shard has room, the one that is left least over its share
-        best = int(np.argmax(np.where(fits, gain, -np.inf))) if fits.any() else int(np.argmax((residual - unit[i]).min(axis=1)))
+        best = int(np.where(fits, residual @ own, -np.inf).argmax() if fits.any() else room.argmax())
         out[i] = best
-        residual[best] -= unit[i]
+        residual[best] = left[best]
     return out
 
 
-def pack(docs: DataFrame, shards: int = 40, cells: int = CELLS, parts: int = PARTS) -> DataFrame:
+def pack(docs: DataFrame, shards: int = 40, block: int = BLOCK, parts: int = PARTS) -> DataFrame:
     """doc_id, size, text_crc32, shard, slot of every row of docs."""
-    spark = docs.sparkSession
     text = F.coalesce(F.col("text"), F.lit(""))
     rows = C.materialize(
         docs.select(
@@ -53,46 +57,47 @@ def pack(docs: DataFrame, shards: int = 40, cells: int = CELLS, parts: int = PAR
         ),
         "shards-rows",
     )
-    totals = rows.agg(F.sum("size"), F.sum("tokens"), F.count("*")).first()
-    if not totals[2]:
+    groups = C.materialize(rows.groupBy("group").agg(F.sum("size").alias("b"), F.sum("tokens").alias("t"), F.count("*").alias("n")), "shards-groups")
+    totals = groups.agg(F.sum("b"), F.sum("t"), F.sum("n"), F.count("*")).first()
+    if not totals[3]:
         return rows.select("doc_id", "size", "text_crc32", F.lit(0).alias("shard"), F.lit(0).cast("long").alias("slot"))
-    limits = [max(1.0, (t or 0) / shards / parts) for t in totals]
-    # groups above 1/parts of a shard in some dimension: at most 3 * parts * shards of them
-    heavy = (
-        rows.groupBy("group").agg(F.sum("size").alias("b"), F.sum("tokens").alias("t"), F.count("*").alias("n"))
-        .select("group", F.ceil(F.greatest(F.col("b") / limits[0], F.col("t") / limits[1], F.col("n") / limits[2])).cast("int").alias("pieces"), "n")
-        .where((F.col("pieces") > 1) & (F.col("n") > 1))
-        .select("group", "pieces")
-    )
-    heavy = C.materialize(heavy, "shards-heavy")
-    celled = rows.join(F.broadcast(heavy), "group", "left").withColumn(
-        "cell",
-        F.when(F.col("pieces").isNull(), F.concat(F.lit("c"), F.pmod(F.col("group"), F.lit(cells))))
-        .otherwise(F.concat_ws(":", F.lit("g"), F.col("group"), F.pmod(F.xxhash64("doc_id", "size"), F.col("pieces")))),
-    ).drop("pieces", "tokens_")
-    weights = celled.groupBy("cell").agg(F.sum("size"), F.sum("tokens"), F.count("*")).orderBy("cell").collect()
-    names = [w[0] for w in weights]
-    sizes = np.array([[w[1], w[2], w[3]] for w in weights], dtype=np.float64)
-    shard = place(sizes, shards)
-    first, used = [], [0] * shards
-    for s, n in zip(shard, sizes[:, 2]):
-        first.append(used[s])
-        used[s] += int(n)
-    plan = spark.createDataFrame([(c, int(s), int(f)) for c, s, f in zip(names, shard, first)], "cell string, shard int, first_slot long")
-    order = Window.partitionBy("cell").orderBy("doc_id", "text_crc32", "size")
+    blocks = -(-totals[3] // block)
+    # heavy groups are cut; their pieces are dealt over the blocks like groups of their own
+    limits = [max(1.0, (t or 0) / blocks / shards / parts) for t in totals[:3]]
+    pieces = F.least(F.col("n"), F.ceil(F.greatest(F.col("b") / limits[0], F.col("t") / limits[1], F.col("n") / limits[2]))).cast("int")
+    heavy = C.materialize(groups.withColumn("pieces", pieces).where("pieces > 1").select("group", "pieces"), "shards-heavy")
+    if heavy.count() <= SMALL:  # their pieces sum to three times blocks x shards x parts at most
+        heavy = F.broadcast(heavy)
+    piece = F.when(F.col("pieces").isNull(), F.lit(0)).otherwise(F.pmod(F.xxhash64("doc_id", "size", "text_crc32"), F.col("pieces"))).cast("int")
+    celled = rows.join(heavy, "group", "left").select("doc_id", "size", "text_crc32", "tokens", "group", piece.alias("piece"))
+    if blocks > 1:
+        celled = C.materialize(celled, "shards-celled")
+    cells = celled.groupBy("group", "piece").agg(F.sum("size").alias("b"), F.sum("tokens").alias("t"), F.count("*").alias("n")).withColumn("block", F.pmod(F.xxhash64("group", "piece", F.lit(1)), F.lit(blocks)).cast("int"))
+
+    def pack_block(table: pa.Table) -> pa.Table:
+        order = np.lexsort((table.column("piece").to_numpy(), table.column("group").to_numpy()))
+        table = table.take(pa.array(order))
+        sizes = np.stack([table.column(c).to_numpy().astype(np.float64) for c in "btn"], axis=1)
+        shard = place(sizes, shards)
+        first, used = np.zeros(len(shard), np.int64), np.zeros(shards, np.int64)
+        by = np.argsort(shard, kind="stable")
+        n = table.column("n").to_numpy()[by]
+        before = np.cumsum(n) - n
+        start = np.searchsorted(shard[by], shard[by])
+        first[by] = before - before[start]
+        return pa.table([table.column("group"), table.column("piece"), table.column("block"), pa.array(shard), pa.array(first), table.column("n")], names=["group", "piece", "block", "shard", "first", "n"])
+
+    plan = C.materialize(cells.groupBy("block").applyInArrow(pack_block, "group long, piece int, block int, shard int, first long, n long"), "shards-plan")
+    filled = plan.groupBy("shard", "block").agg(F.sum("n").alias("rows"))  # blocks x shards rows
+    starts = filled.select("shard", "block", F.coalesce(F.sum("rows").over(Window.partitionBy("shard").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("start"))
+    plan = plan.join(starts, ["shard", "block"]).select("group", "piece", "shard", (F.col("first") + F.col("start")).alias("first_slot"))
+    order = Window.partitionBy("group", "piece").orderBy("doc_id", "text_crc32", "size")
     return (
-        celled.select("doc_id", "size", "text_crc32", "cell")
-        .withColumn("rank", F.row_number().over(order))
-        .join(F.broadcast(plan), "cell")
+        celled.select("doc_id", "size", "text_crc32", "group", "piece").withColumn("rank", F.row_number().over(order)).join(plan, ["group", "piece"])
         .select("doc_id", "size", "text_crc32", "shard", (F.col("first_slot") + F.col("rank") - 1).cast("long").alias("slot"))
     )
 
 
-def write_shards(docs: DataFrame, path: str, shards: int = 40) -> None:
-    """Parquet folders shard=0..n of doc_id, size and slot."""
-    pack(docs, shards).repartition("shard").sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(path)
-
-
 def query(spark: SparkSession, sf_dir: str) -> DataFrame:
     packed = pack(C.table(spark, sf_dir, "documents"))
     return packed.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"))
