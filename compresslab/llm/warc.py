@@ -10,8 +10,12 @@ Reading. Files come in as binary rows of a bounded size and are parsed record by
 decoded where they are; segments are grouped by origin identifier, ordered by segment number, checked to
 be gapless and of the stated total length, and then decoded. A digest that does not match raises an error.
 
-A null html is an empty payload; a null url is written as an empty target. Rows that share a page_id and the
-smallest payload are all responses. A null page_id is kept as such. Empty tables give no rows.
+Each file is one gzip member, as Spark's sink writes it: whole files are read, records cannot be sought by offset. Revisits
+name their response by page (Refers-To-Page-Id) and by its target and payload digest, as the standard's revisit profile asks.
+
+A null html is an empty payload; a null url is written as an empty target. Rows that share a page_id and the smallest payload
+are all responses. A null page_id is kept as such. Very long pages become as many segments as they need; a task must hold
+the longest. Empty tables give no rows; columns other than page_id, url and html are not read.
 """
 
 from __future__ import annotations
@@ -28,7 +32,8 @@ from pyspark.sql import functions as F
 from . import common as C
 
 END = b"\r\n\r\n"
-SEGMENT, FRAME, FILE_BYTES = 16 << 10, 4 << 10, 16 << 20
+SEGMENT, FRAME, FILE_RECORDS, SALTS = 16 << 10, 4 << 10, 4000, 16
+DATE = "2024-01-01T00:00:00Z"
 NAMESPACE = uuid.UUID("6ba7b811-9dad-11d1-80b4-00c04fd430c8")
 
 
@@ -61,7 +66,7 @@ def unchunked(body: bytes) -> bytes:
 
 def record(kind: str, record_id: str, block: bytes, fields: dict) -> bytes:
     """A record without the four bytes that end it."""
-    head = {"WARC-Type": kind, "WARC-Record-ID": f"<urn:uuid:{record_id}>", "WARC-Date": "2024-01-01T00:00:00Z", "Content-Length": len(block)} | fields
+    head = {"WARC-Type": kind, "WARC-Record-ID": f"<urn:uuid:{record_id}>", "WARC-Date": DATE, "WARC-Block-Digest": f"sha1:{digest(block)}", "Content-Length": len(block)} | fields
     return b"WARC/1.1\r\n" + "".join(f"{k}: {v}\r\n" for k, v in head.items() if v is not None).encode() + b"\r\n" + block
 
 
@@ -69,13 +74,13 @@ def _one_line(url: str | None) -> str:
     return "".join(c for c in url or "" if c not in "\r\n")
 
 
-def page_records(page_id, row: int, url, payload: bytes, payload_digest: str, original, segment: int = SEGMENT, frame: int = FRAME) -> list[bytes]:
+def page_records(page_id, row: int, url, payload: bytes, payload_digest: str, original, segment: int = SEGMENT, frame: int = FRAME, original_url=None) -> list[bytes]:
     """All records of one page. original: the response's page_id if this is a revisit, else None."""
     name = str(uuid.uuid5(NAMESPACE, f"{page_id}:{row}"))
     fields = {"WARC-Target-URI": _one_line(url), "Page-Id": page_id, "WARC-Payload-Digest": f"sha1:{payload_digest}"}
     if original is not None:
         block = f"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Length: {len(payload)}\r\n\r\n".encode()
-        profile = {"WARC-Profile": "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest", "Refers-To-Page-Id": original, "Content-Type": "application/http;msgtype=response"}
+        profile = {"WARC-Profile": "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest", "Refers-To-Page-Id": original, "WARC-Refers-To-Target-URI": _one_line(original_url), "WARC-Refers-To-Date": DATE, "Content-Type": "application/http;msgtype=response"}
         return [record("revisit", name, block, fields | profile)]
     message = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nTransfer-Encoding: chunked\r\n\r\n" + chunked(payload, frame)
     fields["Content-Type"] = "application/http;msgtype=response"
@@ -100,10 +105,14 @@ def write(pages: DataFrame, path: str, segment: int = SEGMENT, frame: int = FRAM
     named = pages.select("page_id", "url", "html", F.sha1(html).alias("sha"), F.octet_length(html).alias("n"))
     # only payloads that occur more than once need a look at the others
     repeated = (
-        named.where(F.col("n") >= least).groupBy("sha", "n").agg(F.min("page_id").alias("first_id"), F.count("*").alias("copies"))
-        .where("copies > 1").select("sha", "n", "first_id")
+        named.where(F.col("n") >= least).groupBy("sha", "n").agg(F.min("page_id").alias("first_id"), F.min_by("url", F.struct("page_id", "url")).alias("first_url"), F.count("*").alias("copies"))
+        .where("copies > 1").select("sha", "n", "first_id", "first_url")
     )
-    rows = named.join(repeated, ["sha", "n"], "left").select("page_id", "url", "html", "sha", F.when(~F.col("page_id").eqNullSafe(F.col("first_id")), F.col("first_id")).alias("original"), F.monotonically_increasing_id().alias("row"))
+    # a payload that very many pages share (the empty one, say) is spread over SALTS keys
+    salted = named.withColumn("salt", F.pmod(F.xxhash64("page_id", "url"), F.lit(SALTS)).cast("int"))
+    met = salted.join(repeated.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1)))), ["sha", "n", "salt"], "left")
+    other = ~F.col("page_id").eqNullSafe(F.col("first_id"))
+    rows = met.select("page_id", "url", "html", "sha", F.when(other, F.col("first_id")).alias("original"), F.when(other, F.col("first_url")).alias("original_url"), F.monotonically_increasing_id().alias("row"))
 
     def run(batches):
         for b in batches:
@@ -112,11 +121,11 @@ def write(pages: DataFrame, path: str, segment: int = SEGMENT, frame: int = FRAM
                 for r in piece.to_pylist():
                     payload = (r["html"] or "").encode("utf-8")
                     sha = base64.b32encode(bytes.fromhex(r["sha"])).decode()
-                    out += page_records(r["page_id"], r["row"], r["url"], payload, sha, r["original"], segment, frame)
+                    out += page_records(r["page_id"], r["row"], r["url"], payload, sha, r["original"], segment, frame, r["original_url"])
                 yield pa.RecordBatch.from_arrays([pa.array(out, pa.binary())], names=["record"])
 
     records = rows.mapInArrow(run, C.schema(record=C.BINARY))
-    records.select(F.col("record").cast("string").alias("value")).write.option("lineSep", END.decode()).option("compression", "gzip").option("maxRecordsPerFile", 4000).text(path)
+    records.select(F.col("record").cast("string").alias("value")).write.option("lineSep", END.decode()).option("compression", "gzip").option("maxRecordsPerFile", FILE_RECORDS).text(path)
 
 
 def parse(data: bytes):
@@ -132,6 +141,8 @@ def parse(data: bytes):
         block = data[stop + 4 : stop + 4 + n]
         if len(block) != n or data[stop + 4 + n : stop + 8 + n] != END:
             raise ValueError("record's length does not hold")
+        if fields.get("warc-block-digest", "").removeprefix("sha1:") not in ("", digest(block)):
+            raise ValueError("block digest does not hold")
         yield fields, block
         at = stop + 8 + n
 
