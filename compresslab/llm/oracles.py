@@ -5,7 +5,7 @@ from __future__ import annotations
 from .url_graph import LINK, RULES
 
 
-def url_sql(rules=RULES, damping: float = 0.85, rounds: int = 12, threshold: float = 0.5) -> str:
+def url_sql(rules=RULES, damping: float = 0.85, rounds: int = 48, threshold: float = 0.5) -> str:
     low = "translate({}, 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
     rule, verdict = "NULL", "NULL"
     for r, v in sorted(rules, key=lambda x: (len(x[0]), x[0])):
@@ -15,8 +15,8 @@ def url_sql(rules=RULES, damping: float = 0.85, rounds: int = 12, threshold: flo
     link = LINK.removeprefix("(?i)").replace("'", "''")
     steps = "s0 AS (SELECT host, kind, seed AS score FROM seeds)"
     for i in range(rounds):
-        steps += f""", s{i + 1} AS (SELECT host, kind, sum(score) AS score FROM (SELECT m.b AS host, m.kind, m.share * s.score * {damping}::DOUBLE AS score FROM moves m JOIN s{i} s ON s.host = m.a AND s.kind = m.kind
- UNION ALL SELECT host, kind, seed * (1 - {damping}::DOUBLE) FROM seeds) GROUP BY ALL)"""
+        steps += f""", m{i} AS MATERIALIZED (SELECT m.b AS host, m.kind, m.share * s.score * {damping}::DOUBLE AS score FROM moves m JOIN s{i} s ON s.host = m.a AND s.kind = m.kind),
+s{i + 1} AS MATERIALIZED (SELECT host, kind, sum(score) AS score FROM (SELECT * FROM m{i} UNION ALL SELECT host, kind, seed * (1 - coalesce((SELECT sum(score) FROM m{i} WHERE m{i}.kind = seeds.kind), 0)) FROM seeds) GROUP BY ALL)"""
     return f"""WITH after AS (SELECT page_id, html, CASE WHEN instr(url, '://') > 0 THEN substr(url, instr(url, '://') + 3) ELSE '' END AS rest FROM pages),
 cut AS (SELECT page_id, html, {low.format("coalesce(regexp_extract(rest, '^[^/?#]*'), '')")} AS host, coalesce(regexp_extract(rest, '^[^/?#]*([^?#]*)', 1), '') AS path FROM after),
 ruled AS (SELECT page_id, host, path, {rule} AS rule, {verdict} AS verdict FROM cut),

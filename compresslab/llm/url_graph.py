@@ -5,8 +5,12 @@ distrust starts at the hosts that they block and runs against the links, so a ho
 blocked ones becomes suspect. A host is blocked when its distrust is above `threshold` of the sum of
 both; a host that neither reaches is allowed. Only DataFrame functions are used.
 
-A null url, or one without "://", has an empty host and path. A null html has no links. Repeated rows
-are judged each. Links of a host to itself carry nothing. An empty table gives no rows.
+What a host without moves onward holds goes back to the seeds, in proportion, so each kind keeps a sum of 1. Rounds end when
+no host's score changes by more than `tolerance`, or after `rounds` of them (0.85^48 leaves 0.04 % unsettled).
+
+A null url, or one without "://", has an empty host and path. A null html has no links. Repeated rows are judged each, and a
+repeated page_id changes nothing. Links of a host to itself carry nothing. Very long pages are read whole. An empty table
+gives no rows; columns other than page_id, url and html are not read.
 """
 
 from __future__ import annotations
@@ -23,6 +27,8 @@ RULES = (
     ("net/es/", "block"),
     ("net/fr/", "block"),
 )
+ROUNDS, TOLERANCE = 48, 1e-12
+BROADCAST_HOSTS, SALTS = 1_000_000, 16
 _CAPITALS, _SMALL = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 LINK = r"""(?i)\b(?:href|src)\s*=\s*["']?\s*(?:[a-z][a-z0-9+.-]*:)?//([^/?#"'\s<>]+)"""
 
@@ -61,7 +67,7 @@ def host_links(pages: DataFrame) -> DataFrame:
     )
 
 
-def propagate(edges: DataFrame, seeds: DataFrame, damping: float = 0.85, rounds: int = 12) -> DataFrame:
+def propagate(edges: DataFrame, seeds: DataFrame, damping: float = 0.85, rounds: int = ROUNDS, tolerance: float = TOLERANCE) -> DataFrame:
     """host, kind, score of personalised PageRank from seeds(host, kind, seed), along edges for kind `trust` and
     against them for kind `distrust`; the seeds of each kind sum to 1. Both kinds go through one join a round."""
     moves = edges.select(F.col("src").alias("a"), F.col("dst").alias("b"), F.lit("trust").alias("kind"), "links").unionByName(
@@ -71,17 +77,26 @@ def propagate(edges: DataFrame, seeds: DataFrame, damping: float = 0.85, rounds:
     moves = C.materialize(moves.join(outgoing, ["a", "kind"]).select("a", "b", "kind", (F.col("links") / F.col("total")).alias("share")), "url-moves")
     score = seeds.select("host", "kind", F.col("seed").alias("score"))
     if moves.isEmpty():
-        return score.withColumn("score", F.col("score") * (1 - damping))
-    base = seeds.select("host", "kind", (F.col("seed") * (1 - damping)).alias("score"))
+        return score  # all of it returns to the seeds in every round
     for i in range(rounds):
         sent = moves.join(score, (moves.a == score.host) & (moves.kind == score.kind)).select(F.col("b").alias("host"), moves.kind.alias("kind"), (F.col("share") * F.col("score") * damping).alias("score"))
-        score = sent.unionByName(base).groupBy("host", "kind").agg(F.sum("score").alias("score"))
+        passed = sent.groupBy("host", "kind").agg(F.sum("score").alias("score"))
+        if i % 4 == 1:  # a round's scores are read twice, so lineage must stay short
+            passed = C.materialize(passed, "url-passed")
+        # the seeds get what was not passed on: the share (1 - damping), and all that hosts without moves held
+        rest = passed.groupBy("kind").agg(F.sum("score").alias("moved"))
+        base = seeds.join(F.broadcast(rest), "kind", "left").select("host", "kind", (F.col("seed") * (1 - F.coalesce("moved", F.lit(0.0)))).alias("score"))
+        fresh = passed.unionByName(base).groupBy("host", "kind").agg(F.sum("score").alias("score"))
         if i % 4 == 3:
-            score = C.materialize(score, "url-score")
+            fresh = C.materialize(fresh, "url-score")
+            old = score.withColumnRenamed("score", "old")
+            if fresh.join(old, ["host", "kind"], "left").where(F.abs(F.col("score") - F.coalesce("old", F.lit(0.0))) > tolerance).isEmpty():
+                return fresh
+        score = fresh
     return score
 
 
-def judge(pages: DataFrame, rules=RULES, damping: float = 0.85, rounds: int = 12, threshold: float = 0.5) -> DataFrame:
+def judge(pages: DataFrame, rules=RULES, damping: float = 0.85, rounds: int = ROUNDS, threshold: float = 0.5) -> DataFrame:
     """page_id, host, path, rule, verdict, trust, distrust of every row of pages."""
     host, path = host_of(F.col("url")), path_of(F.col("url"))
     ruled = pages.select("page_id", host.alias("host"), path.alias("path")).withColumn("by_rule", longest_rule(F.col("host"), F.col("path"), rules))
@@ -97,9 +112,15 @@ def judge(pages: DataFrame, rules=RULES, damping: float = 0.85, rounds: int = 12
         F.sum(F.when(F.col("kind") == "trust", F.col("score"))).alias("trust"),
         F.sum(F.when(F.col("kind") == "distrust", F.col("score"))).alias("distrust"),
     )
+    hosts = C.materialize(hosts, "url-hosts")
+    if hosts.count() <= BROADCAST_HOSTS:
+        hosts = F.broadcast(hosts)
+    else:  # the pages of one host are spread over SALTS keys
+        hosts = hosts.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        ruled = ruled.withColumn("salt", F.pmod(F.xxhash64("page_id", "path"), F.lit(SALTS)).cast("int"))
     trust, distrust = F.coalesce("trust", F.lit(0.0)), F.coalesce("distrust", F.lit(0.0))
     by_graph = F.when(distrust > threshold * (trust + distrust), "block").otherwise("allow")
-    return ruled.join(hosts, "host", "left").select(
+    return ruled.join(hosts, ["host"] + ["salt"] * ("salt" in ruled.columns), "left").select(
         "page_id", "host", "path", F.col("by_rule.rule").alias("rule"), F.coalesce(F.col("by_rule.verdict"), by_graph).alias("verdict"), trust.alias("trust"), distrust.alias("distrust")
     )
 
