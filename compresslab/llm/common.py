@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Callable, Iterator
 
 import pyarrow as pa
@@ -11,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from compresslab.sources.scratch import materialize, scratch_path  # noqa: F401 (the operators take them from here)
 from compresslab.sources.shipping import ship
 
 
@@ -30,64 +29,24 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def scratch_root(spark: SparkSession) -> str:
-    """The shared folder the cluster names in spark.checkpoint.dir.
-
-    A folder of our own is set only where the session names none (local runs and tests).
-    """
-    named = spark.conf.get("spark.checkpoint.dir", None)
-    if not named:
-        current = spark.sparkContext._jsc.sc().getCheckpointDir()
-        if current.isDefined():
-            named = current.get()
-        else:
-            named = tempfile.mkdtemp(prefix="compresslab-")
-            spark.sparkContext.setCheckpointDir(named)
-    return named.rstrip("/")
-
-
-def scratch_path(spark: SparkSession, label: str) -> str:
-    return f"{scratch_root(spark)}/compresslab/{label}-{uuid.uuid4().hex}"
-
-
-def materialize(df: DataFrame, label: str) -> DataFrame:
-    """Write df once to the shared folder and read it back: the lineage is cut, and a lost
-    executor costs a re-read, never a recomputation of everything above."""
-    path = scratch_path(df.sparkSession, label)
-    df.write.parquet(path)
-    return df.sparkSession.read.schema(df.schema).parquet(path)
-
-
-def drop_path(spark: SparkSession, path: str) -> None:
-    """Delete a scratch folder through Hadoop's file system, wherever it lives."""
-    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
-    p = jvm.org.apache.hadoop.fs.Path(path)
-    p.getFileSystem(conf).delete(p, True)
-
-
 def hash_unit(*cols: str, seed: int = 0):
     """A number in [0, 1) that depends on the given columns only, never on partitioning."""
     return F.pmod(F.xxhash64(*[F.col(c) for c in cols], F.lit(seed)), F.lit(1 << 40)) / F.lit(float(1 << 40))
 
 
-def bounded_per_class(df: DataFrame, key: str, id_col: str, bounds: dict | int, seed: int = 7) -> DataFrame:
-    """A reproducible sample of about `bounds` rows of every value of `key` (all, if there are fewer).
+def bounded_per_class(df: DataFrame, key: str, id_col: str, bounds: dict, seed: int = 7) -> DataFrame:
+    """A reproducible sample of about bounds[value] rows of each of these values of `key` (all, if there are fewer).
 
     Two narrow passes: class sizes first (one row per class), then a hash threshold per class that
     is evaluated while scanning, so nothing is shuffled or ranked. Only for fitting a model.
     """
-    sizes = {r[0]: r[1] for r in df.groupBy(key).count().collect()}
+    sizes = {r[0]: r[1] for r in df.where(F.col(key).isin(list(bounds))).groupBy(key).count().collect()}
     keep = F.lit(False)
-    for value, n in sorted(sizes.items(), key=lambda kv: str(kv[0])):
-        bound = bounds if isinstance(bounds, int) else bounds.get(value, 0)
-        keep = keep | ((F.col(key) == F.lit(value)) & (hash_unit(id_col, seed=seed) < F.lit(min(1.0, bound / max(n, 1)))))
+    for value, n in sorted(sizes.items()):
+        keep = keep | ((F.col(key) == F.lit(value)) & (hash_unit(id_col, seed=seed) < F.lit(min(1.0, bounds[value] / max(n, 1)))))
     return df.where(keep)
 
 
-def arrow_rows(names_types: list[tuple[str, pa.DataType]], columns: list) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array(c, type=t) if not isinstance(c, pa.Array) else c for c, (_, t) in zip(columns, names_types)], names=[n for n, _ in names_types])
-
-
 def keep_rows(mask_of: Callable[[pa.RecordBatch], pa.Array]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     """A mapInArrow function that drops the rows whose mask is false and leaves every column as it is."""
 
