@@ -8,11 +8,11 @@ probability.
 index() writes one row for every distinct vector: the packed bits, the norm and c, and beside them the vector and the
 k + 1 smallest ids that hold it (ties go to the smaller id, so more are never needed, and a vector that a third of all
 rows share costs no more than another). search() then goes in three steps. (1) Only codes, norms and c move: blocks of
-them meet blocks of queries, and a block keeps for a query the vectors whose upper bound reaches the block's own k + 1
-highest lower bounds. (2) These lower bounds, merged over blocks, give a floor that the k-th best cannot be below, and
-candidates under it go. (3) The vectors that are a candidate of some query of a query block, and no others, are sent to
-that block's pairs and multiplied in double precision. Signs are unpacked a slice at a time for a matrix product, as numpy
-has no faster use of packed bits; what the code saves is the traffic of vectors, not these products.
+them meet blocks of queries, and the k + 1 best estimates of a query, multiplied exactly, give a floor that its k-th best
+cannot be below. (2) The codes are scanned once more: a query's candidates are the vectors whose upper bound reaches its
+floor; they stay lists, one a query and block. (3) The vectors that are a candidate of some query of a query block, and no
+others, are sent to that block's lists and multiplied in double precision. Signs are unpacked a slice at a time for a
+matrix product, as numpy has no faster use of packed bits: the code saves the traffic of vectors, not these products.
 
 Norms are taken relative to the largest component, so no finite vector overflows; a vector whose norm is beyond the
 largest double is always reranked. Scores are sums in the order of dimensions in double precision.
@@ -65,21 +65,23 @@ def encode(vectors: np.ndarray, turn: np.ndarray) -> tuple[np.ndarray, np.ndarra
     return np.packbits(rotated > 0, axis=1), norm, np.abs(rotated).sum(axis=1) / np.sqrt(len(turn))
 
 
-def bounds(packed: np.ndarray, norm: np.ndarray, along: np.ndarray, queries: np.ndarray, turn: np.ndarray, spread: float = SPREAD) -> tuple[np.ndarray, np.ndarray]:
-    """(lower, upper) bounds of the inner products with unit queries: queries x rows."""
-    bits = len(turn)
+def estimates(packed: np.ndarray, norm: np.ndarray, along: np.ndarray, queries: np.ndarray, turn: np.ndarray) -> np.ndarray:
+    """Estimated inner products with unit queries: queries x rows."""
     turned = (unit(queries)[0] @ turn[: queries.shape[1]]).astype(np.float32)
-    estimate = np.empty((len(queries), len(packed)))
+    out = np.empty((len(queries), len(packed)))
     for at in range(0, len(packed), 8192):
         part = slice(at, at + 8192)
-        estimate[:, part] = turned @ (np.unpackbits(packed[part], axis=1).astype(np.float32) * 2 - 1).T
+        out[:, part] = turned @ (np.unpackbits(packed[part], axis=1).astype(np.float32) * 2 - 1).T
     with np.errstate(over="ignore", invalid="ignore"):
-        estimate *= norm / (along * np.sqrt(bits))
-        error = norm * (spread * np.sqrt(np.maximum(0, 1 - along**2)) / along / np.sqrt(bits - 1) + SLACK)
-        lower, upper = estimate - error, estimate + error
-    vast = ~np.isfinite(error)
-    lower[:, vast], upper[:, vast] = -np.inf, np.inf
-    return lower, upper
+        out *= norm / (along * np.sqrt(len(turn)))
+    out[:, ~np.isfinite(norm)] = np.inf
+    return out
+
+
+def errors(norm: np.ndarray, along: np.ndarray, bits: int, spread: float = SPREAD) -> np.ndarray:
+    """How far an estimate for a unit query may be from the inner product."""
+    with np.errstate(over="ignore", invalid="ignore"):
+        return norm * (spread * np.sqrt(np.maximum(0, 1 - along**2)) / along / np.sqrt(bits - 1) + SLACK)
 
 
 def exact(queries: np.ndarray, qi: np.ndarray, vectors: np.ndarray, vi: np.ndarray) -> np.ndarray:
@@ -159,50 +161,73 @@ def index(vectors: DataFrame, k: int = 20, bits: int = BITS, block: int = BLOCK,
     return C.materialize(dealt.mapInArrow(code, "rep long, dims int, rb int, packed binary, norm double, along double, vec array<double>, ids array<long>"), "onebit-index")
 
 
+def _block(left: pa.Table, right: pa.Table, bits: int):
+    """Codes of a block, its queries 64 at a time with their estimates: (reps, norm, along, bits), and an iterator."""
+    reps, norm, along, packed = left.column("rep").to_numpy(), left.column("norm").to_numpy(), left.column("along").to_numpy(), _bytes(left.column("packed"))
+    ids, q = right.column("query_id").to_numpy(), _matrix(right.column("vec"))
+    turn = rotation(code_bits(q.shape[1], bits))
+    return reps, norm, along, len(turn), ((slice(at, at + 64), ids[at : at + 64], q[at : at + 64], estimates(packed, norm, along, q[at : at + 64], turn)) for at in range(0, len(q), 64))
+
+
 def search(vectors: DataFrame, queries: DataFrame, k: int = 20, bits: int = BITS, spread: float = SPREAD, block: int = BLOCK, slices: int = 8) -> DataFrame:
     """query_id, rank, vec_id, score: each query's k nearest among vectors(vec_id, embedding)."""
     table = index(vectors, k, bits, block, slices)
-    asked = sound_rows(queries).withColumnRenamed("vec_id", "query_id")
-    asked = C.materialize(asked, "onebit-queries")
+    asked = C.materialize(sound_rows(queries).withColumnRenamed("vec_id", "query_id"), "onebit-queries")
     query_blocks = max(1, -(-asked.count() // QUERIES))
     asked = asked.withColumn("qb", F.pmod(F.xxhash64("query_id"), F.lit(query_blocks)).cast("int"))
-    places = table.select("dims", "rb").distinct()  # one row a block
+    places = C.materialize(table.select("dims", "rb").distinct(), "onebit-blocks")  # one row a block
     keys = ["dims", "rb", "qb"]
     codes = table.select("rep", "dims", "rb", F.explode(F.sequence(F.lit(0), F.lit(query_blocks - 1))).alias("qb"), "packed", "norm", "along")
-    meeting = asked.join(F.broadcast(places) if query_blocks * slices < 1 << 16 else places, "dims")
 
-    def scan(left: pa.Table, right: pa.Table) -> pa.Table:
-        out = []
+    def top(left: pa.Table, right: pa.Table) -> pa.Table:
+        """The k + 1 best estimates of every query in a block."""
+        found = [[np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)]]
         if left.num_rows and right.num_rows:
-            reps, norm, along, packed = left.column("rep").to_numpy(), left.column("norm").to_numpy(), left.column("along").to_numpy(), _bytes(left.column("packed"))
-            ids, q = right.column("query_id").to_numpy(), _matrix(right.column("vec"))
-            turn, n = rotation(code_bits(q.shape[1], bits)), len(reps)
-            for at in range(0, len(q), 64):
-                lower, upper = bounds(packed, norm, along, q[at : at + 64], turn, spread)
-                # k + 1 of them, as one may be the query itself
-                best = -np.sort(-np.partition(lower, max(0, n - k - 1), axis=1)[:, -(k + 1) :], axis=1)
-                floor = best[:, -1] if n > k else np.full(len(best), -np.inf)
-                qi, vi = np.nonzero(upper >= floor[:, None])
-                many = np.bincount(qi, minlength=len(best))
-                out.append((ids[at : at + 64], _lists(reps[vi], many, pa.int64()), _lists(upper[qi, vi], many, pa.float64()), _lists(best.ravel(), np.full(len(best), best.shape[1]), pa.float64())))
-        names = ["query_id", "reps", "uppers", "lowers"]
-        kinds = (pa.int64(), pa.list_(pa.int64()), pa.list_(pa.float64()), pa.list_(pa.float64()))
-        columns = [pa.concat_arrays([pa.array(x, t) if isinstance(x, np.ndarray) else x for x in c]) for c, t in zip(zip(*out), kinds)] if out else [pa.array([], t) for t in kinds]
+            reps, _, _, _, parts = _block(left, right, bits)
+            n = min(k + 1, len(reps))
+            for _, ids, _, estimate in parts:
+                best = np.argpartition(-estimate, n - 1, axis=1)[:, :n]
+                found.append([np.repeat(ids, n), reps[best.ravel()], np.take_along_axis(estimate, best, axis=1).ravel()])
+        return pa.table([pa.array(np.concatenate(c)) for c in zip(*found)], names=["query_id", "rep", "estimate"])
+
+    likely = codes.groupBy(*keys).cogroup(_renewed(asked.join(places, "dims")).groupBy(*keys)).applyInArrow(top, "query_id long, rep long, estimate double")
+    order = Window.partitionBy("query_id").orderBy(F.desc("estimate"), "rep")
+    likely = likely.withColumn("place", F.row_number().over(order)).where(F.col("place") <= k + 1).select("query_id", "rep")
+    # the exact values of k + 1 vectors: the k-th best cannot be below the least of them, even if one is the query itself
+    product = F.aggregate(F.zip_with("vec", "own", lambda a, b: a * b), F.lit(0.0), lambda total, x: total + x)
+    pairs = likely.join(table.select("rep", "vec"), "rep").join(asked.select("query_id", F.col("vec").alias("own")), "query_id")
+    floors = pairs.groupBy("query_id").agg(F.min(F.nanvl(product, F.lit(float("-inf")))).alias("floor"), F.count("*").alias("n")).where(F.col("n") > k).select("query_id", "floor")
+    floored = C.materialize(asked.join(floors, "query_id", "left").select("query_id", "vec", "dims", "qb", F.coalesce("floor", F.lit(float("-inf"))).alias("floor")), "onebit-floors")
+
+    def candidates(left: pa.Table, right: pa.Table) -> pa.Table:
+        """The vectors of a block whose upper bound reaches a query's floor; and, without a query, all that any of them needs."""
+        ids_out, lists, needed = [], [], np.zeros(0, bool)
+        if left.num_rows and right.num_rows:
+            floor = right.column("floor").to_numpy()
+            reps, norm, along, width, parts = _block(left, right, bits)
+            error, needed = errors(norm, along, width, spread), np.zeros(len(reps), bool)
+            for at, ids, q, estimate in parts:
+                with np.errstate(over="ignore", invalid="ignore"):
+                    least = floor[at] / unit(q)[1]
+                    reach = estimate + error >= (least - SLACK * np.abs(least))[:, None]
+                reach[:, ~np.isfinite(norm)] = True
+                reach[~np.isfinite(least)] = True
+                qi, vi = np.nonzero(reach)
+                needed[vi] = True
+                many = np.bincount(qi, minlength=len(ids))
+                ids_out.append(pa.array(ids[many > 0], pa.int64()))
+                lists.append(_lists(reps[vi], many[many > 0], pa.int64()))
+            ids_out.append(pa.array([None], pa.int64()))
+            lists.append(_lists(reps[needed], np.array([needed.sum()]), pa.int64()))
+        columns = [pa.concat_arrays(ids_out), pa.concat_arrays(lists)] if ids_out else [pa.array([], pa.int64()), pa.array([], pa.list_(pa.int64()))]
         side = {c: pa.array(np.full(len(columns[0]), right.column(c)[0].as_py() if right.num_rows else 0, np.int32)) for c in keys}
-        return pa.table([*columns, *side.values()], names=[*names, *keys])
-
-    scanned = codes.groupBy(*keys).cogroup(_renewed(meeting).groupBy(*keys)).applyInArrow(scan, "query_id long, reps array<long>, uppers array<double>, lowers array<double>, dims int, rb int, qb int")
-    scanned = C.materialize(scanned, "onebit-scanned")
-    order = Window.partitionBy("query_id").orderBy(F.desc("low"))
-    floors = scanned.select("query_id", F.explode("lowers").alias("low")).withColumn("place", F.row_number().over(order)).where(F.col("place") == k + 1).select("query_id", F.col("low").alias("floor"))
-    pairs = (
-        scanned.join(floors, "query_id", "left").select("query_id", *keys, F.explode(F.arrays_zip("reps", "uppers")).alias("p"), F.coalesce("floor", F.lit(float("-inf"))).alias("floor"))
-        .where(F.col("p.uppers") >= F.col("floor")).select("query_id", *keys, F.col("p.reps").alias("rep"))
-    )
-    wanted = C.materialize(pairs.groupBy("query_id", *keys).agg(F.collect_list("rep").alias("reps")), "onebit-pairs")  # at most a block of rows
-    needed = wanted.select("dims", "rb", "qb", F.explode("reps").alias("rep")).distinct()
-    sent = needed.join(table.select("rep", "dims", "rb", "vec", "ids"), ["rep", "dims", "rb"])
-    requests = wanted.join(asked.select("query_id", "vec"), "query_id")
+        return pa.table([*columns, *side.values()], names=["query_id", "reps", *keys])
+
+    scanned = codes.groupBy(*keys).cogroup(_renewed(floored.join(places, "dims")).groupBy(*keys)).applyInArrow(candidates, "query_id long, reps array<long>, dims int, rb int, qb int")
+    scanned = C.materialize(scanned, "onebit-candidates")
+    needed = scanned.where("query_id is null").select(*keys, F.explode("reps").alias("rep"))  # a vector once a block of queries at most
+    sent = needed.join(table.select("rep", "vec", "ids"), "rep")
+    requests = scanned.where("query_id is not null").join(asked.select("query_id", "vec"), "query_id")
 
     def rerank(left: pa.Table, right: pa.Table) -> pa.Table:
         found = [[np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0)]]

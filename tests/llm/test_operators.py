@@ -236,9 +236,9 @@ def test_bounds_hold():
     x, q = g.normal(size=(4000, 64)), g.normal(size=(20, 64))
     turn = onebit_search.rotation(256)
     packed, norm, along = onebit_search.encode(x, turn)
-    lower, upper = onebit_search.bounds(packed, norm, along, q, turn)
+    estimate, error = onebit_search.estimates(packed, norm, along, q, turn), onebit_search.errors(norm, along, 256)
     true = onebit_search.unit(q)[0] @ x.T
-    assert ((true < lower) | (true > upper)).mean() < 0.005 and abs(((lower + upper) / 2 - true).mean()) < 0.02
+    assert (np.abs(estimate - true) > error).mean() < 0.005 and abs((estimate - true).mean()) < 0.02
     assert packed.shape == (4000, 32) and np.allclose(norm, np.linalg.norm(x, axis=1))
 
 
