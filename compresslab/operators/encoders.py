@@ -9,6 +9,7 @@ and odd powers give heavy tails.
 from __future__ import annotations
 
 import hashlib
+import json
 from collections import Counter
 from dataclasses import dataclass
 
@@ -112,7 +113,10 @@ def given(df: DataFrame) -> DataFrame:
     return df.select(F.col("vec_id").alias("item_id"), F.col("embedding").cast("array<double>").alias("vec"))
 
 
-def lifted_prefix(x: np.ndarray, dims: int, weight: float = 0.1, seed: int = 3) -> np.ndarray:
-    """Vectors whose first block is x and whose other dimensions are low-weight random projections of x."""
-    g = np.random.Generator(np.random.Philox(seed)).standard_normal((dims - x.shape[1], x.shape[1])) / np.sqrt(x.shape[1])
-    return np.concatenate([x, weight * x @ g.T], axis=1)
+def lifted_prefix(vec, dims: int, own: int, weight: float = 0.1):
+    """Column: vec of `own` dimensions, followed by low-weight projections on hashed +1/-1 directions up to `dims`."""
+    from .codecs import hash_signs
+
+    rows = F.from_json(F.lit(json.dumps(hash_signs(dims - own, own).tolist())), "array<array<double>>")  # folded to a constant
+    x = vec.cast("array<double>")
+    return F.concat(x, F.transform(rows, lambda r: F.aggregate(F.zip_with(x, r, lambda a, b: a * b), F.lit(0.0), lambda t, v: t + v) * F.lit(weight / own**0.5)))

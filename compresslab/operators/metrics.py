@@ -20,8 +20,18 @@ def ideal(qrels: DataFrame, ks, gain: str = "linear") -> DataFrame:
     return placed.groupBy("query_id").agg(F.count("*").alias("relevant"), *(F.sum(F.when(F.col("place") <= k, F.col("part"))).alias(f"idcg_{k}") for k in ks))
 
 
-def evaluate(run: DataFrame, qrels: DataFrame, ks=CUTOFFS, keys: tuple[str, ...] = (), gain: str = "linear") -> DataFrame:
-    """keys..., query_id, metric (recall, ndcg, mrr), k, value from run(keys..., query_id, item_id, rank)."""
+def _frame(run: DataFrame, keys: tuple[str, ...], known) -> DataFrame:
+    """The values of keys: as told, or those in the run, which then is computed once more unless it is a written table."""
+    if known is None:
+        return run.select(*keys).distinct()
+    return F.broadcast(run.sparkSession.createDataFrame(known, run.select(*keys).schema))
+
+
+def evaluate(run: DataFrame, qrels: DataFrame, ks=CUTOFFS, keys: tuple[str, ...] = (), gain: str = "linear", known: list[tuple] | None = None) -> DataFrame:
+    """keys..., query_id, metric (recall, ndcg, mrr), k, value from run(keys..., query_id, item_id, rank).
+
+    known: all values of keys, where the caller can tell; a run that is not written is then read once only.
+    """
     ks = tuple(ks)
     judged = qrels.where("grade > 0").select("query_id", "item_id", "grade")
     worth = F.pow(F.lit(2.0), "grade") - 1 if gain == "exp2" else F.col("grade").cast("double")
@@ -36,7 +46,7 @@ def evaluate(run: DataFrame, qrels: DataFrame, ks=CUTOFFS, keys: tuple[str, ...]
     hits = run.join(judged, ["query_id", "item_id"]).withColumn("worth", worth).groupBy(*keys, "query_id").agg(*sums)
     frame = ideal(judged, ks, gain)
     if keys:
-        frame = run.select(*keys).distinct().crossJoin(frame)
+        frame = _frame(run, keys, known).crossJoin(frame)
     table = frame.join(hits, [*keys, "query_id"], "left")
     values = []
     for k in ks:
@@ -71,10 +81,10 @@ def macro(values: DataFrame, keys: tuple[str, ...], by: str = "dataset") -> Data
     return each.groupBy(*keys, "metric", "k").agg(F.round(F.avg("value") * 100, 9).alias("value"))
 
 
-def overlap(run: DataFrame, exact: DataFrame, k: int, keys: tuple[str, ...]) -> DataFrame:
+def overlap(run: DataFrame, exact: DataFrame, k: int, keys: tuple[str, ...], known: list[tuple] | None = None) -> DataFrame:
     """keys..., query_id, overlap: share of the exact top k that a run's top k holds."""
     top = exact.where(F.col("rank") <= k).select("query_id", "item_id")
-    base = run.select(*keys).distinct().crossJoin(top.groupBy("query_id").agg(F.count("*").alias("n")))
+    base = _frame(run, keys, known).crossJoin(top.groupBy("query_id").agg(F.count("*").alias("n")))
     both = run.where(F.col("rank") <= k).join(top, ["query_id", "item_id"]).groupBy(*keys, "query_id").agg(F.count("*").alias("same"))
     return base.join(both, [*keys, "query_id"], "left").select(*keys, "query_id", F.round(F.coalesce("same", F.lit(0)) / F.col("n"), 9).alias("overlap"))
 

@@ -20,7 +20,9 @@ from .calibrate import Calibration
 from .codecs import Codec, Pq, identity
 
 DIGITS = 9
-QUERY_CHUNK = 4096  # queries that a scan carries; more of them make more scans
+QUERY_CHUNK = 4096  # queries that a scan carries at most; more of them make more scans
+HELD = 1 << 22  # rows that a task may hold for all its codecs, tiers and queries (four times that before a cut)
+CELLS = 1 << 22  # scores that are computed at once
 
 
 def topk_sql(queries: DataFrame, items: DataFrame, k: int = 100) -> DataFrame:
@@ -43,15 +45,36 @@ def _unit(x: np.ndarray) -> np.ndarray:
     return np.divide(x, size, out=np.zeros_like(x), where=size > 0)
 
 
-def _best(score: np.ndarray, ids: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
-    """Places of the k best of a row of scores, ties to the smaller id."""
-    if len(score) > 4 * k:
-        floor = np.partition(score, len(score) - k)[len(score) - k]
-        at = np.flatnonzero(score >= floor)
-    else:
-        at = np.arange(len(score))
-    order = np.lexsort((ids[at], -score[at]))[:k]
-    return at[order], score[at[order]]
+class _Held:
+    """The k best of every query so far: flat arrays that are cut back to k a query when they grow to four times that."""
+
+    def __init__(self, queries: int, k: int):
+        self.k, self.queries = k, queries
+        self.parts: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+        self.rows, self.floor = 0, np.full(queries, -np.inf)
+
+    def add(self, score: np.ndarray, ids: np.ndarray) -> None:
+        """score: queries x ids. Only what may still be among the k best is kept; ties at the edge all are."""
+        floor = self.floor
+        if score.shape[1] > 4 * self.k:
+            floor = np.maximum(floor, np.partition(score, score.shape[1] - self.k, axis=1)[:, score.shape[1] - self.k])
+        qi, at = np.nonzero(score >= floor[:, None])
+        self.parts.append((qi, ids[at], score[qi, at]))
+        self.rows += len(qi)
+        if self.rows > 4 * self.k * self.queries:
+            self.cut()
+
+    def cut(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        qi, ids, score = (np.concatenate(c) for c in zip(*self.parts))
+        order = np.lexsort((ids, -score, qi))
+        qi, ids, score = qi[order], ids[order], score[order]
+        place = np.arange(len(qi)) - np.searchsorted(qi, qi)
+        keep = place < self.k
+        last = place == self.k - 1
+        self.floor[qi[last]] = score[last]
+        self.parts = [(qi[keep], ids[keep], score[keep])]
+        self.rows = len(self.parts[0][0])
+        return self.parts[0]
 
 
 def topk_fused(
@@ -64,7 +87,8 @@ def topk_fused(
     dict is calibrated per batch: items of batch b, and the queries against them, are encoded with entry b.
     """
     ids, matrix = queries
-    parts = [_scan((ids[at : at + QUERY_CHUNK], matrix[at : at + QUERY_CHUNK]), items, variants, k, id_col, vec_col, tier_col, batch_col) for at in range(0, max(1, len(ids)), QUERY_CHUNK)]
+    chunk = max(16, min(QUERY_CHUNK, HELD // (len(variants) * tiers * k)))
+    parts = [_scan((ids[at : at + chunk], matrix[at : at + chunk]), items, variants, k, id_col, vec_col, tier_col, batch_col) for at in range(0, max(1, len(ids)), chunk)]
     found = parts[0]
     for p in parts[1:]:
         found = found.unionByName(p)
@@ -81,7 +105,7 @@ def _scan(queries, items, variants, k, id_col, vec_col, tier_col, batch_col) ->
     def run(batches):
         (qids, q), codecs = shared.value
         encoded: dict = {}
-        held: dict[tuple[int, int], list] = {}
+        held: dict[tuple[int, int], _Held] = {}
 
         def queries_of(v: int, batch: int) -> np.ndarray:
             codec, c = codecs[v]
@@ -92,29 +116,24 @@ def _scan(queries, items, variants, k, id_col, vec_col, tier_col, batch_col) ->
                 encoded[key] = _unit(q if raw else codec.space(codec.encode(q, c), c))
             return encoded[key]
 
-        for b in batches:
-            if not b.num_rows:
-                continue
-            x, own, shell, batch = V.matrix(b.column(1)), b.column(0).to_numpy(), b.column(2).to_numpy(), b.column(3).to_numpy()
-            for v, (codec, c) in enumerate(codecs):
-                groups = np.unique(batch) if isinstance(c, dict) else [None]
-                for g in groups:
-                    rows = np.arange(len(x)) if g is None else np.flatnonzero(batch == g)
-                    cal = c if g is None else c[int(g)]
-                    unit = _unit(codec.space(codec.encode(x[rows], cal), cal))
-                    score = np.round(queries_of(v, 0 if g is None else int(g)) @ unit.T, DIGITS)
-                    for t in np.unique(shell[rows]):
-                        at = np.flatnonzero(shell[rows] == t)
-                        best = held.setdefault((v, int(t)), [[np.zeros(0, np.int64), np.zeros(0)] for _ in qids])
-                        for i in range(len(qids)):
-                            place, value = _best(score[i, at], own[rows[at]], k)
-                            all_ids, all_scores = np.concatenate([best[i][0], own[rows[at]][place]]), np.concatenate([best[i][1], value])
-                            keep, kept = _best(all_scores, all_ids, k)
-                            best[i] = [all_ids[keep], kept]
+        step = max(256, CELLS // max(1, len(qids)))
+        for whole in batches:
+            for start in range(0, whole.num_rows, step):
+                b = whole.slice(start, step)
+                x, own, shell, batch = V.matrix(b.column(1)), b.column(0).to_numpy(), b.column(2).to_numpy(), b.column(3).to_numpy()
+                for v, (codec, c) in enumerate(codecs):
+                    for g in np.unique(batch) if isinstance(c, dict) else [None]:
+                        rows = np.arange(len(x)) if g is None else np.flatnonzero(batch == g)
+                        cal = c if g is None else c[int(g)]
+                        unit = _unit(codec.space(codec.encode(x[rows], cal), cal))
+                        score = np.round(queries_of(v, 0 if g is None else int(g)) @ unit.T, DIGITS)
+                        for t in np.unique(shell[rows]):
+                            at = np.flatnonzero(shell[rows] == t)
+                            held.setdefault((v, int(t)), _Held(len(qids), k)).add(score[:, at], own[rows[at]])
         for (v, t), best in held.items():
-            n = [len(x[0]) for x in best]
+            qi, found, score = best.cut()
             yield pa.RecordBatch.from_arrays(
-                [pa.array(np.full(sum(n), v, np.int32)), pa.array(np.full(sum(n), t, np.int32)), pa.array(np.repeat(np.asarray(qids, np.int64), n)), pa.array(np.concatenate([x[0] for x in best])), pa.array(np.concatenate([x[1] for x in best]))],
+                [pa.array(np.full(len(qi), v, np.int32)), pa.array(np.full(len(qi), t, np.int32)), pa.array(np.asarray(qids, np.int64)[qi]), pa.array(found), pa.array(score)],
                 names=["variant", "shell", "query_id", "item_id", "score"])
 
     return items.select(*columns).mapInArrow(run, "variant int, shell int, query_id long, item_id long, score double")

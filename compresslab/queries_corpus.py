@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import functools
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
@@ -10,9 +12,9 @@ from .functions import rounding as R
 from .functions import udfs
 from .operators import analysis, calibrate, codecs, corpus, encoders, metrics, relational, runs, search, significance
 from .plans import grids, harness
-from .queries import DIMS, ORACLES, QUERIES, _planted, _spread, _vectors, _wide, query
-from .sources.scratch import scratch_path
-from .sources.tables import table
+from .queries import DIMS, ORACLES, QUERIES, _calibrated, _planted, _spread, _vectors, _wide, query
+from .sources.scratch import materialize, scratch_path
+from .sources.tables import Model, model, register_model, table, write_vectors
 from .streaming import events as ev
 from .streaming import ingest
 
@@ -45,28 +47,21 @@ def _sizes(e: DataFrame) -> tuple[list[int], int]:
 
 def _pool(spark, sf_dir):
     e, q, rel = _planted(spark, sf_dir)
-    run = search.topk_fused(q, _spread(e), harness.calibrated(e, POOL), 100).drop("tier").withColumnRenamed("variant", "run_id")
-    return e, q, rel, run
+    run = search.topk_fused(q, _spread(e), _calibrated(e, POOL), 100).drop("tier").withColumnRenamed("variant", "run_id")
+    return e, q, rel, materialize(run, "pool")  # read several times
 
 
 def _mined(spark, sf_dir):
     e, q, rel, run = _pool(spark, sf_dir)
-    path = scratch_path(spark, "pool")  # the pool is read several times
-    run.write.parquet(path)
-    run = spark.read.parquet(path)
     return e, q, rel, corpus.distractors(runs.fuse(runs.prune(run, rel)), rel, corpus.planted_parameters(e)[2])
 
 
 def _ladder(spark, sf_dir):
     e, q, rel, mined = _mined(spark, sf_dir)
-    path = scratch_path(spark, "ladder")
     sizes, _ = _sizes(e)
     items = e.select(F.col("vec_id").alias("item_id"))
-    mined_path = scratch_path(spark, "mined")
-    mined.write.parquet(mined_path)
-    mined = spark.read.parquet(mined_path)
-    corpus.ladder(items, corpus.core(rel, mined), sizes).write.parquet(path)
-    return e, q, rel, mined, spark.read.parquet(path), sizes
+    mined = materialize(mined, "mined")
+    return e, q, rel, mined, materialize(corpus.ladder(items, corpus.core(rel, mined), sizes), "ladder"), sizes
 
 
 @query("run_effectiveness", f"WITH {_POOL} SELECT run_id, ndcg FROM worth")
@@ -136,8 +131,8 @@ def _tier_values(spark, sf_dir, weighted=False):
     e, q, rel, _, tiers, sizes = _ladder(spark, sf_dir)
     if weighted:
         q = search.collect_queries(corpus.planted_queries(e, True))
-    values = harness.evaluate(q, _tiered(e, tiers), rel, harness.calibrated(e, BY_TIER), tiers=3, tier_col="tier")
-    return values, sizes
+    values = harness.evaluate(q, _tiered(e, tiers), rel, _calibrated(e, BY_TIER), tiers=3, tier_col="tier")
+    return materialize(values, "values"), sizes  # tests and reports read them several times
 
 
 def _by_tier(name, metric, k):
@@ -250,7 +245,7 @@ _EQUAL_VALUES = f"v AS (SELECT variant, ratio, value FROM ({O.grid_sql(_EQUAL)})
 
 def _equal_values(spark, sf_dir):
     e, q, rel = _planted(spark, sf_dir)
-    return harness.grid(_spread(e), q, rel, DIMS, _EQUAL).where("metric = 'recall' AND k = 100").select("variant", "ratio", "value")
+    return harness.grid(_spread(e), q, rel, DIMS, _EQUAL, "exact").where("metric = 'recall' AND k = 100").select("variant", "ratio", "value")
 
 
 @query("choice_gap", f"""WITH {_EQUAL_VALUES} SELECT ratio, (list(variant ORDER BY value DESC, variant))[1] AS best, (list(variant ORDER BY value, variant))[1] AS worst, round(max(value) - min(value), 6) AS gap FROM v GROUP BY ratio""")
@@ -396,22 +391,32 @@ mrun AS (SELECT * FROM (SELECT s.encoder, s.variant, t.tier, s.query_id, s.item_
 {O.measured('mrun', 'encoder, variant, tier', ks=(100,), rel='crel', name='mm')}, {O.means('encoder, variant, tier', 'mm')}"""
 
 
-def _models(spark, sf_dir, variants):
-    """encoder, variant, tier, value (recall at 100) of the stand-in models on the document ladder."""
-    docs, asked, rel, tiers, _ = _doc_ladder(spark, sf_dir)
+for _e in encoders.ENCODERS:
+    register_model(Model(_e.name, functools.partial(encoders.dense, encoder=_e), _e.dims, nested=_e.nested))
+
+
+def _model_values(spark, sf_dir, variants, ladder=None):
+    """encoder, variant, tier, query_id, metric, k, value (at 100) of the registered models, on the document ladder if no other."""
+    docs, asked, rel, tiers, sizes = ladder or _doc_ladder(spark, sf_dir)
     found = None
-    for e in encoders.ENCODERS:
+    for name in (e.name for e in encoders.ENCODERS):
+        e = model(name)
         path = scratch_path(spark, "encoded")
-        encoders.dense(docs, e).write.parquet(path)  # vectors are stored once and read by every pass
-        vectors = spark.read.parquet(path).join(tiers.select("item_id", "tier"), "item_id")
-        q = search.collect_queries(encoders.dense(asked.withColumnRenamed("query_id", "item_id"), e).withColumnRenamed("item_id", "query_id"))
-        use = harness.calibrated(vectors, variants, "vec", "item_id") if any(c.levels() for c in variants) else [(c, calibrate.Calibration()) for c in variants]
-        values = harness.evaluate(q, vectors, rel, use, (100,), tiers=3, id_col="item_id", vec_col="vec", tier_col="tier")
-        own = metrics.summary(values, ("variant", "tier")).where("metric = 'recall'").select(F.lit(e.name).alias("encoder"), "variant", "tier", "value")
+        write_vectors(e.encode(docs).join(tiers.select("item_id", "tier"), "item_id"), path)  # stored once and read by every pass
+        vectors = spark.read.parquet(path)
+        q = search.collect_queries(e.encode(asked.withColumnRenamed("query_id", "item_id")).withColumnRenamed("item_id", "query_id"))
+        use = _calibrated(vectors, variants, "vec", "item_id") if any(c.levels() for c in variants) else [(c, calibrate.Calibration()) for c in variants]
+        own = harness.evaluate(q, vectors, rel, use, (100,), tiers=len(sizes), id_col="item_id", vec_col="vec", tier_col="tier").withColumn("encoder", F.lit(name))
         found = own if found is None else found.unionByName(own)
     return found
 
 
+def _models(spark, sf_dir, variants, ladder=None):
+    """encoder, variant, tier, value: mean recall at 100 in percent."""
+    values = _model_values(spark, sf_dir, variants, ladder)
+    return metrics.summary(values, ("encoder", "variant", "tier")).where("metric = 'recall'").select("encoder", "variant", "tier", "value")
+
+
 @query("model_leaderboard", f"{_models_sql([codecs.identity()])} SELECT encoder, tier::INT AS tier, value AS recall_100, rank() OVER (PARTITION BY tier ORDER BY value DESC)::INT AS place FROM means WHERE metric = 'recall'")
 def model_leaderboard(spark, sf_dir):
     return analysis.leaderboard(_models(spark, sf_dir, [codecs.identity()]), ("tier",), "encoder").select("encoder", "tier", F.col("value").alias("recall_100"), "place")
@@ -512,6 +517,21 @@ def documents_by_tier(spark, sf_dir):
     return _models(spark, sf_dir, [codecs.identity(), *(codecs.percentile_bins(b) for b in (8, 4, 2)), codecs.binary("median")]).select("encoder", F.col("variant").alias("codec"), "tier", F.col("value").alias("recall_100"))
 
 
+_BINNED = [codecs.identity(), *(codecs.percentile_bins(b) for b in (8, 4, 2)), codecs.binary("zero"), codecs.truncate(128)]
+_MODEL_STARS = (
+    _STARS.replace("o.variant, o.tier", "o.encoder, o.variant, o.tier").replace("FROM tm o JOIN tm b ON", "FROM mm o JOIN mm b ON b.encoder = o.encoder AND")
+    .replace("b.variant, b.tier,", "b.encoder, b.variant, b.tier,").replace("variant, tier", "encoder, variant, tier")
+)
+
+
+@query("documents_stars", f"{_models_sql(_BINNED)}, {_MODEL_STARS} SELECT encoder, variant AS codec, tier::INT AS tier, n, w_plus, z, z < -1.6448536269514722 AS star FROM stars")
+def documents_stars(spark, sf_dir):
+    """Which codecs lose significantly on growing sets of documents, for each encoder."""
+    values = materialize(_model_values(spark, sf_dir, _BINNED), "values")
+    pairs = harness.significance_of(values, keys=("encoder", "tier"))
+    return significance.with_z(significance.statistic(pairs, ("encoder", "variant", "tier"))).select("encoder", F.col("variant").alias("codec"), "tier", "n", "w_plus", "z", "star")
+
+
 # ---------------------------------------------------------------- streams and windows
 
 @query("stream_encode", f"WITH {O.TIERS}, {O.calibration()} SELECT vec_id, pos::INT AS pos, ({O.percentile(4)})::INT AS code FROM x JOIN cal USING (pos)")
@@ -568,10 +588,10 @@ def events_dedup(spark, sf_dir):
 
 # ---------------------------------------------------------------- functions, star schema
 
-@query("udf_surface", f"WITH x AS (SELECT vec_id, embedding FROM embeddings WHERE vec_id < 100), y AS (SELECT embedding AS e0 FROM embeddings WHERE vec_id = 0) SELECT vec_id AS id, round(list_sum(list_transform(list_transform(embedding, lambda v: v::DOUBLE), lambda v: {O.cast('fp8_m3')})), 9) AS total, round(list_dot_product(embedding::DOUBLE[], e0::DOUBLE[]) / (sqrt(list_dot_product(embedding::DOUBLE[], embedding::DOUBLE[])) * sqrt(list_dot_product(e0::DOUBLE[], e0::DOUBLE[]))), 9) AS cosine, len(list_filter(list_zip(embedding, e0), lambda p: (p[1] > 0) <> (p[2] > 0)))::INT AS hamming FROM x, y")
+@query("udf_surface", f"WITH x AS (SELECT vec_id, embedding FROM embeddings), y AS (SELECT embedding AS e0 FROM embeddings WHERE vec_id = 0) SELECT vec_id AS id, round(list_sum(list_transform(list_transform(embedding, lambda v: v::DOUBLE), lambda v: {O.cast('fp8_m3')})), 9) AS total, round(list_dot_product(embedding::DOUBLE[], e0::DOUBLE[]) / (sqrt(list_dot_product(embedding::DOUBLE[], embedding::DOUBLE[])) * sqrt(list_dot_product(e0::DOUBLE[], e0::DOUBLE[]))), 9) AS cosine, len(list_filter(list_zip(embedding, e0), lambda p: (p[1] > 0) <> (p[2] > 0)))::INT AS hamming FROM x, y")
 def udf_surface(spark, sf_dir):
     udfs.register(spark)
-    e = _vectors(spark, sf_dir).where("vec_id < 100").select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
+    e = _vectors(spark, sf_dir).select("vec_id", F.col("embedding").cast("array<double>").alias("v"))
     e.createOrReplaceTempView("compresslab_udf_items")
     return spark.sql("""SELECT x.vec_id AS id, round(aggregate(float_round(x.v, 'fp8_m3'), 0D, (a, b) -> a + b), 9) AS total, round(cosine_of(x.v, y.v), 9) AS cosine, hamming_of(pack_bits(x.v), pack_bits(y.v)) AS hamming
         FROM compresslab_udf_items x CROSS JOIN (SELECT v FROM compresslab_udf_items WHERE vec_id = 0) y""")
@@ -598,10 +618,10 @@ _REL = {
     "rel_semi_anti": (relational.semi_anti, "SELECT c_mktsegment, count(*) AS n, 'with_big_order' AS side FROM customer WHERE c_custkey IN (SELECT o_custkey FROM orders WHERE o_totalprice > 300000) GROUP BY 1 UNION ALL SELECT c_mktsegment, count(*), 'without_order' FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders) GROUP BY 1"),
     "rel_set_ops": (relational.set_ops, "(SELECT *, 'intersect' AS op FROM (SELECT l_suppkey, l_returnflag FROM lineitem WHERE l_discount < 0.03 INTERSECT SELECT l_suppkey, l_returnflag FROM lineitem WHERE l_quantity > 45)) UNION ALL (SELECT *, 'except' FROM (SELECT l_suppkey, l_returnflag FROM lineitem WHERE l_discount < 0.03 EXCEPT SELECT l_suppkey, l_returnflag FROM lineitem WHERE l_quantity > 45))"),
     "rel_theta_band": (relational.theta_band, "SELECT low, high, count(*) AS n, round(avg(p_retailprice), 6) AS mean_price FROM part JOIN (SELECT i * 75.0::DOUBLE AS low, (i + 1) * 75.0::DOUBLE AS high FROM (SELECT unnest(range(40)) AS i)) ON p_retailprice >= low AND p_retailprice < high GROUP BY ALL"),
-    "rel_window_frames": (relational.window_frames, "SELECT o_orderkey, row_number() OVER w::INT AS nth, round(sum(o_totalprice) OVER (w ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 2) AS last_three, round(o_totalprice - lag(o_totalprice) OVER w, 2) AS change, ntile(4) OVER (PARTITION BY o_custkey ORDER BY o_totalprice, o_orderkey)::INT AS quarter, round(percent_rank() OVER (PARTITION BY o_orderstatus ORDER BY o_totalprice, o_orderkey), 9) AS pr FROM orders WHERE o_custkey % 7 = 0 WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)"),
+    "rel_window_frames": (relational.window_frames, "SELECT o_orderkey, row_number() OVER w::INT AS nth, round(sum(o_totalprice) OVER (w ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 2) AS last_three, round(o_totalprice - lag(o_totalprice) OVER w, 2) AS change, ntile(4) OVER (PARTITION BY o_custkey ORDER BY o_totalprice, o_orderkey)::INT AS quarter, round(percent_rank() OVER (PARTITION BY o_orderstatus ORDER BY o_totalprice, o_orderkey), 9) AS pr FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)"),
     "rel_pivot_status": (relational.pivot_status, "SELECT l_returnflag, s.l_linestatus, t.sum_qty FROM (SELECT DISTINCT l_returnflag FROM lineitem) CROSS JOIN (VALUES ('F'), ('O')) s(l_linestatus) LEFT JOIN (SELECT l_returnflag, l_linestatus, round(sum(l_quantity), 2) AS sum_qty FROM lineitem GROUP BY ALL) t USING (l_returnflag, l_linestatus)"),
     "rel_distinct_exact": (relational.distinct_counts, "SELECT l_returnflag, count(DISTINCT l_suppkey) AS suppliers, count(DISTINCT (l_partkey, l_suppkey)) AS pairs FROM lineitem GROUP BY 1"),
-    "rel_distinct_approx": (relational.distinct_approx, None),
+    "rel_distinct_approx": (relational.distinct_approx, "SELECT l_returnflag, count(DISTINCT l_partkey) AS exact, TRUE AS approx_close, TRUE AS hll_close FROM lineitem GROUP BY 1"),
     "rel_string_date_math": (relational.string_date_math, "SELECT date_trunc('month', o_orderdate)::DATE AS month, lower(substr(c_mktsegment, 1, 4)) AS segment, count(*) AS n, round(sqrt(sum(o_totalprice * o_totalprice)), 4) AS root, max(length(regexp_replace(c_name, '[^0-9]', '', 'g')))::INT AS digits, min(levenshtein(c_mktsegment, 'BUILDING'))::INT AS edits FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY ALL"),
     "rel_array_map_json": (relational.array_map_json, "SELECT event_type, sum((props->>'$.k')::INT)::BIGINT AS sum_k, count(DISTINCT (props->>'$.k')::INT)::INT AS distinct_k, min(event_id) AS first_id, list_sum(list_slice(list(event_id ORDER BY event_id), 1, 10))::BIGINT AS sum_first_ten FROM events GROUP BY 1"),
 }
