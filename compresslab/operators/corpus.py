@@ -49,6 +49,14 @@ def containment(items: DataFrame, queries: DataFrame) -> DataFrame:
     return items.join(F.broadcast(queries.withColumnRenamed("text", "q")), F.contains("text", "q")).select("query_id", "item_id", F.lit(1).alias("grade"))
 
 
+def overlapping_passages(rel: DataFrame, docs: DataFrame, queries: DataFrame, width: int = PASSAGE) -> DataFrame:
+    """query_id, doc_id, i, grade: the passages in which a query's text stands in a document that contains it, its first place there."""
+    at = rel.select("query_id", F.col("item_id").alias("doc_id")).join(F.broadcast(queries.withColumnRenamed("text", "q")), "query_id").join(docs, "doc_id")
+    place = F.expr("instr(text, q)") - 1
+    spans = at.where(F.length("q") > 0).select("query_id", "doc_id", F.explode(F.sequence((place / width).cast("int"), ((place + F.length("q") - 1) / width).cast("int"))).alias("i"))
+    return spans.select("query_id", "doc_id", "i", F.lit(1).alias("grade"))
+
+
 def select_qrels(qrels: DataFrame, n_rel: int = RELEVANT) -> DataFrame:
     """Queries with n_rel relevant items at least, cut to exactly n_rel: best grades first, then smaller ids."""
     order = Window.partitionBy("query_id").orderBy(F.desc("grade"), "item_id")

@@ -39,10 +39,11 @@ def words(text: Column) -> Column:
     return F.filter(F.split(F.lower(text), r"[^\p{L}]+"), lambda w: w != "")
 
 
-def bm25(queries: DataFrame, items: DataFrame, k: int = 100, k1: float = 0.9, b: float = 0.4) -> DataFrame:
-    """query_id, item_id, rank, score of queries(query_id, text) over items(item_id, text).
+def bm25_runs(queries: DataFrame, items: DataFrame, settings: dict[str, tuple[float, float]], k: int = 100) -> DataFrame:
+    """run_id, query_id, item_id, rank, score of queries(query_id, text) over items(item_id, text); settings: run_id -> (k1, b).
 
-    Only the postings of query words are counted and shuffled; document lengths and counts ride along as aggregates.
+    Only the postings of query words are counted and shuffled, once for all settings; document lengths and counts ride along
+    as aggregates.
     """
     asked = queries.select("query_id", F.explode(F.array_distinct(words(F.col("text")))).alias("word"))
     vocabulary = asked.select("word").distinct()
@@ -50,7 +51,14 @@ def bm25(queries: DataFrame, items: DataFrame, k: int = 100, k1: float = 0.9, b:
     totals = sized.agg(F.count("*").alias("n"), F.avg("length").alias("mean"))
     postings = sized.select("item_id", "length", F.explode("words").alias("word")).join(F.broadcast(vocabulary), "word", "left_semi").groupBy("word", "item_id", "length").agg(F.count("*").alias("tf"))
     idf = postings.groupBy("word").agg(F.count("*").alias("df")).crossJoin(F.broadcast(totals)).select("word", "mean", F.log(1 + (F.col("n") - F.col("df") + 0.5) / (F.col("df") + 0.5)).alias("idf"))
-    weighed = postings.join(idf, "word").select("word", "item_id", (F.col("idf") * F.col("tf") * (k1 + 1) / (F.col("tf") + k1 * (1 - b + b * F.col("length") / F.col("mean")))).alias("w"))
-    scored = weighed.join(asked, "word").groupBy("query_id", "item_id").agg(F.round(F.sum("w"), 9).alias("score"))
-    order = Window.partitionBy("query_id").orderBy(F.desc("score"), "item_id")
-    return scored.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "item_id", "rank", "score")
+    ways = F.explode(F.array(*(F.struct(F.lit(r).alias("run_id"), F.lit(float(k1)).alias("k1"), F.lit(float(b)).alias("b")) for r, (k1, b) in settings.items()))).alias("way")
+    length = 1 - F.col("way.b") + F.col("way.b") * F.col("length") / F.col("mean")
+    weighed = postings.join(idf, "word").select("*", ways).select("way.run_id", "word", "item_id", (F.col("idf") * F.col("tf") * (F.col("way.k1") + 1) / (F.col("tf") + F.col("way.k1") * length)).alias("w"))
+    scored = weighed.join(asked, "word").groupBy("run_id", "query_id", "item_id").agg(F.round(F.sum("w"), 9).alias("score"))
+    order = Window.partitionBy("run_id", "query_id").orderBy(F.desc("score"), "item_id")
+    return scored.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("run_id", "query_id", "item_id", "rank", "score")
+
+
+def bm25(queries: DataFrame, items: DataFrame, k: int = 100, k1: float = 0.9, b: float = 0.4) -> DataFrame:
+    """query_id, item_id, rank, score under one setting."""
+    return bm25_runs(queries, items, {"": (k1, b)}, k).drop("run_id")

@@ -344,27 +344,79 @@ def ladder_documents(spark, sf_dir):
     return _doc_ladder(spark, sf_dir)[3]
 
 
-_PASSAGES = f"""passages AS (SELECT doc_id * 1000000 + i AS item_id, substr(text, i * 286 + 1, 286) AS text FROM (SELECT doc_id, text, unnest(range((length(text) - 1) // 286 + 1)) AS i FROM documents WHERE length(text) > 0)),
-prel AS (SELECT b.item_id AS query_id, x.item_id, 1 AS grade FROM benchmark b JOIN passages x ON contains(x.text, substr(b.text, 1, 60)))"""
+_PASSAGE_RELEVANT, _PASSAGE_MINED = 2, 100
+_LEXICAL = {"bm25_a": (0.9, 0.4), "bm25_b": (1.2, 0.75), "bm25_c": (2.0, 1.0), "bm25_d": (0.4, 0.1), "bm25_e": (3.0, 0.6)}
+_SLICES = "passages AS (SELECT doc_id * 1000000 + i AS item_id, substr(text, i * 286 + 1, 286) AS text FROM (SELECT doc_id, text, unnest(range((length(text) - 1) // 286 + 1)) AS i FROM documents WHERE length(text) > 0))"
+_PASSAGES = f"""{_SLICES},
+spans AS (SELECT b.item_id AS query_id, d.doc_id, strpos(d.text, b.text) - 1 AS place, length(b.text) AS size FROM benchmark b JOIN documents d ON contains(d.text, b.text)),
+pall AS (SELECT query_id, doc_id * 1000000 + unnest(range(place // 286, (place + size - 1) // 286 + 1)) AS item_id FROM spans),
+prel AS (SELECT query_id, item_id, 1 AS grade FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY item_id) AS r, count(*) OVER (PARTITION BY query_id) AS n FROM pall) WHERE n >= {_PASSAGE_RELEVANT} AND r <= {_PASSAGE_RELEVANT}),
+plisted AS MATERIALIZED (SELECT item_id, {_WORDS} AS ws FROM passages), pwords AS (SELECT item_id, len(ws) AS length, unnest(ws) AS word FROM plisted),
+pasked AS (SELECT DISTINCT item_id AS query_id, unnest({_WORDS}) AS word FROM benchmark WHERE item_id IN (SELECT query_id FROM prel)),
+plengths AS (SELECT count(*) AS n, avg(len(ws)) AS mean FROM plisted), ppost AS (SELECT word, item_id, length, count(*) AS tf FROM pwords WHERE word IN (SELECT word FROM pasked) GROUP BY ALL),
+pidf AS (SELECT word, ln(1 + (n - count(*) + 0.5::DOUBLE) / (count(*) + 0.5::DOUBLE)) AS idf, any_value(mean) AS mean FROM ppost, plengths GROUP BY word, n),
+ways(run_id, k1, b) AS (VALUES {', '.join(f"('{r}', {k1}::DOUBLE, {b}::DOUBLE)" for r, (k1, b) in _LEXICAL.items())}),
+pbm AS (SELECT run_id, query_id, item_id, round(sum(idf * tf * (k1 + 1) / (tf + k1 * (1 - b + b * length / mean))), 9) AS score FROM ppost JOIN pidf USING (word) JOIN pasked USING (word) CROSS JOIN ways GROUP BY ALL),
+prun AS MATERIALIZED (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY run_id, query_id ORDER BY score DESC, item_id) AS rank FROM pbm) WHERE rank <= 100),
+{O.measured('prun', 'run_id', ks=(10,), rel='prel', name='pm')}, pworth AS (SELECT run_id, round(avg(value), 12) AS ndcg FROM pm WHERE metric = 'ndcg' GROUP BY ALL),
+pkept AS (SELECT run_id, ndcg, row_number() OVER (ORDER BY ndcg, run_id DESC) > floor(count(*) OVER () * 0.2) AS kept FROM pworth),
+pfused AS (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY rrf DESC, item_id) AS rank FROM (SELECT query_id, item_id, round(sum(1.0::DOUBLE / (60 + rank)), 12) AS rrf FROM prun WHERE run_id IN (SELECT run_id FROM pkept WHERE kept) GROUP BY ALL)),
+pmined AS (SELECT query_id, item_id FROM (SELECT f.query_id, f.item_id, row_number() OVER (PARTITION BY f.query_id ORDER BY f.rank, f.item_id) AS place FROM pfused f ANTI JOIN prel USING (query_id, item_id)) WHERE place <= {_PASSAGE_MINED}),
+pcore AS (SELECT item_id, max(role) AS role FROM (SELECT item_id, 'relevant' AS role FROM prel UNION ALL SELECT item_id, 'distractor' FROM pmined) GROUP BY item_id),
+psizes AS (SELECT c + (n - c) // 64 AS s2, c + (n - c) // 16 AS s3, c + (n - c) // 4 AS s4, n AS s5, c FROM (SELECT count(*) AS n FROM passages), (SELECT count(*) AS c FROM pcore)),
+pladder AS (SELECT item_id, role, 1 AS tier FROM pcore UNION ALL SELECT item_id, 'random', CASE WHEN place + c <= s2 THEN 2 WHEN place + c <= s3 THEN 3 WHEN place + c <= s4 THEN 4 ELSE 5 END
+ FROM (SELECT item_id, row_number() OVER (ORDER BY md5(item_id::VARCHAR), item_id) AS place FROM passages i ANTI JOIN pcore k USING (item_id)), psizes)"""
 
 
 def _passages(spark, sf_dir):
-    p = corpus.passages(table(spark, sf_dir, "documents")).select((F.col("doc_id") * 1000000 + F.col("i")).alias("item_id"), "text")
-    asked = table(spark, sf_dir, "benchmark").select(F.col("item_id").alias("query_id"), F.substring("text", 1, 60).alias("text"))
-    return p, asked, corpus.containment(p, asked)
+    return corpus.passages(table(spark, sf_dir, "documents")).select((F.col("doc_id") * 1000000 + F.col("i")).alias("item_id"), "text")
 
 
-@query("passages", f"WITH {_PASSAGES} SELECT item_id, md5(text) AS digest FROM passages")
+@query("passages", f"WITH {_SLICES} SELECT item_id, md5(text) AS digest FROM passages")
 def passages(spark, sf_dir):
-    return _passages(spark, sf_dir)[0].select("item_id", F.md5("text").alias("digest"))
+    return _passages(spark, sf_dir).select("item_id", F.md5("text").alias("digest"))
 
 
-@query("ladder_passages", f"""WITH {_PASSAGES}, p AS (SELECT count(*) AS n FROM passages), sizes AS (SELECT n // 8 AS s1, n // 2 AS s2, n AS s3 FROM p),
-pcore AS (SELECT DISTINCT item_id, 'relevant' AS role FROM prel), {_ladder_sql('pcore', 'pladder', 'passages')} SELECT item_id, role, tier::INT AS tier FROM pladder""")
+def _passage_pool(spark, sf_dir):
+    """Queries with exactly two relevant passages, and the lexical runs over all passages."""
+    docs, asked, rel = _contained(spark, sf_dir)
+    rel = materialize(rel, "contained")
+    spans = corpus.overlapping_passages(rel, docs.withColumnRenamed("item_id", "doc_id"), asked)
+    rel = materialize(corpus.select_qrels(spans.select("query_id", (F.col("doc_id") * 1000000 + F.col("i")).alias("item_id"), "grade"), _PASSAGE_RELEVANT), "qrels")
+    asked = materialize(asked.join(rel.select("query_id").distinct(), "query_id", "left_semi"), "queries")
+    items = _passages(spark, sf_dir)
+    return items, asked, rel, materialize(runs.bm25_runs(asked, items, _LEXICAL), "runs")
+
+
+def _passage_ladder(spark, sf_dir):
+    items, asked, rel, run = _passage_pool(spark, sf_dir)
+    mined = materialize(corpus.distractors(runs.fuse(runs.prune(run.drop("score"), rel)), rel, _PASSAGE_MINED), "mined")
+    core = materialize(corpus.core(rel, mined), "core")
+    n, c = items.count(), core.count()
+    sizes = [c, *(c + (n - c) // part for part in (64, 16, 4)), n]
+    return items, asked, rel, materialize(corpus.ladder(items, core, sizes), "ladder"), sizes, mined
+
+
+@query("passage_run_pruning", f"WITH {_PASSAGES} SELECT run_id, ndcg, kept FROM pkept")
+def passage_run_pruning(spark, sf_dir):
+    _, _, rel, run = _passage_pool(spark, sf_dir)
+    return runs.pruning(runs.effectiveness(run, rel))
+
+
+@query("ladder_passages", f"WITH {_PASSAGES} SELECT item_id, role, tier::INT AS tier FROM pladder")
 def ladder_passages(spark, sf_dir):
-    items, _, rel = _passages(spark, sf_dir)
-    n = items.count()
-    return corpus.random_subset(items, rel, [n // 8, n // 2, n])
+    """Five nested tiers of passages around relevant ones and the hard ones that pruned and fused lexical runs found."""
+    return _passage_ladder(spark, sf_dir)[3]
+
+
+@query("ladder_passages_audit", f"""WITH {_PASSAGES}, t(tier) AS (VALUES (1), (2), (3), (4), (5))
+SELECT 'size' AS "check", t.tier::INT AS tier, CASE t.tier WHEN 1 THEN c WHEN 2 THEN s2 WHEN 3 THEN s3 WHEN 4 THEN s4 ELSE s5 END AS expected, (SELECT count(*) FROM pladder l WHERE l.tier <= t.tier) AS actual FROM t, psizes
+UNION ALL SELECT 'relevant_per_query', 0, (SELECT count(DISTINCT query_id) FROM prel), count(*) FROM (SELECT query_id FROM prel GROUP BY 1 HAVING count(*) = {_PASSAGE_RELEVANT})
+UNION ALL SELECT 'distractors_per_query', 0, (SELECT count(DISTINCT query_id) FROM prel), count(*) FROM (SELECT query_id FROM pmined GROUP BY 1 HAVING count(*) = {_PASSAGE_MINED})
+UNION ALL SELECT 'items_in_two_roles', 0, 0, count(*) FROM (SELECT item_id FROM pladder GROUP BY 1 HAVING count(*) > 1)""")
+def ladder_passages_audit(spark, sf_dir):
+    _, _, rel, tiers, sizes, mined = _passage_ladder(spark, sf_dir)
+    return corpus.audit(tiers, rel, mined, sizes, _PASSAGE_RELEVANT, _PASSAGE_MINED)
 
 
 def _text_codes_sql(variants, items: str, queries: str, key: str = "") -> str:
@@ -381,14 +433,27 @@ tcodes AS ({code}), tscored AS (SELECT {'q.' + by if key else ''}q.variant, q.id
 _THRESHOLDS = [codecs.identity(), codecs.binary("zero"), codecs.binary("median")]
 
 
-def _models_sql(variants) -> str:
-    parts = []
-    for e in encoders.ENCODERS:
-        parts.append(f"""SELECT '{e.name}' AS encoder, id, pos, v FROM {_dense_sql(e, '(SELECT doc_id AS id, text FROM documents)')}""")
-    asked = [f"SELECT '{e.name}' AS encoder, id, pos, v FROM {_dense_sql(e, '(SELECT item_id AS id, text FROM benchmark WHERE item_id IN (SELECT query_id FROM crel))')}" for e in encoders.ENCODERS]
-    return f"""WITH {_DOC_LADDER}, mi AS ({' UNION ALL '.join(parts)}), mq AS ({' UNION ALL '.join(asked)}), {_text_codes_sql(variants, 'mi', 'mq', 'encoder')},
-mrun AS (SELECT * FROM (SELECT s.encoder, s.variant, t.tier, s.query_id, s.item_id, row_number() OVER (PARTITION BY s.encoder, s.variant, t.tier, s.query_id ORDER BY s.score DESC, s.item_id) AS rank FROM tscored s JOIN dladder l USING (item_id) JOIN (VALUES (1), (2), (3)) t(tier) ON l.tier <= t.tier) WHERE rank <= 100),
-{O.measured('mrun', 'encoder, variant, tier', ks=(100,), rel='crel', name='mm')}, {O.means('encoder, variant, tier', 'mm')}"""
+def _models_sql(variants, granularity: str = "documents") -> str:
+    if granularity == "documents":
+        prelude, items, rel, steps, last = _DOC_LADDER, "(SELECT doc_id AS id, text FROM documents)", "crel", "dladder", 3
+    else:
+        prelude, items, rel, steps, last = _PASSAGES, "(SELECT item_id AS id, text FROM passages)", "prel", "pladder", 5
+    parts = [f"SELECT '{e.name}' AS encoder, id, pos, v FROM {_dense_sql(e, items)}" for e in encoders.ENCODERS]
+    asked = [f"SELECT '{e.name}' AS encoder, id, pos, v FROM {_dense_sql(e, f'(SELECT item_id AS id, text FROM benchmark WHERE item_id IN (SELECT query_id FROM {rel}))')}" for e in encoders.ENCODERS]
+    return f"""WITH {prelude}, mi AS ({' UNION ALL '.join(parts)}), mq AS ({' UNION ALL '.join(asked)}), {_text_codes_sql(variants, 'mi', 'mq', 'encoder')},
+mrun AS (SELECT * FROM (SELECT s.encoder, s.variant, t.tier, s.query_id, s.item_id, row_number() OVER (PARTITION BY s.encoder, s.variant, t.tier, s.query_id ORDER BY s.score DESC, s.item_id) AS rank FROM tscored s JOIN {steps} l USING (item_id) JOIN (SELECT unnest(range(1, {last + 1})) AS tier) t ON l.tier <= t.tier) WHERE rank <= 100),
+{O.measured('mrun', 'encoder, variant, tier', ks=(100,), rel=rel, name='mm')}, {O.means('encoder, variant, tier', 'mm')}"""
+
+
+def _both_sql(variants, select: str) -> str:
+    """The same statement over documents and over passages, one below the other."""
+    return " UNION ALL ".join(f"SELECT '{g}' AS granularity, * FROM ({_models_sql(variants, g)} {select})" for g in ("documents", "passages"))
+
+
+def _both(spark, sf_dir, variants):
+    """_models over both granularities."""
+    own = lambda g, ladder: _models(spark, sf_dir, variants, ladder).withColumn("granularity", F.lit(g))
+    return own("documents", _doc_ladder(spark, sf_dir)).unionByName(own("passages", _passage_ladder(spark, sf_dir)[:5]))
 
 
 for _e in encoders.ENCODERS:
@@ -417,15 +482,17 @@ def _models(spark, sf_dir, variants, ladder=None):
     return metrics.summary(values, ("encoder", "variant", "tier")).where("metric = 'recall'").select("encoder", "variant", "tier", "value")
 
 
-@query("model_leaderboard", f"{_models_sql([codecs.identity()])} SELECT encoder, tier::INT AS tier, value AS recall_100, rank() OVER (PARTITION BY tier ORDER BY value DESC)::INT AS place FROM means WHERE metric = 'recall'")
+@query("model_leaderboard", _both_sql([codecs.identity()], "SELECT encoder, tier::INT AS tier, value AS recall_100, rank() OVER (PARTITION BY tier ORDER BY value DESC)::INT AS place FROM means WHERE metric = 'recall'"))
 def model_leaderboard(spark, sf_dir):
-    return analysis.leaderboard(_models(spark, sf_dir, [codecs.identity()]), ("tier",), "encoder").select("encoder", "tier", F.col("value").alias("recall_100"), "place")
+    """The models side by side in every tier of documents and of passages."""
+    return analysis.leaderboard(_both(spark, sf_dir, [codecs.identity()]), ("granularity", "tier"), "encoder").select("granularity", "encoder", "tier", F.col("value").alias("recall_100"), "place")
 
 
-@query("binary_thresholds", f"{_models_sql(_THRESHOLDS)} SELECT encoder, tier::INT AS tier, max(value) FILTER (WHERE variant = 'identity') AS full_precision, max(value) FILTER (WHERE variant = 'bits_zero') AS zero, max(value) FILTER (WHERE variant = 'bits_median') AS median FROM means WHERE metric = 'recall' GROUP BY ALL")
+@query("binary_thresholds", _both_sql(_THRESHOLDS, "SELECT encoder, tier::INT AS tier, max(value) FILTER (WHERE variant = 'identity') AS full_precision, max(value) FILTER (WHERE variant = 'bits_zero') AS zero, max(value) FILTER (WHERE variant = 'bits_median') AS median FROM means WHERE metric = 'recall' GROUP BY ALL"))
 def binary_thresholds(spark, sf_dir):
+    """One bit a dimension, above zero or above the median, for every model and both granularities."""
     pick = lambda v, name: F.max(F.when(F.col("variant") == v, F.col("value"))).alias(name)
-    return _models(spark, sf_dir, _THRESHOLDS).groupBy("encoder", "tier").agg(pick("identity", "full_precision"), pick("bits_zero", "zero"), pick("bits_median", "median"))
+    return _both(spark, sf_dir, _THRESHOLDS).groupBy("granularity", "encoder", "tier").agg(pick("identity", "full_precision"), pick("bits_zero", "zero"), pick("bits_median", "median"))
 
 
 _NESTED = [codecs.identity(), codecs.truncate(512), codecs.truncate(256), codecs.truncate(128), codecs.truncate(64), codecs.truncate(32)]
