@@ -507,59 +507,61 @@ def nested_training_contrast(spark, sf_dir):
 DOMAIN_ENCODER = encoders.HashedEncoder("hash256", 256, "word", decay=1 / 64)
 DOMAIN_CODECS = [codecs.identity(), *(codecs.equal_width(b, scoring="centred") for b in (8, 4, 2)), *(codecs.compose(codecs.truncate(128), codecs.equal_width(b, scoring="centred")) for b in (8, 4, 2)), codecs.percentile_bins(8), codecs.percentile_bins(4), codecs.percentile_bins(2), codecs.binary("zero"), codecs.binary("median"), codecs.truncate(128), codecs.truncate(64), codecs.truncate(32), codecs.truncate(16), codecs.truncate(8), codecs.compose(codecs.truncate(128), codecs.percentile_bins(4)), codecs.compose(codecs.truncate(128), codecs.percentile_bins(2)), codecs.compose(codecs.truncate(64), codecs.percentile_bins(4))]
 _STRIP = "trim(regexp_replace(regexp_replace(html, '<(script|style)[^>]*>[^<]*</(script|style)>', ' ', 'g'), '<[^>]*>', ' ', 'g'))"
-_DOMAINS = f"""domains AS (SELECT 'documents_' || lang AS dataset, doc_id AS id, text FROM documents WHERE lang IN ('en', 'de', 'fr', 'es') UNION ALL SELECT 'pages', page_id, {_STRIP} FROM pages
+_DOMAINS = f"""domains AS (SELECT 'documents_' || CASE WHEN lang IN ('en', 'de', 'fr', 'es') THEN lang ELSE 'other' END AS dataset, doc_id AS id, text FROM documents UNION ALL SELECT 'pages', page_id, {_STRIP} FROM pages
  UNION ALL SELECT 'conversations', conv_id * 1000 + turn, text FROM conversations)"""
 
 
 def domains(spark, sf_dir) -> DataFrame:
-    """dataset, item_id, text of the six corpora."""
-    docs = table(spark, sf_dir, "documents").where(F.col("lang").isin("en", "de", "fr", "es")).select(F.concat(F.lit("documents_"), "lang").alias("dataset"), F.col("doc_id").alias("item_id"), "text")
+    """dataset, item_id, text of the corpora: documents by language, pages, conversations."""
+    lang = F.when(F.col("lang").isin("en", "de", "fr", "es"), F.col("lang")).otherwise("other")
+    docs = table(spark, sf_dir, "documents").select(F.concat(F.lit("documents_"), lang).alias("dataset"), F.col("doc_id").alias("item_id"), "text")
     stripped = F.trim(F.regexp_replace(F.regexp_replace("html", "<(script|style)[^>]*>[^<]*</(script|style)>", " "), "<[^>]*>", " "))
     pages = table(spark, sf_dir, "pages").select(F.lit("pages").alias("dataset"), F.col("page_id").alias("item_id"), stripped.alias("text"))
     talk = table(spark, sf_dir, "conversations").select(F.lit("conversations").alias("dataset"), (F.col("conv_id") * 1000 + F.col("turn")).alias("item_id"), "text")
     return docs.unionByName(pages).unionByName(talk)
 
 
-_DOMAIN_KEYS = ("documents_de", "documents_en", "documents_es", "documents_fr", "pages", "conversations")
+_DOMAIN_KEYS = ("documents_de", "documents_en", "documents_es", "documents_fr", "pages", "conversations", "documents_other")
+_EVERY = 3  # a question is every third word of an item
 
 
 def _domain_sql() -> str:
     e = DOMAIN_ENCODER
     # item ids are made unique across datasets by their place in the list of datasets
     place = "CASE dataset " + " ".join(f"WHEN '{d}' THEN {i}" for i, d in enumerate(_DOMAIN_KEYS)) + " END"
-    return f"""WITH {_DOMAINS}, all_items AS (SELECT dataset, id * 10 + {place} AS id, text FROM domains), asked AS (SELECT dataset, id, substr(text, 1, 120) AS text FROM all_items WHERE (id // 10) % 20 = 0 AND length(text) >= 200),
+    return f"""WITH {_DOMAINS}, all_items AS (SELECT dataset, id * 10 + {place} AS id, text FROM domains), asked AS (SELECT * FROM (SELECT dataset, id, array_to_string(list_filter({_WORDS}, lambda w, i: (i - 1) % {_EVERY} = 0), ' ') AS text FROM all_items WHERE (id // 10) % 20 = 0) WHERE text <> ''),
 mi AS (SELECT i.dataset, d.id, d.pos, d.v FROM {_dense_sql(e, 'all_items')} d JOIN all_items i USING (id)), mq AS (SELECT i.dataset, d.id, d.pos, d.v FROM {_dense_sql(e, 'asked')} d JOIN asked i USING (id)),
 {_text_codes_sql(DOMAIN_CODECS, 'mi', 'mq', 'dataset')}, krel AS (SELECT id AS query_id, id AS item_id, 1 AS grade FROM asked),
 drun AS (SELECT * FROM (SELECT dataset, variant, query_id, item_id, row_number() OVER (PARTITION BY dataset, variant, query_id ORDER BY score DESC, item_id) AS rank FROM tscored) WHERE rank <= 100),
-found AS (SELECT a.dataset, v.variant, a.id, coalesce(max((r.rank <= 10)::INT), 0)::DOUBLE AS hit FROM asked a CROSS JOIN (SELECT DISTINCT variant FROM drun) v LEFT JOIN drun r ON r.dataset = a.dataset AND r.variant = v.variant AND r.query_id = a.id AND r.item_id = a.id GROUP BY ALL),
+found AS (SELECT a.dataset, v.variant, a.id, coalesce(max((r.rank <= 100)::INT), 0)::DOUBLE AS hit FROM asked a CROSS JOIN (SELECT DISTINCT variant FROM drun) v LEFT JOIN drun r ON r.dataset = a.dataset AND r.variant = v.variant AND r.query_id = a.id AND r.item_id = a.id GROUP BY ALL),
 each AS (SELECT dataset, variant, avg(hit) AS value FROM found GROUP BY ALL)"""
 
 
-def _domain_values(spark, sf_dir) -> DataFrame:
-    """dataset, variant, value (share of known items among the first 10).
+def _domain_values(spark, sf_dir, encoder=DOMAIN_ENCODER, wanted=None) -> DataFrame:
+    """dataset, variant, query_id, metric, k, value: recall of known items at 100, asked for by every third word of them.
 
-    All datasets go through one scan: each is a batch with its own calibration, and a query is compared with
-    the items of its own dataset only by keeping its hits there.
+    Items are encoded and stored once; each dataset is searched by its own queries under its own quantiles. Principal
+    directions and codebooks are learned over all datasets.
     """
-    found = None
+    wanted = wanted or DOMAIN_CODECS
     place = F.create_map(*(F.lit(x) for i, d in enumerate(_DOMAIN_KEYS) for x in (d, i)))
     items = domains(spark, sf_dir).withColumn("item_id", F.col("item_id") * 10 + F.element_at(place, F.col("dataset")))
-    asked = items.where((F.floor(F.col("item_id") / 10) % 20 == 0) & (F.length("text") >= 200)).select("item_id", F.substring("text", 1, 120).alias("text"))
-    path, asked_path = scratch_path(spark, "domains"), scratch_path(spark, "asked")
-    encoders.dense(items.select("item_id", "text"), DOMAIN_ENCODER).withColumn("set", (F.col("item_id") % 10).cast("int")).write.parquet(path)
-    encoders.dense(asked, DOMAIN_ENCODER).withColumn("set", (F.col("item_id") % 10).cast("int")).write.parquet(asked_path)
-    vectors, questions = spark.read.parquet(path), spark.read.parquet(asked_path)
-    levels = sorted({level for c in DOMAIN_CODECS for level in c.levels()})
-    learned = calibrate.batch_quantiles(vectors, "set", levels, "vec")
+    question = F.array_join(F.filter(runs.words(F.col("text")), lambda w, i: i % _EVERY == 0), " ")
+    asked = items.where(F.floor(F.col("item_id") / 10) % 20 == 0).select("item_id", question.alias("text")).where("text != ''")
+    in_set = lambda df: df.withColumn("set", (F.col("item_id") % 10).cast("int"))
+    vectors = materialize(in_set(encoders.dense(items.select("item_id", "text"), encoder)), "domains")
+    questions = materialize(in_set(encoders.dense(asked, encoder)), "asked")
+    levels = sorted({level for c in wanted for level in c.levels()})
+    learned = calibrate.batch_quantiles(vectors, "set", levels or (0.5,), "vec")
+    trained = {c.name: cal for c, cal in harness.calibrated(vectors, [c for c in wanted if isinstance(c, (codecs.Pca, codecs.Pq))], "vec", "item_id", pq_rounds=10)}
+    found = None
     for i, d in enumerate(_DOMAIN_KEYS):
-        own = questions.where(F.col("set") == i)
-        q = search.collect_queries(own.select(F.col("item_id").alias("query_id"), "vec"))
+        q = search.collect_queries(questions.where(F.col("set") == i).select(F.col("item_id").alias("query_id"), "vec"))
         if not len(q[0]):
             continue
-        run = search.topk_fused(q, vectors.where(F.col("set") == i), [(c, learned[i]) for c in DOMAIN_CODECS], 10, id_col="item_id", vec_col="vec")
-        hits = run.where("query_id = item_id").groupBy("variant").agg(F.count("*").alias("hits"))
-        names = spark.createDataFrame([(c.name,) for c in DOMAIN_CODECS], "variant string")
-        one = names.join(F.broadcast(hits), "variant", "left").select(F.lit(d).alias("dataset"), "variant", (F.coalesce("hits", F.lit(0)) / len(q[0])).alias("value"))
+        rel = spark.createDataFrame([(int(x), int(x), 1) for x in q[0]], "query_id long, item_id long, grade int")
+        values = harness.evaluate(q, vectors.where(F.col("set") == i), rel, [(c, trained.get(c.name, learned[i])) for c in wanted], (100,), id_col="item_id", vec_col="vec")
+        one = values.where("metric = 'recall'").drop("tier").withColumn("dataset", F.lit(d))
         found = one if found is None else found.unionByName(one)
     return found
 
@@ -567,15 +569,32 @@ def _domain_values(spark, sf_dir) -> DataFrame:
 _DOMAIN_RATIOS = {c.name: round(c.ratio(256), 6) for c in DOMAIN_CODECS}
 
 
-@query("domain_macro_recall", f"{_domain_sql()} SELECT variant AS codec, {O.ratio_case(_DOMAIN_RATIOS)}::DOUBLE AS ratio, round(avg(value) * 100, 6) AS macro_recall_10 FROM each GROUP BY ALL")
+@query("domain_macro_recall", f"{_domain_sql()} SELECT variant AS codec, {O.ratio_case(_DOMAIN_RATIOS)}::DOUBLE AS ratio, round(avg(value) * 100, 9) AS macro_recall_100 FROM each GROUP BY ALL")
 def domain_macro_recall(spark, sf_dir):
-    v = _domain_values(spark, sf_dir)
-    return v.groupBy("variant").agg(F.round(F.avg("value") * 100, 6).alias("macro_recall_10")).select(F.col("variant").alias("codec"), harness.ratio_column(_DOMAIN_RATIOS).alias("ratio"), "macro_recall_10")
+    """Recall@100 by codec, every dataset weighing the same."""
+    v = metrics.macro(_domain_values(spark, sf_dir), ("variant",))
+    return v.select(F.col("variant").alias("codec"), harness.ratio_column(_DOMAIN_RATIOS).alias("ratio"), F.col("value").alias("macro_recall_100"))
 
 
 @query("codec_ranks", f"{_domain_sql()} SELECT variant AS codec, round(avg(place), 6) AS mean_rank, round(stddev_pop(place), 6) AS spread FROM (SELECT variant, rank() OVER (PARTITION BY dataset ORDER BY round(value, 9) DESC) AS place FROM each) GROUP BY ALL")
 def codec_ranks(spark, sf_dir):
-    return analysis.codec_ranks(_domain_values(spark, sf_dir).withColumn("value", F.round("value", 9)), ("dataset",)).withColumnRenamed("variant", "codec")
+    each = _domain_values(spark, sf_dir).groupBy("dataset", "variant").agg(F.round(F.avg("value"), 9).alias("value"))
+    return analysis.codec_ranks(each, ("dataset",)).withColumnRenamed("variant", "codec")
+
+
+_DOMAIN_FULL = [codecs.identity(), codecs.pca(64), codecs.pca(16), codecs.pca(8), *grids.lsh(256), codecs.pq(128, 8), codecs.pq(64, 8), codecs.pq(32, 8), codecs.truncate(64), codecs.truncate(16), codecs.equal_width(8, scoring="centred"), codecs.equal_width(2, scoring="centred"), codecs.binary("zero"), codecs.binary("median"), codecs.compose(codecs.truncate(128), codecs.equal_width(4, scoring="centred"))]
+_DOMAIN_ENCODERS = (DOMAIN_ENCODER, encoders.HashedEncoder("hash256_plain", 256, "word"), encoders.HashedEncoder("gram256_offset", 256, "gram", offset=0.75))
+
+
+@query("domain_methods")
+def domain_methods(spark, sf_dir):
+    """PCA, LSH and PQ beside truncation and quantization from 4x to 32x, macro Recall@100 on three encoders, ranked within a ratio."""
+    found = None
+    for e in _DOMAIN_ENCODERS:
+        v = metrics.macro(_domain_values(spark, sf_dir, e, _DOMAIN_FULL), ("variant",))
+        own = v.select(F.lit(e.name).alias("encoder"), F.col("variant").alias("codec"), harness.ratio_column({c.name: round(c.ratio(256), 6) for c in _DOMAIN_FULL}).alias("ratio"), F.col("value").alias("macro_recall_100"))
+        found = own if found is None else found.unionByName(own)
+    return found.withColumn("place", F.rank().over(Window.partitionBy("encoder", "ratio").orderBy(F.desc("macro_recall_100"))))
 
 
 @query("documents_by_tier", f"""{_models_sql([codecs.identity(), *(codecs.percentile_bins(b) for b in (8, 4, 2)), codecs.binary('median')])} SELECT encoder, variant AS codec, tier::INT AS tier, value AS recall_100 FROM means WHERE metric = 'recall'""")
