@@ -2,6 +2,7 @@ import numpy as np
 import pytest
 
 from compresslab.operators import analysis, calibrate, codecs, corpus, metrics, runs, search, significance
+from compresslab.plans import harness
 from compresslab.sources.synthetic import synthetic_vectors
 
 
@@ -62,6 +63,26 @@ def test_no_cartesian_product_on_the_arrow_path_and_one_scan(vectors, spark, sf)
     assert "CartesianProduct" not in plan and plan.count("FileScan") == 1 and "WindowGroupLimit" in plan
 
 
+def test_an_evaluation_reads_its_items_once(spark, sf):
+    v = spark.read.parquet(f"{sf}/embeddings.parquet")
+    q, rel = search.collect_queries(corpus.planted_queries(v)), corpus.planted_qrels(v)
+    variants = [(codecs.identity(), calibrate.Calibration()), (codecs.truncate(16), calibrate.Calibration())]
+    values = harness.evaluate(q, v, rel, variants)
+    assert values._jdf.queryExecution().executedPlan().toString().count("MapInArrow") == 1
+    assert {r["variant"] for r in values.collect()} == {"identity", "truncate_16"}
+
+
+def test_held_rows_are_the_k_best_with_ties_to_smaller_ids():
+    g = np.random.default_rng(5)
+    score, ids = np.round(g.normal(size=(7, 900)), 1), g.permutation(900)
+    held = search._Held(7, 10)
+    for at in range(0, 900, 60):
+        held.add(score[:, at : at + 60], ids[at : at + 60])
+    qi, found, _ = held.cut()
+    for i in range(7):
+        assert found[qi == i].tolist() == ids[np.lexsort((ids, -score[i]))[:10]].tolist()
+
+
 def test_metrics_by_hand(spark):
     run = spark.createDataFrame([(1, 10, 1), (1, 11, 2), (1, 12, 3), (2, 20, 1)], "query_id long, item_id long, rank int")
     rel = spark.createDataFrame([(1, 11, 1), (1, 12, 2), (1, 99, 1), (3, 30, 1)], "query_id long, item_id long, grade int")
