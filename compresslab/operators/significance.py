@@ -79,3 +79,10 @@ def holm(p: list[float]) -> list[float]:
         top = max(top, min(1.0, (len(p) - place) * p[i]))
         out[i] = top
     return out
+
+
+def with_holm(tests: DataFrame, keys: tuple[str, ...] = ()) -> DataFrame:
+    """Adds p_holm: p adjusted for all tests with the same keys. Tests are few: one a setting."""
+    place = Window.partitionBy(*keys).orderBy("p", *(c for c in tests.columns if c not in keys and c != "p"))
+    step = F.least(F.lit(1.0), F.col("p") * (F.count("*").over(Window.partitionBy(*keys)) - F.row_number().over(place) + 1))
+    return tests.withColumn("step", step).withColumn("p_holm", F.max("step").over(place)).drop("step")

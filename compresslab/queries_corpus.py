@@ -169,9 +169,9 @@ def wilcoxon_by_tier(spark, sf_dir):
 
 @query("wilcoxon_exact")
 def wilcoxon_exact(spark, sf_dir):
-    """p-values: exact where nothing ties, else by the corrected normal approximation."""
+    """p-values: exact where nothing ties, else by the corrected normal approximation; p_holm is adjusted for all codecs of a tier."""
     values, _ = _tier_values(spark, sf_dir)
-    return significance.wilcoxon_less(harness.significance_of(values), ("variant", "tier"))
+    return significance.with_holm(significance.wilcoxon_less(harness.significance_of(values), ("variant", "tier")), ("tier",))
 
 
 @query("retention_degradation", f"""WITH {_POOL_LADDER}, {_by_tier_sql()}, own AS (SELECT variant, tier, value FROM tmeans WHERE metric = 'recall' AND k = 100)
@@ -667,6 +667,28 @@ def events_interval_join(spark, sf_dir):
     return ev.interval_join(e, e, "user_id", 3600)
 
 
+@query("stream_tumbling", "SELECT time_bucket(INTERVAL 1 HOUR, ts) AS window_start, event_type, count(*) AS n, round(sum(value), 6) AS total FROM events GROUP BY ALL")
+def stream_tumbling(spark, sf_dir):
+    """The tumbling windows over a stream with a watermark: rows in order lose nothing."""
+    return ev.over_stream(_events(spark, sf_dir), lambda e: ev.tumbling(e, late="2 hours"), ("window_start", "event_type"))
+
+
+@query("stream_interval_join", "SELECT l.user_id, l.event_id AS left_id, r.event_id AS right_id FROM events l JOIN events r ON l.user_id = r.user_id AND r.ts > l.ts AND r.ts <= l.ts + INTERVAL 1 HOUR")
+def stream_interval_join(spark, sf_dir):
+    """The interval join of two streams, state bounded by their watermarks."""
+    path, out = ev.replay_in_order(_events(spark, sf_dir), 4), scratch_path(spark, "pairs")
+    ev.drain(ev.interval_stream(ev.event_stream(spark, path), ev.event_stream(spark, path), "user_id", "1 HOUR", "2 hours"), out, "append")
+    return spark.read.parquet(out).drop("batch_id")
+
+
+@query("calibration_drift", f"""WITH {O.TIERS}, per AS (SELECT (vec_id % 4)::INT AS batch_id, pos, round(quantile_cont(v, 0.5), 12) AS own FROM x GROUP BY ALL), every AS (SELECT pos, round(quantile_cont(v, 0.5), 12) AS whole FROM x GROUP BY pos)
+SELECT batch_id, round(avg(abs(own - whole)), 9) AS moved FROM per JOIN every USING (pos) GROUP BY batch_id""")
+def calibration_drift(spark, sf_dir):
+    """How far the medians of a batch lie from those of all batches."""
+    e = _vectors(spark, sf_dir).withColumn("batch_id", (F.col("vec_id") % 4).cast("int"))
+    return ingest.drift(e, "batch_id", method="exact").withColumn("moved", F.round("moved", 9))
+
+
 @query("events_dedup", "SELECT user_id, event_type, ts::DATE AS day, min(event_id) AS first_id FROM events GROUP BY ALL")
 def events_dedup(spark, sf_dir):
     return _events(spark, sf_dir).withColumn("day", F.col("ts").cast("date")).groupBy("user_id", "event_type", "day").agg(F.min("event_id").alias("first_id"))

@@ -63,8 +63,8 @@ def latest(spark: SparkSession, out: str) -> DataFrame:
     return rows.withColumn("last", last).where("batch_id = last").drop("last", "batch_id")
 
 
-def drift(stream_or_table: DataFrame, batch_col: str, level: float = 0.5) -> DataFrame:
+def drift(vectors: DataFrame, batch_col: str, level: float = 0.5, method: str = "kll") -> DataFrame:
     """batch, moved: mean distance of a batch's thresholds from those of all batches."""
-    per = calibrate.quantile_rows(stream_or_table, (level,), (batch_col,), method="kll").select(batch_col, "pos", F.col("q")[0].alias("own"))
-    every = calibrate.quantile_rows(stream_or_table, (level,), method="kll").select("pos", F.col("q")[0].alias("all"))
+    per = calibrate.quantile_rows(vectors, (level,), (batch_col,), method=method).select(batch_col, "pos", F.col("q")[0].alias("own"))
+    every = calibrate.quantile_rows(vectors, (level,), method=method).select("pos", F.col("q")[0].alias("all"))
     return per.join(F.broadcast(every), "pos").groupBy(batch_col).agg(F.avg(F.abs(F.col("own") - F.col("all"))).alias("moved"))
