@@ -83,8 +83,8 @@ def distinct_counts(spark, sf_dir) -> DataFrame:
 
 
 def distinct_approx(spark, sf_dir) -> DataFrame:
-    l = table(spark, sf_dir, "lineitem")  # noqa: E741
     """Exact counts, and whether the two sketches are within 8 % of them (four standard errors)."""
+    l = table(spark, sf_dir, "lineitem")  # noqa: E741
     found = l.groupBy("l_returnflag").agg(
         F.approx_count_distinct("l_partkey", 0.02).alias("approx"), F.hll_sketch_estimate(F.hll_sketch_agg("l_partkey")).alias("hll"), F.countDistinct("l_partkey").alias("exact"))
     close = lambda c: (F.abs(F.col(c) - F.col("exact")) <= 0.08 * F.col("exact")).alias(f"{c}_close")
@@ -100,8 +100,19 @@ def string_date_math(spark, sf_dir) -> DataFrame:
 
 
 def array_map_json(spark, sf_dir) -> DataFrame:
-    e = table(spark, sf_dir, "events")
-    k = F.get_json_object("props", "$.k").cast("int")
-    return e.groupBy("event_type").agg(
-        F.sum(k).alias("sum_k"), F.size(F.collect_set(k)).alias("distinct_k"), F.element_at(F.sort_array(F.collect_list("event_id")), 1).alias("first_id"),
-        F.aggregate(F.slice(F.sort_array(F.collect_list("event_id")), 1, 10), F.lit(0).cast("long"), lambda a, x: a + x).alias("sum_first_ten"))
+    """Sums and the first ten of each type; a limit on ranks cuts every partition to ten rows before the shuffle."""
+    e = table(spark, sf_dir, "events").select("event_type", "event_id", F.get_json_object("props", "$.k").cast("int").alias("k"))
+    sums = e.groupBy("event_type").agg(F.sum("k").alias("sum_k"), F.size(F.collect_set("k")).alias("distinct_k"), F.min("event_id").alias("first_id"))
+    first = e.withColumn("place", F.row_number().over(Window.partitionBy("event_type").orderBy("event_id"))).where("place <= 10")
+    ten = first.groupBy("event_type").agg(F.aggregate(F.sort_array(F.collect_list("event_id")), F.lit(0).cast("long"), lambda a, x: a + x).alias("sum_first_ten"))
+    return sums.join(ten, "event_type")
+
+
+def join_hints(spark, sf_dir) -> DataFrame:
+    """One join by each physical strategy: the plans differ, the rows do not."""
+    o, c = table(spark, sf_dir, "orders").select("o_custkey", "o_totalprice"), table(spark, sf_dir, "customer").select("c_custkey", "c_mktsegment")
+    found = None
+    for hint in ("broadcast", "merge", "shuffle_hash"):
+        own = o.join(c.hint(hint), F.col("o_custkey") == F.col("c_custkey")).groupBy("c_mktsegment").agg(F.count("*").alias("n"), F.round(F.sum("o_totalprice"), 2).alias("total")).withColumn("strategy", F.lit(hint))
+        found = own if found is None else found.unionByName(own)
+    return found

@@ -681,6 +681,15 @@ def stream_interval_join(spark, sf_dir):
     return spark.read.parquet(out).drop("batch_id")
 
 
+@query("stream_dedup", "SELECT event_id, user_id, event_type FROM events")
+def stream_dedup(spark, sf_dir):
+    """Events that arrive twice in a stream are kept once; the state forgets an event when the watermark has passed it."""
+    e, out = _events(spark, sf_dir), scratch_path(spark, "once")
+    twice = ev.event_stream(spark, ev.replay_in_order(e.unionByName(e), 4))
+    ev.drain(twice.withWatermark("ts", "2 hours").dropDuplicatesWithinWatermark(["event_id"]).select("event_id", "user_id", "event_type"), out, "append")
+    return spark.read.parquet(out).drop("batch_id")
+
+
 @query("calibration_drift", f"""WITH {O.TIERS}, per AS (SELECT (vec_id % 4)::INT AS batch_id, pos, round(quantile_cont(v, 0.5), 12) AS own FROM x GROUP BY ALL), every AS (SELECT pos, round(quantile_cont(v, 0.5), 12) AS whole FROM x GROUP BY pos)
 SELECT batch_id, round(avg(abs(own - whole)), 9) AS moved FROM per JOIN every USING (pos) GROUP BY batch_id""")
 def calibration_drift(spark, sf_dir):
@@ -731,6 +740,7 @@ _REL = {
     "rel_distinct_exact": (relational.distinct_counts, "SELECT l_returnflag, count(DISTINCT l_suppkey) AS suppliers, count(DISTINCT (l_partkey, l_suppkey)) AS pairs FROM lineitem GROUP BY 1"),
     "rel_distinct_approx": (relational.distinct_approx, "SELECT l_returnflag, count(DISTINCT l_partkey) AS exact, TRUE AS approx_close, TRUE AS hll_close FROM lineitem GROUP BY 1"),
     "rel_string_date_math": (relational.string_date_math, "SELECT date_trunc('month', o_orderdate)::DATE AS month, lower(substr(c_mktsegment, 1, 4)) AS segment, count(*) AS n, round(sqrt(sum(o_totalprice * o_totalprice)), 4) AS root, max(length(regexp_replace(c_name, '[^0-9]', '', 'g')))::INT AS digits, min(levenshtein(c_mktsegment, 'BUILDING'))::INT AS edits FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY ALL"),
+    "rel_join_hints": (relational.join_hints, "SELECT c_mktsegment, count(*) AS n, round(sum(o_totalprice), 2) AS total, strategy FROM orders JOIN customer ON o_custkey = c_custkey, (VALUES ('broadcast'), ('merge'), ('shuffle_hash')) s(strategy) GROUP BY ALL"),
     "rel_array_map_json": (relational.array_map_json, "SELECT event_type, sum((props->>'$.k')::INT)::BIGINT AS sum_k, count(DISTINCT (props->>'$.k')::INT)::INT AS distinct_k, min(event_id) AS first_id, list_sum(list_slice(list(event_id ORDER BY event_id), 1, 10))::BIGINT AS sum_first_ten FROM events GROUP BY 1"),
 }
 for _name, (_f, _sql) in _REL.items():

@@ -103,3 +103,11 @@ def test_sources_of_every_form_and_the_registry(spark, sf):
     out = scratch_path(spark, "records")
     tables.write_metrics(e, out)
     assert spark.read.json(out).count() == 2
+
+
+def test_join_hints_choose_the_strategy(spark, sf):
+    from compresslab.operators import relational
+
+    plan = relational.join_hints(spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert all(x in plan for x in ("BroadcastHashJoin", "SortMergeJoin", "ShuffledHashJoin"))
+    assert len({tuple(r)[:3] for r in relational.join_hints(spark, sf).collect()}) == 5
