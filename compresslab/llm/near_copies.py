@@ -1,11 +1,11 @@
 """Near-copies: consistent weighted sampling over TF-IDF shingles, banded, verified by weighted Jaccard similarity.
 
 A text is the set of its five-word shingles (the whole text, if it has fewer words); a shingle weighs its count in
-the text times a smoothed inverse document frequency, SMOOTH + ln(1 / share), where share is the share of documents
-that hold it, and shares below COMMON count as COMMON. So only shingles of a share above COMMON need a table of
-their own, and there are at most (shingles per document / COMMON) of them, however many documents there are. They
-are found exactly in two passes: a shingle of that share in all documents has that share in at least one run of
-documents, which gives the candidates; the second pass counts these over all documents.
+the text times a smoothed inverse document frequency, SMOOTH + ln(documents / held) / ln(documents), where held is
+the number of documents that hold it. These numbers are exact for every shingle. Documents are put together in
+blocks; a block asks for each of its shingles once, in sorted runs, one to each range of shingles. A range adds up
+what all blocks ask and answers each run with the numbers in its order. So rows that are shuffled are runs, no
+shingle is hot, and neither a range nor a block grows with the corpus.
 
 Improved consistent weighted sampling draws SAMPLES samples of every text, such that two texts agree in a sample
 with a probability equal to their weighted Jaccard similarity. Texts that agree in all samples of a band share a
@@ -35,7 +35,8 @@ from . import words as W
 SHINGLE, SIMILAR = 5, 0.8
 SAMPLES, ROWS = 120, 6
 BATCH = 256 << 10  # bytes of text at a time: the kernels' buffers stay in the cache
-COMMON, SMOOTH = 0.05, 2.0
+COMMON, SMOOTH = 0.0, 2.0  # the share of documents above which a shingle's own frequency counts: all do
+BLOCK, RANGE, BLOCK_ROWS = 1 << 20, 1 << 20, 8  # bytes of text in a block, shingles in a range, blocks that cross to Python at once
 GROUPS, UNIT, MOST = 256, 64, 32767  # groups of a text's weights, steps of their sums to a unit of weight, largest sum
 ID_BITS = 44
 BROADCAST_ROWS = 4_000_000
@@ -72,20 +73,26 @@ def counted_shingles(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarr
 
 
 class Idf:
-    """Smoothed inverse document frequencies; common: (shingles, their document counts) of shares above COMMON."""
+    """Smoothed inverse document frequencies, given by document counts or by a table of (shingles, their counts)."""
 
-    def __init__(self, documents: int, shingles: np.ndarray, counts: np.ndarray):
+    def __init__(self, documents: int, shingles=(), counts=()):
+        self.documents = max(documents, 1)
         order = np.argsort(shingles)
         self.shingles = np.asarray(shingles, dtype=np.uint64)[order]
-        share = np.maximum(np.asarray(counts, dtype=np.float64)[order] / max(documents, 1), COMMON)
-        self.own = (SMOOTH - np.log(share)).astype(np.float32)
-        self.rest = np.float32(SMOOTH - np.log(COMMON))
+        self.counts = np.asarray(counts, dtype=np.int64)[order]
+
+    def of(self, held: np.ndarray, count: np.ndarray) -> np.ndarray:
+        """Weights of shingles that stand `count` times in a text and that `held` documents hold."""
+        whole = np.log(self.documents) or 1.0
+        return count * (SMOOTH + np.log(self.documents / np.maximum(held, 1)) / whole).astype(np.float32)
 
     def weights(self, shingle: np.ndarray, count: np.ndarray) -> np.ndarray:
-        if len(self.shingles) == 0:
-            return count * self.rest
-        at = np.minimum(np.searchsorted(self.shingles, shingle), len(self.shingles) - 1)
-        return count * np.where(self.shingles[at] == shingle, self.own[at], self.rest)
+        """The same by the table; a shingle that is not in it is in one document."""
+        held = np.ones(len(shingle), np.int64)
+        if len(self.shingles):
+            at = np.minimum(np.searchsorted(self.shingles, shingle), len(self.shingles) - 1)
+            held = np.where(self.shingles[at] == shingle, self.counts[at], 1)
+        return self.of(held, count)
 
 
 def samples(row: np.ndarray, shingle: np.ndarray, weight: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -167,92 +174,174 @@ def similarity(a: tuple, b: tuple) -> float:
     return float(least / (a[1].sum(dtype=np.float64) + b[1].sum(dtype=np.float64) - least))
 
 
-def common_shingles(docs: DataFrame, documents: int) -> tuple[np.ndarray, np.ndarray]:
-    """Shingles that more than COMMON of all documents hold, with their exact document counts."""
-    out = C.schema(shingle=C.LONG, n=C.LONG)
+def _steps(key: np.ndarray) -> bytes:
+    """Ascending keys as the steps between them, in four bytes each where these do."""
+    step = np.diff(key, prepend=np.uint64(0))
+    return (b"4" + step.astype(np.uint32).tobytes()) if step.max() >> np.uint64(32) == 0 else (b"8" + step.tobytes())
+
+
+def _keys(steps: bytes) -> np.ndarray:
+    return np.cumsum(np.frombuffer(steps, np.uint32 if steps[:1] == b"4" else np.uint64, offset=1), dtype=np.uint64)
+
+
+def _packed(parts) -> pa.Array:
+    return pa.array([p.tobytes() if isinstance(p, np.ndarray) else p for p in parts], pa.binary())
+
+
+def blocks(named: DataFrame) -> DataFrame:
+    """block, node, own, text (three lists) of named(node, own, text): about BLOCK bytes of text to a row."""
 
-    def rows(shingle, n):
-        return pa.RecordBatch.from_arrays([pa.array(shingle.astype(np.int64), pa.int64()), pa.array(n, pa.int64())], names=["shingle", "n"])
+    def run(batches):
+        from pyspark import TaskContext
 
-    def local(batches):
-        held, size, texts = [], 0, 0
+        at, held, size = TaskContext.get().partitionId() << 33, [], 0
 
         def flush():
-            key, n = np.unique(np.concatenate(held), return_counts=True)
-            often = n >= COMMON * texts
-            return rows(key[often], n[often])
+            whole = pa.Table.from_batches(held).combine_chunks()
+            lists = [pa.ListArray.from_arrays(pa.array([0, whole.num_rows], pa.int32()), whole.column(c).combine_chunks()) for c in ("node", "own", "text")]
+            return pa.RecordBatch.from_arrays([pa.array([at], pa.int64()), *lists], names=["block", "node", "own", "text"])
 
         for b in batches:
             for piece in C.small_batches(b, "text", BATCH):
-                _, shingle, _ = counted_shingles(piece.column("text"))
-                held.append(shingle)
-                size, texts = size + len(shingle), texts + piece.num_rows - piece.column("text").null_count
-                if size > 4_000_000:
+                held.append(piece)
+                size += piece.column("text").nbytes
+                if size >= BLOCK:
                     yield flush()
-                    held, size, texts = [], 0, 0
-        if size:
+                    at, held, size = at + 1, [], 0
+        if held:
             yield flush()
 
-    texts = docs.select("text")
-    candidates = C.materialize(texts.mapInArrow(local, out).groupBy("shingle").agg(F.sum("n").alias("n")), "near-candidates")
-    many = candidates.count()
-    found = []
-    parts = -(-many // BROADCAST_ROWS)
-    for part in range(parts):  # one part, unless there are very many candidates
-        own = candidates.where(F.pmod(F.col("shingle"), F.lit(parts)) == part).select("shingle").toArrow().column(0).to_numpy().astype(np.uint64)
-        shared = docs.sparkSession.sparkContext.broadcast(np.sort(own))
-
-        def exact(batches, shared=shared):
-            known = shared.value
-            total = np.zeros(len(known), dtype=np.int64)
-            for b in batches:
-                for piece in C.small_batches(b, "text", BATCH):
-                    _, shingle, _ = counted_shingles(piece.column("text"))
-                    at = np.minimum(np.searchsorted(known, shingle), len(known) - 1)
-                    total += np.bincount(at[known[at] == shingle], minlength=len(known))
-            at = np.flatnonzero(total)
-            yield rows(known[at], total[at])
-
-        counted = texts.mapInArrow(exact, out).groupBy("shingle").agg(F.sum("n").alias("n")).where(F.col("n") > F.lit(COMMON * documents))
-        found.append(counted.toArrow())  # at most (mean shingles of a document / COMMON) rows
-    if not found:
-        return np.zeros(0, np.uint64), np.zeros(0, np.int64)
-    table = pa.concat_tables(found)
-    return table.column("shingle").to_numpy().astype(np.uint64), table.column("n").to_numpy()
+    return named.select("node", "own", "text").mapInArrow(run, "block long, node array<long>, own array<boolean>, text array<string>")
 
 
-def _lists(x: np.ndarray) -> pa.Array:
-    return pa.ListArray.from_arrays(pa.array(np.arange(len(x) + 1, dtype=np.int32) * x.shape[1]), pa.array(x.ravel()))
+def _block_shingles(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """counted_shingles of all texts of a block, a piece of them at a time."""
+    found, first = [], 0
+    for piece in C.small_batches(pa.RecordBatch.from_arrays([texts], names=["text"]), "text", BATCH):
+        row, shingle, count = counted_shingles(piece.column("text"))
+        found.append((row + first, shingle, count))
+        first += piece.num_rows
+    return tuple(np.concatenate(c) for c in zip(*found))
 
 
-def signatures(nodes: DataFrame, idf) -> DataFrame:
-    """node, bands of every row of nodes(node, text) that has a word."""
+def document_frequencies(dealt: DataFrame, ranges: int) -> DataFrame:
+    """block, part, held: how many documents hold each distinct shingle of a block, in ascending order through its parts.
 
-    def run(batches):
+    dealt: the table of blocks. Part p holds the shingles of the p-th of equal ranges of hashes.
+    """
+    edges = np.array([(p << ID_BITS) // ranges for p in range(1, ranges)], dtype=np.uint64)
+
+    def ask(batches):
         for b in batches:
-            for piece in C.small_batches(b, "text", BATCH):
-                row, shingle, count = counted_shingles(piece.column("text"))
-                rows, keys = band_keys(row, shingle, idf.value.weights(shingle, count))
-                yield pa.RecordBatch.from_arrays([piece.column("node").take(pa.array(rows)), _lists(keys.astype(np.int64))], names=["node", "bands"])
+            for i in range(b.num_rows):
+                key, n = np.unique(_block_shingles(b.column("text").slice(i, 1).flatten())[1], return_counts=True)
+                cut = np.concatenate([[0], np.searchsorted(key, edges), [len(key)]])
+                part = np.flatnonzero(np.diff(cut))
+                own = pa.array(np.full(len(part), b.column("block")[i].as_py(), np.int64))
+                runs = [(_steps(key[cut[p] : cut[p + 1]]), n[cut[p] : cut[p + 1]].astype(np.uint32)) for p in part]
+                yield pa.RecordBatch.from_arrays([pa.array(part.astype(np.int32)), own, _packed(k for k, _ in runs), _packed(c for _, c in runs)], names=["part", "block", "steps", "n"])
 
-    return nodes.select("node", "text").mapInArrow(run, "node long, bands array<long>")
+    def answer(batches):
+        part, asked = None, []
+
+        def flush():
+            key = [_keys(k) for _, k, _ in asked]
+            at = np.unique(np.concatenate(key), return_inverse=True)[1]
+            n = np.concatenate([np.frombuffer(c, np.uint32) for _, _, c in asked])
+            held = np.bincount(at, n)[at].astype(np.uint32)
+            cut = np.cumsum([0, *map(len, key)])
+            return pa.RecordBatch.from_arrays(
+                [pa.array([block for block, _, _ in asked], pa.int64()), pa.array(np.full(len(asked), part, np.int32)), _packed(held[cut[i] : cut[i + 1]] for i in range(len(asked)))], names=["block", "part", "held"])
+
+        for b in batches:
+            for p, *run in zip(*(b.column(c).to_pylist() for c in ("part", "block", "steps", "n"))):
+                if p != part and asked:
+                    yield flush()
+                    asked = []
+                part = p
+                asked.append(run)
+        if asked:
+            yield flush()
+
+    runs = dealt.select("block", "text").mapInArrow(ask, "part int, block long, steps binary, n binary")
+    return runs.repartition(ranges, "part").sortWithinPartitions("part").mapInArrow(answer, "block long, part int, held binary")
 
 
-def grouped(nodes: DataFrame, idf) -> DataFrame:
-    """node, sums, weight of every row of nodes(node, text) that has a word."""
+def _lists(x: np.ndarray) -> pa.Array:
+    return pa.ListArray.from_arrays(pa.array(np.arange(len(x) + 1, dtype=np.int32) * x.shape[1]), pa.array(x.ravel()))
+
+
+def signatures(dealt: DataFrame, answers: DataFrame, idf: Idf, tasks: int) -> DataFrame:
+    """node, bands, held (the document counts of its shingles, in their order) of every own row of the blocks that has a word."""
+    none = [F.lit(None).cast(t).alias(c) for c, t in (("node", "array<long>"), ("own", "array<boolean>"), ("text", "array<string>"))]
+    texts = dealt.select("block", F.lit(-1).alias("part"), "node", "own", "text", F.lit(None).cast("binary").alias("held"))
+    met = texts.unionByName(answers.select("block", "part", *none, "held")).repartition(tasks, "block").sortWithinPartitions("block", "part")
+
+    def signed(node, own, text, held):
+        row, shingle, count = _block_shingles(text)
+        key, at = np.unique(shingle, return_inverse=True)
+        held = np.frombuffer(b"".join(held), np.uint32)
+        if len(held) != len(key):
+            raise ValueError(f"{len(held)} answers to {len(key)} shingles of a block")
+        wanted = own.to_numpy(zero_copy_only=False)[row]
+        row, shingle, count, held = row[wanted], shingle[wanted], count[wanted], held[at][wanted]
+        for first in range(0, len(text), 64):  # the kernel's buffers stay in the cache
+            a, z = np.searchsorted(row, (first, first + 64))
+            rows, keys = band_keys(row[a:z], shingle[a:z], idf.of(held[a:z], count[a:z]))
+            cut = np.searchsorted(row, rows), np.searchsorted(row, rows, side="right")
+            yield pa.RecordBatch.from_arrays([node.take(pa.array(rows)), _lists(keys.astype(np.int64)), _packed(held[x:y] for x, y in zip(*cut))], names=["node", "bands", "held"])
+
+    def run(batches):
+        own, held = None, []
+        for b in batches:
+            part = b.column("part").to_numpy()
+            for i in range(b.num_rows):
+                if part[i] < 0:
+                    if own:
+                        yield from signed(*own, held)
+                    own, held = tuple(b.column(c).slice(i, 1).flatten() for c in ("node", "own", "text")), []
+                else:
+                    held.append(b.column("held")[i].as_py())
+        if own:
+            yield from signed(*own, held)
+
+    return met.mapInArrow(run, "node long, bands array<long>, held binary")
+
+
+def signed_blocks(named: DataFrame, idf: Idf) -> DataFrame:
+    """The signatures of named(node, own, text), written. Block rows are large, so few of them cross to Python at once meanwhile."""
+    spark, name = named.sparkSession, "spark.sql.execution.arrow.maxRecordsPerBatch"
+    dealt = C.materialize(blocks(named), "near-blocks")
+    n = dealt.count()
+    before = spark.conf.get(name)
+    spark.conf.set(name, str(BLOCK_ROWS))
+    try:
+        answers = C.materialize(document_frequencies(dealt, max(1, n * BLOCK // 8 // RANGE)), "near-frequencies")
+        return C.materialize(signatures(dealt, answers, idf, max(1, n // BLOCK_ROWS)), "near-signatures")
+    finally:
+        spark.conf.set(name, before)
+
+
+def _weighed(piece: pa.RecordBatch, idf: Idf) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(row, shingle, weight) of rows with a text and the document counts of its shingles."""
+    row, shingle, count = counted_shingles(piece.column("text"))
+    return row, shingle, idf.of(np.frombuffer(b"".join(piece.column("held").to_pylist()), np.uint32), count)
+
+
+def grouped(nodes: DataFrame, idf: Idf) -> DataFrame:
+    """node, sums, weight of every row of nodes(node, text, held) that has a word."""
 
     def run(batches):
         for b in batches:
             for piece in C.small_batches(b, "text", BATCH):
-                row, shingle, count = counted_shingles(piece.column("text"))
-                rows, sums, weight = group_sums(row, shingle, idf.value.weights(shingle, count))
+                rows, sums, weight = group_sums(*_weighed(piece, idf))
                 yield pa.RecordBatch.from_arrays([piece.column("node").take(pa.array(rows)), _lists(sums), pa.array(weight)], names=["node", "sums", "weight"])
 
-    return nodes.select("node", "text").mapInArrow(run, "node long, sums array<smallint>, weight double")
+    return nodes.select("node", "text", "held").mapInArrow(run, "node long, sums array<smallint>, weight double")
 
 
-def verify(pairs: DataFrame, texts: DataFrame, idf, least: float = SIMILAR, together: int = 256) -> DataFrame:
-    """a, b of the pairs(pivot, node) whose texts(node, text) are similar enough.
+def verify(pairs: DataFrame, texts: DataFrame, idf: Idf, least: float = SIMILAR, together: int = 256) -> DataFrame:
+    """a, b of the pairs(pivot, node) whose texts(node, text, held) are similar enough.
 
     A pivot's text goes once to each group of about `together` of its partners, so neither a popular
     pivot nor its text's length meets a single task; a task holds one pivot at a time.
@@ -263,10 +352,10 @@ def verify(pairs: DataFrame, texts: DataFrame, idf, least: float = SIMILAR, toge
         pairs.join(sizes, "pivot").select("node", F.struct("pivot", F.pmod(F.xxhash64("node"), F.col("groups")).cast("int").alias("part")).alias("to"))
         .groupBy("node").agg(F.collect_list("to").alias("to"))
     )
-    members = asked.join(texts, "node").select(F.explode("to").alias("to"), F.lit(1).alias("role"), "node", "text").select("to.pivot", "to.part", "role", "node", "text")
+    members = asked.join(texts, "node").select(F.explode("to").alias("to"), F.lit(1).alias("role"), "node", "text", "held").select("to.pivot", "to.part", "role", "node", "text", "held")
     pivots = (
         sizes.join(texts.withColumnRenamed("node", "pivot"), "pivot")
-        .select("pivot", F.explode(F.sequence(F.lit(0), F.col("groups") - 1)).alias("part"), F.lit(0).alias("role"), F.col("pivot").alias("node"), "text")
+        .select("pivot", F.explode(F.sequence(F.lit(0), F.col("groups") - 1)).alias("part"), F.lit(0).alias("role"), F.col("pivot").alias("node"), "text", "held")
     )
     dealt = pivots.unionByName(members).repartition("pivot", "part").sortWithinPartitions("pivot", "part", "role")
 
@@ -274,8 +363,7 @@ def verify(pairs: DataFrame, texts: DataFrame, idf, least: float = SIMILAR, toge
         key, own = None, None
         for b in batches:
             for piece in C.small_batches(b, "text", BATCH):
-                row, shingle, count = counted_shingles(piece.column("text"))
-                weight = idf.value.weights(shingle, count)
+                row, shingle, weight = _weighed(piece, idf)
                 cut = np.searchsorted(row, np.arange(piece.num_rows + 1))
                 pivot, part, role, node = (piece.column(c).to_pylist() for c in ("pivot", "part", "role", "node"))
                 a, n = [], []
@@ -316,11 +404,10 @@ def _texts_of(docs: DataFrame, wanted: DataFrame) -> DataFrame:
     return C.materialize(rows.join(wanted, ["doc_id", "node"]).select("node", "text"), "near-texts").dropDuplicates(["node"])
 
 
-def link(docs: DataFrame, nodes: DataFrame, originals: DataFrame, documents: int, least: float = SIMILAR) -> DataFrame:
-    """node, root of all nodes that are linked to another. originals(node, text): the rows of nodes(node, doc_id), which are signed."""
-    spark = docs.sparkSession
-    idf = spark.sparkContext.broadcast(Idf(documents, *common_shingles(docs, documents)))
-    signed = C.materialize(signatures(originals, idf), "near-signatures")
+def link(docs: DataFrame, nodes: DataFrame, named: DataFrame, documents: int, least: float = SIMILAR) -> DataFrame:
+    """node, root of all nodes that are linked to another. named(node, own, text): all documents; the own rows, those of nodes(node, doc_id), are signed."""
+    idf = Idf(documents)
+    signed = signed_blocks(named, idf)
     slots = C.materialize(signed.select("node", F.explode("bands").alias("key")).distinct(), "near-slots")  # a row may stand in the table twice
     buckets = slots.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
     members = C.materialize(slots.join(buckets, "key").select("key", "n", "node"), "near-members")
@@ -328,6 +415,7 @@ def link(docs: DataFrame, nodes: DataFrame, originals: DataFrame, documents: int
     pivots = met.groupBy("key").agg(F.max_by("node", F.struct("met", "node")).alias("pivot"))
     pairs = C.materialize(members.join(pivots, "key").where("node != pivot").select("pivot", "node").distinct(), "near-pairs")
     texts = _texts_of(docs, members.select("node").distinct().join(nodes, "node").select("node", "doc_id"))
+    texts = C.materialize(texts.join(signed.select("node", "held"), "node").dropDuplicates(["node"]), "near-vectors")
     edges = C.materialize(verify(pairs, texts, idf, least), "near-links")
     roots = components(edges)
 
@@ -338,7 +426,7 @@ def link(docs: DataFrame, nodes: DataFrame, originals: DataFrame, documents: int
     if placed.isEmpty():
         return roots
     wanted = placed.select("node").distinct()
-    known = signed.join(wanted, "node").dropDuplicates(["node"]).join(grouped(texts.join(wanted, "node"), idf), "node")
+    known = signed.select("node", "bands").join(wanted, "node").dropDuplicates(["node"]).join(grouped(texts.join(wanted, "node"), idf), "node")
     placed = C.materialize(placed.join(known, "node").select("key", "node", "root", "main", "bands", "sums", "weight"), "near-split-signed")
     own = placed.where("root != main").select(F.col("key").alias("own_key"), F.col("node").alias("pivot"), F.col("root").alias("own"), F.col("bands").alias("own_bands"), F.col("sums").alias("own_sums"), F.col("weight").alias("own_weight"))
     unlike = F.aggregate(F.zip_with("sums", "own_sums", lambda x, y: F.abs(x - y)), F.lit(0), lambda total, x: total + x)
@@ -364,12 +452,12 @@ def found_classes(docs: DataFrame, least: float = SIMILAR) -> DataFrame:
     known = keys.where("doc_id is not null and node is not null")
     nodes = C.materialize(known.groupBy("node").agg(F.min("doc_id").alias("doc_id"), F.count("*").alias("rows")), "near-nodes")
     documents = keys.where("node is not null").count()
-    # of equal texts only the first is signed: the others' keys (doc_id, node) are many, but no key is hot
+    # every document counts for frequencies; of equal texts only the first is signed: the others' keys (doc_id, node) are many, but no key is hot
     copies = nodes.where("rows > 1").select("node", F.col("doc_id").alias("first_id"))
     later = C.materialize(known.join(_small(C.materialize(copies, "near-copies")), "node").where("doc_id != first_id").select("doc_id", "node").distinct(), "near-later")
     named = docs.select("doc_id", "text", F.xxhash64("text").alias("node")).where("doc_id is not null and text is not null")
-    originals = named.join(_small(later), ["doc_id", "node"], "left_anti").select("node", "text")
-    roots = C.materialize(link(docs.select("doc_id", "text").where("doc_id is not null"), nodes, originals, documents, least), "near-roots")
+    named = named.join(_small(later).withColumn("again", F.lit(True)), ["doc_id", "node"], "left").select("node", F.col("again").isNull().alias("own"), "text")
+    roots = C.materialize(link(docs.select("doc_id", "text").where("doc_id is not null"), nodes, named, documents, least), "near-roots")
     placed = nodes.join(roots, "node", "left").select("node", "doc_id", "rows", F.coalesce("root", "node").alias("root"))
     groups = placed.groupBy("root").agg(F.min(F.struct("doc_id", "node")).alias("first"), F.sum("rows").alias("class_size"))
     # only nodes with company need a look-up
