@@ -13,7 +13,7 @@ from compresslab.sources.scratch import materialize, scratch_path  # noqa: F401
 from compresslab.sources.shipping import ship
 
 
-ARROW_ROWS = 2000
+ARROW_ROWS = 500
 
 
 def small_arrow(spark: SparkSession) -> None:

@@ -36,7 +36,9 @@ SHINGLE, SIMILAR = 5, 0.8
 SAMPLES, ROWS = 120, 6
 BATCH = 256 << 10  # bytes of text at a time: the kernels' buffers stay in the cache
 COMMON, SMOOTH = 0.0, 2.0  # the share of documents above which a shingle's own frequency counts: all do
-BLOCK, RANGE, BLOCK_ROWS = 1 << 20, 1 << 20, 8  # bytes of text in a block, shingles in a range, blocks that cross to Python at once
+BLOCK, RANGE, BLOCK_TASK, BLOCK_ROWS = 1 << 20, 1 << 20, 8, 4  # bytes of text in a block, shingles in a range, blocks of a task, blocks that are read or cross to Python at once
+# a writer looks at the size of its pages every hundred rows, if it is not told otherwise: a page of blocks would be 100 MB
+LARGE_ROWS = {"parquet.page.size.row.check.min": "1", "parquet.block.size.row.check.min": "1"}
 GROUPS, UNIT, MOST = 256, 64, 32767  # groups of a text's weights, steps of their sums to a unit of weight, largest sum
 ID_BITS = 44
 BROADCAST_ROWS = 4_000_000
@@ -309,17 +311,19 @@ def signatures(dealt: DataFrame, answers: DataFrame, idf: Idf, tasks: int) -> Da
 
 
 def signed_blocks(named: DataFrame, idf: Idf) -> DataFrame:
-    """The signatures of named(node, own, text), written. Block rows are large, so few of them cross to Python at once meanwhile."""
-    spark, name = named.sparkSession, "spark.sql.execution.arrow.maxRecordsPerBatch"
-    dealt = C.materialize(blocks(named), "near-blocks")
+    """The signatures of named(node, own, text), written. Block rows are large, so few of them are read or cross to Python at once meanwhile."""
+    spark, names = named.sparkSession, ("spark.sql.execution.arrow.maxRecordsPerBatch", "spark.sql.parquet.columnarReaderBatchSize")
+    dealt = C.materialize(blocks(named), "near-blocks", LARGE_ROWS)
     n = dealt.count()
-    before = spark.conf.get(name)
-    spark.conf.set(name, str(BLOCK_ROWS))
+    before = [spark.conf.get(name) for name in names]
+    for name in names:
+        spark.conf.set(name, str(BLOCK_ROWS))
     try:
         answers = C.materialize(document_frequencies(dealt, max(1, n * BLOCK // 8 // RANGE)), "near-frequencies")
-        return C.materialize(signatures(dealt, answers, idf, max(1, n // BLOCK_ROWS)), "near-signatures")
+        return C.materialize(signatures(dealt, answers, idf, max(1, n // BLOCK_TASK)), "near-signatures")
     finally:
-        spark.conf.set(name, before)
+        for name, value in zip(names, before):
+            spark.conf.set(name, value)
 
 
 def _weighed(piece: pa.RecordBatch, idf: Idf) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
