@@ -27,6 +27,7 @@ from . import words as W
 
 ORDERS = (3, 4, 5, 6)
 BITS = 20
+PIECE = 128 << 10  # bytes of text at a time: a text's n-grams take some hundred bytes a byte meanwhile
 
 
 def gram_ids(raw: np.ndarray, offsets: np.ndarray, wanted: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
@@ -60,10 +61,26 @@ def gram_ids(raw: np.ndarray, offsets: np.ndarray, wanted: np.ndarray | None = N
 
 
 def _pieces(batch: pa.RecordBatch):
-    for piece in C.small_batches(batch, "text"):
+    for piece in C.small_batches(batch, "text", PIECE):
         yield piece, *C.text_bytes(piece.column("text"))
 
 
+def _groups(first: np.ndarray, size: int, most: int = 1 << 18):
+    """(first run, last run, first number, last number) of groups of whole runs, of about `most` numbers each; run i begins at first[i]."""
+    cut = np.unique(np.searchsorted(first, np.arange(0, size, most)))
+    for a, z in zip(cut, [*cut[1:], len(first)]):
+        if a < z:
+            yield a, z, first[a], first[z] if z < len(first) else size
+
+
+def run_sums(value: np.ndarray, at: np.ndarray, first: np.ndarray) -> np.ndarray:
+    """Sums of value[at] by runs, which begin at `first`; a group of runs at a time, so value[at] is never whole in memory."""
+    out = np.empty(len(first))
+    for a, z, low, high in _groups(first, len(at)):
+        out[a:z] = np.add.reduceat(value[at[low:high]], first[a:z] - low)
+    return out
+
+
 def train(texts: pa.Array, labels: np.ndarray, keep: int = 20_000, l2: float = 2.0, steps: int = 400, alpha: float = 1.0) -> dict:
     """Fit the model on texts held in memory (a bounded sample). Deterministic."""
     labels = np.asarray(labels, dtype=np.float64)
@@ -95,33 +112,37 @@ def train(texts: pa.Array, labels: np.ndarray, keep: int = 20_000, l2: float = 2
         return empty | {"bias": float(math.log(n1 / n0))}
     wanted = np.zeros(1 << BITS, dtype=bool)
     wanted[index] = True
-    place = np.zeros(1 << BITS, dtype=np.int64)
+    place = np.zeros(1 << BITS, dtype=np.int32)
     place[index] = np.arange(len(index))
     rows, cols = [], []
     for piece, raw, offsets in _pieces(batch):
         row, feature = gram_ids(raw, offsets, wanted)
-        rows.append(piece.column("at").to_numpy()[row])
+        rows.append(piece.column("at").to_numpy()[row].astype(np.int32))
         cols.append(place[feature])
-    rows, cols = np.concatenate(rows), np.concatenate(cols)
+    # there are many more pairs of a text and a feature than texts or features: four bytes a number, none held twice
+    rows = np.concatenate(rows)
+    cols = np.concatenate(cols)
+    del batch, texts, piece, raw, offsets, row, feature
     size = len(labels)
     # logistic regression on x = ratio * presence, by accelerated gradient steps with a bound on the curvature
     weight, bias = np.zeros(len(index)), float(math.log(n1 / n0))
-    norm = np.sqrt(np.bincount(rows, weights=scaled[cols] ** 2, minlength=size).max() + 1.0)
+    first_of = np.flatnonzero(np.diff(rows, prepend=np.int32(-1)))
+    texts_with = rows[first_of]
+    norm = np.sqrt(max(np.bincount(rows[low:high] - rows[low], weights=scaled[cols[low:high]] ** 2).max() for _, _, low, high in _groups(first_of, len(rows))) + 1.0)
     unit = scaled / norm
     ahead, ahead_bias, t = weight.copy(), bias, 1.0
     rate = 4.0
     # x is divided by `norm`, so weights are larger by it and their penalty smaller by its square
     penalty = l2 / size / norm**2
     # sums go over runs: rows come sorted by text, and once more by feature
-    texts_with, first_of = np.unique(rows, return_index=True)
     order = np.argsort(cols, kind="stable")
-    by_feature, first_by = rows[order], np.searchsorted(cols[order], np.arange(len(index)))
-    del order
+    by_feature, first_by = rows[order], np.concatenate([[0], np.cumsum(np.bincount(cols, minlength=len(index)))[:-1]])
+    del order, rows
     for _ in range(steps):
         z = np.zeros(size)
-        z[texts_with] = np.add.reduceat((unit * ahead)[cols], first_of)
+        z[texts_with] = run_sums(unit * ahead, cols, first_of)
         err = 1 / (1 + np.exp(-np.clip(z + ahead_bias, -40, 40))) - labels
-        grad = unit * np.add.reduceat(err[by_feature], first_by) / size + penalty * ahead
+        grad = unit * run_sums(err, by_feature, first_by) / size + penalty * ahead
         new_weight, new_bias = ahead - rate * size / max(n1, 1) * grad, ahead_bias - rate * err.mean()
         t2 = (1 + math.sqrt(1 + 4 * t * t)) / 2
         ahead, ahead_bias = new_weight + (t - 1) / t2 * (new_weight - weight), new_bias + (t - 1) / t2 * (new_bias - bias)
@@ -165,7 +186,10 @@ def fit(spark: SparkSession, docs: DataFrame, labels: DataFrame, positives: int
             order.append(b.column("at").to_numpy(zero_copy_only=False))
         if texts:
             by = np.argsort(np.concatenate(order), kind="stable")
-            model = train(pa.concat_arrays(texts).take(pa.array(by)), np.concatenate(marks)[by])
+            whole = pa.concat_arrays(texts)
+            texts.clear()
+            whole = [whole.take(pa.array(by))]
+            model = train(whole.pop(), np.concatenate(marks)[by])
         else:
             model = train(pa.array([], pa.large_string()), np.zeros(0))
         yield pa.RecordBatch.from_arrays([pa.array([pickle.dumps(model)], pa.binary())], names=["model"])
