@@ -3,7 +3,7 @@
 A text is the set of its five-word shingles (the whole text, if it has fewer words); a shingle weighs its count in
 the text times a smoothed inverse document frequency, SMOOTH + ln(documents / held) / ln(documents), where held is
 the number of documents that hold it. These numbers are exact for every shingle. Documents are put together in
-blocks; a block asks for each of its shingles once, in sorted runs, one to each range of shingles. A range adds up
+blocks, compressed; a block asks for each of its shingles once, in sorted runs, one to each range of shingles. A range adds up
 what all blocks ask and answers each run with the numbers in its order. So rows that are shuffled are runs, no
 shingle is hot, and neither a range nor a block grows with the corpus.
 
@@ -37,8 +37,9 @@ SAMPLES, ROWS = 120, 6
 BATCH = 256 << 10  # bytes of text at a time: the kernels' buffers stay in the cache
 COMMON, SMOOTH = 0.0, 2.0  # the share of documents above which a shingle's own frequency counts: all do
 BLOCK, RANGE, BLOCK_TASK, BLOCK_ROWS = 1 << 20, 1 << 20, 8, 4  # bytes of text in a block, shingles in a range, blocks of a task, blocks that are read or cross to Python at once
-# a writer looks at the size of its pages every hundred rows, if it is not told otherwise: a page of blocks would be 100 MB
-LARGE_ROWS = {"parquet.page.size.row.check.min": "1", "parquet.block.size.row.check.min": "1"}
+# a writer looks at the size of its pages every hundred rows, if it is not told otherwise: a page of blocks would be 100 MB; a page holds one
+LARGE_ROWS = {"parquet.page.size.row.check.min": "1", "parquet.block.size.row.check.min": "1", "parquet.page.row.count.limit": "1"}
+ZSTD = 3  # the level at which the texts of blocks are compressed
 GROUPS, UNIT, MOST = 256, 64, 32767  # groups of a text's weights, steps of their sums to a unit of weight, largest sum
 ID_BITS = 44
 BROADCAST_ROWS = 4_000_000
@@ -177,21 +178,37 @@ def similarity(a: tuple, b: tuple) -> float:
 
 
 def _steps(key: np.ndarray) -> bytes:
-    """Ascending keys as the steps between them, in four bytes each where these do."""
-    step = np.diff(key, prepend=np.uint64(0))
-    return (b"4" + step.astype(np.uint32).tobytes()) if step.max() >> np.uint64(32) == 0 else (b"8" + step.tobytes())
+    """Ascending keys (one at least): the first, and the steps between them, in four bytes each where these do."""
+    step = np.diff(key)
+    small = not len(step) or step.max() >> np.uint64(32) == 0
+    return (b"4" if small else b"8") + key[:1].tobytes() + step.astype(np.uint32 if small else np.uint64).tobytes()
 
 
 def _keys(steps: bytes) -> np.ndarray:
-    return np.cumsum(np.frombuffer(steps, np.uint32 if steps[:1] == b"4" else np.uint64, offset=1), dtype=np.uint64)
+    step = np.frombuffer(steps, np.uint32 if steps[:1] == b"4" else np.uint64, offset=9)
+    return np.cumsum(np.concatenate([np.frombuffer(steps, np.uint64, 1, 1), step]), dtype=np.uint64)
 
 
 def _packed(parts) -> pa.Array:
     return pa.array([p.tobytes() if isinstance(p, np.ndarray) else p for p in parts], pa.binary())
 
 
+def _squeezed(texts: pa.Array) -> tuple[np.ndarray, bytes]:
+    """(lengths in bytes, all texts as one compressed string): blocks are written once and shuffled once."""
+    raw, offsets = C.text_bytes(texts)
+    return np.diff(offsets), pa.Codec("zstd", ZSTD).compress(np.ascontiguousarray(raw), asbytes=True)
+
+
+def _texts(block: pa.RecordBatch, i: int) -> pa.Array:
+    """The texts of a block, the i-th row."""
+    length = block.column("length").slice(i, 1).flatten().to_numpy()
+    offsets = np.concatenate([[0], np.cumsum(length)]).astype(np.int64)
+    raw = pa.Codec("zstd").decompress(block.column("text")[i].as_buffer(), int(offsets[-1])) if offsets[-1] else pa.py_buffer(b"")
+    return pa.LargeStringArray.from_buffers(len(length), pa.py_buffer(offsets), raw)
+
+
 def blocks(named: DataFrame) -> DataFrame:
-    """block, node, own, text (three lists) of named(node, own, text): about BLOCK bytes of text to a row."""
+    """block, node, own, length (three lists), text (all, compressed) of named(node, own, text): about BLOCK bytes of text to a row."""
 
     def run(batches):
         from pyspark import TaskContext
@@ -200,8 +217,9 @@ def blocks(named: DataFrame) -> DataFrame:
 
         def flush():
             whole = pa.Table.from_batches(held).combine_chunks()
-            lists = [pa.ListArray.from_arrays(pa.array([0, whole.num_rows], pa.int32()), whole.column(c).combine_chunks()) for c in ("node", "own", "text")]
-            return pa.RecordBatch.from_arrays([pa.array([at], pa.int64()), *lists], names=["block", "node", "own", "text"])
+            length, text = _squeezed(whole.column("text").combine_chunks())
+            lists = [pa.ListArray.from_arrays(pa.array([0, whole.num_rows], pa.int32()), c) for c in (whole.column("node").combine_chunks(), whole.column("own").combine_chunks(), pa.array(length, pa.int64()))]
+            return pa.RecordBatch.from_arrays([pa.array([at], pa.int64()), *lists, pa.array([text], pa.binary())], names=["block", "node", "own", "length", "text"])
 
         for b in batches:
             for piece in C.small_batches(b, "text", BATCH):
@@ -213,7 +231,7 @@ def blocks(named: DataFrame) -> DataFrame:
         if held:
             yield flush()
 
-    return named.select("node", "own", "text").mapInArrow(run, "block long, node array<long>, own array<boolean>, text array<string>")
+    return named.select("node", "own", "text").mapInArrow(run, "block long, node array<long>, own array<boolean>, length array<long>, text binary")
 
 
 def _block_shingles(texts: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -236,7 +254,7 @@ def document_frequencies(dealt: DataFrame, ranges: int) -> DataFrame:
     def ask(batches):
         for b in batches:
             for i in range(b.num_rows):
-                key, n = np.unique(_block_shingles(b.column("text").slice(i, 1).flatten())[1], return_counts=True)
+                key, n = np.unique(_block_shingles(_texts(b, i))[1], return_counts=True)
                 cut = np.concatenate([[0], np.searchsorted(key, edges), [len(key)]])
                 part = np.flatnonzero(np.diff(cut))
                 own = pa.array(np.full(len(part), b.column("block")[i].as_py(), np.int64))
@@ -265,7 +283,7 @@ def document_frequencies(dealt: DataFrame, ranges: int) -> DataFrame:
         if asked:
             yield flush()
 
-    runs = dealt.select("block", "text").mapInArrow(ask, "part int, block long, steps binary, n binary")
+    runs = dealt.select("block", "length", "text").mapInArrow(ask, "part int, block long, steps binary, n binary")
     return runs.repartition(ranges, "part").sortWithinPartitions("part").mapInArrow(answer, "block long, part int, held binary")
 
 
@@ -275,8 +293,8 @@ def _lists(x: np.ndarray) -> pa.Array:
 
 def signatures(dealt: DataFrame, answers: DataFrame, idf: Idf, tasks: int) -> DataFrame:
     """node, bands, held (the document counts of its shingles, in their order) of every own row of the blocks that has a word."""
-    none = [F.lit(None).cast(t).alias(c) for c, t in (("node", "array<long>"), ("own", "array<boolean>"), ("text", "array<string>"))]
-    texts = dealt.select("block", F.lit(-1).alias("part"), "node", "own", "text", F.lit(None).cast("binary").alias("held"))
+    none = [F.lit(None).cast(t).alias(c) for c, t in (("node", "array<long>"), ("own", "array<boolean>"), ("length", "array<long>"), ("text", "binary"))]
+    texts = dealt.select("block", F.lit(-1).alias("part"), "node", "own", "length", "text", F.lit(None).cast("binary").alias("held"))
     met = texts.unionByName(answers.select("block", "part", *none, "held")).repartition(tasks, "block").sortWithinPartitions("block", "part")
 
     def signed(node, own, text, held):
@@ -301,7 +319,7 @@ def signatures(dealt: DataFrame, answers: DataFrame, idf: Idf, tasks: int) -> Da
                 if part[i] < 0:
                     if own:
                         yield from signed(*own, held)
-                    own, held = tuple(b.column(c).slice(i, 1).flatten() for c in ("node", "own", "text")), []
+                    own, held = (*(b.column(c).slice(i, 1).flatten() for c in ("node", "own")), _texts(b, i)), []
                 else:
                     held.append(b.column("held")[i].as_py())
         if own:
